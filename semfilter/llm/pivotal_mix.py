@@ -51,8 +51,9 @@ def _fold(seed: int, id_type: str) -> str:
 
     Two items exchange words, not probability: what one gains the other gives, so the expected
     words of the node never change, and the direction is drawn so that each keeps its chance.
+    Items come by falling size, so that what is left unsettled in the end is mostly a short text.
     """
-    item = f"struct<h:bigint,id:{id_type},size:bigint,p:double>"
+    item = f"struct<size:bigint,h:bigint,id:{id_type},p:double>"
     done = f"struct<id:{id_type},size:bigint,extra:int>"
     draw = f"(pmod(xxhash64({seed}L, a.cur.id, x.id, a.cur.h, x.h), 9007199254740992L) / 9007199254740992D)"
     up_i, room_j = "(1 - a.cur.p) * a.cur.size", "x.p * x.size"
@@ -60,7 +61,7 @@ def _fold(seed: int, id_type: str) -> str:
     gain, loss = f"least({up_i}, {room_j})", f"least({down_i}, {room_up_j})"
 
     def step(who: str, extra: int, rest: str, p: str) -> str:
-        kept = f"named_struct('h', {rest}.h, 'id', {rest}.id, 'size', {rest}.size, 'p', least(1D, greatest(0D, {p})))"
+        kept = f"named_struct('size', {rest}.size, 'h', {rest}.h, 'id', {rest}.id, 'p', least(1D, greatest(0D, {p})))"
         return f"named_struct('cur', {kept}, 'done', array_append(a.done, named_struct('id', {who}.id, 'size', {who}.size, 'extra', {extra})))"
 
     rise = f"if({up_i} <= {room_j}, {step('a.cur', 1, 'x', f'x.p - {up_i} / x.size')}, {step('x', 0, 'a.cur', f'a.cur.p + {room_j} / a.cur.size')})"
@@ -78,7 +79,8 @@ def pivotal_copies(sized: DataFrame, goals: DataFrame, seed: int = 42) -> DataFr
     ``target / source_size`` times: the whole part is given, the rest is rounded by pairwise
     transfers inside leaves of about ``2**FAN_BITS`` rows chosen by hash, and each leaf's one
     unsettled row climbs a tree of the same fan-out, so a source holding any share of the rows is
-    spread over as many leaves as it needs. The last row of a source is drawn by its remaining chance.
+    spread over as many leaves as it needs. The one row left in
+    a source goes to the nearer side, so its words miss the target by half that text at most.
     Rows of size 0 add no words and get the whole part only. Every draw hashes ids and the seed:
     reruns agree. Repeated rows are rounded one by one. Returns ``id, source, size, source_size, target, copies``.
     """
@@ -99,19 +101,19 @@ def pivotal_copies(sized: DataFrame, goals: DataFrame, seed: int = 42) -> DataFr
     largest = open_rows.groupBy("source").count().agg(F.max("count")).first()[0] or 1
     bits = max(0, math.ceil(math.log2(largest / 2**FAN_BITS))) if largest > 2**FAN_BITS else 0
     id_type = dict(sized.dtypes)["id"]
-    item = F.struct(F.expr(f"xxhash64({seed}L, id, size)").alias("h"), F.col("id"), F.col("size"), F.col("p"))
+    item = F.struct(F.col("size"), F.expr(f"xxhash64({seed}L, id, size)").alias("h"), F.col("id"), F.col("p"))
     level = open_rows.select("source", item.alias("item"))
     settled = []
     while True:
         leaf = F.shiftrightunsigned(F.col("item.h"), 64 - bits) if bits else F.lit(0).cast("long")
-        nodes = level.withColumn("leaf", leaf).groupBy("source", "leaf").agg(F.sort_array(F.collect_list("item")).alias("items"))
+        nodes = level.withColumn("leaf", leaf).groupBy("source", "leaf").agg(F.sort_array(F.collect_list("item"), asc=False).alias("items"))
         folded = save(nodes.select("source", F.expr(_fold(seed, id_type)).alias("r")), "node")
         settled.append(folded.select("source", F.explode("r.done").alias("d")).select("source", "d.id", "d.size", "d.extra"))
         level = folded.select("source", F.col("r.cur").alias("item"))
         if bits == 0:
             break
         bits = max(0, bits - FAN_BITS)
-    last = F.expr(f"if(pmod(xxhash64({seed + 1}L, item.id, item.h), 9007199254740992L) / 9007199254740992D < item.p, 1, 0)")
+    last = F.when(F.col("item.p") >= 0.5, 1).otherwise(0)
     settled.append(level.select("source", "item.id", "item.size", last.alias("extra")))
     extras = settled[0]
     for more in settled[1:]:
