@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import os
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,8 +23,8 @@ COUNTS = tuple(60 // b for b in BITS)
 STRETCH = 1024
 #: A block is closed once it has so many ids; a document never crosses blocks.
 BLOCK_IDS = 65_536
-#: Words remembered with their ids by one worker.
-CACHE_WORDS = 200_000
+#: Words remembered with their ids by one worker, in each of two generations.
+CACHE_WORDS = 400_000
 
 _U = np.uint64
 
@@ -123,24 +125,49 @@ class WordEncoder:
     """
 
     def __init__(self, path: str):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # Spark's tasks are the parallelism
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_file(path)
         self.model.no_padding()
         self.model.no_truncation()
         self.known: dict[str, bytes] = {}
-
-    def encode(self, text: str | None) -> bytes:
-        words = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-        known = self.known
-        new = [w for w in set(words) if w not in known]
-        if new:
-            if len(known) + len(new) > CACHE_WORDS:
-                keep = [w for w in set(words) if w in known]
-                self.known = known = {w: known[w] for w in keep}
-            for w, e in zip(new, self.model.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                known[w] = np.array(e.ids, dtype="<u4").tobytes()
-        return b"".join([known[w] for w in words])
+        self.older: dict[str, bytes] = {}
+
+    @classmethod
+    def of_worker(cls, path: str) -> WordEncoder:
+        """The encoder that this worker process keeps from task to task."""
+        import tokenizers
+
+        kept = tokenizers.__dict__.setdefault("_word_encoders", {})
+        if path not in kept:
+            kept[path] = cls(path)
+        return kept[path]
+
+    def _learn(self, words: set[str]) -> None:
+        if len(self.known) > CACHE_WORDS:
+            self.known, self.older = {}, self.known
+        new = []
+        for w in words:
+            got = self.older.get(w)
+            if got is None:
+                new.append(w)
+            else:
+                self.known[w] = got
+        for k in range(0, len(new), 2048):
+            part = new[k : k + 2048]
+            for w, e in zip(part, self.model.encode_batch_fast(part, add_special_tokens=False), strict=True):
+                self.known[w] = array("I", e.ids).tobytes()
+
+    def encode(self, texts: list[str | None]) -> Iterator[bytes]:
+        """Little-endian 32-bit ids of each text, null as empty."""
+        for text in texts:
+            words = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
+            try:
+                yield b"".join([self.known[w] for w in words])
+            except KeyError:
+                self._learn({w for w in words if w not in self.known})
+                yield b"".join([self.known[w] if w in self.known else self.older[w] for w in words])
 
 
 FILE_SCHEMA = "shard int, block int, doc_lo long, doc_hi long, doc_ids binary, lengths binary, start_in_shard long, n_ids long, words binary, anchors binary, escapes binary"
@@ -148,7 +175,7 @@ FILE_SCHEMA = "shard int, block int, doc_lo long, doc_hi long, doc_ids binary, l
 
 def _coder(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, end = WordEncoder(path), np.array([end_id], "<u4").tobytes()
+        enc, end = WordEncoder.of_worker(path), np.array([end_id], "<u4").tobytes()
         ids, docs, lens, n, start, block, shard = [], [], [], 0, 0, 0, 0
 
         def close() -> pa.RecordBatch:
@@ -165,8 +192,8 @@ def _coder(path: str, end_id: int):
 
         for batch in batches:
             shard = batch.column(2)[0].as_py() if batch.num_rows else shard
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                got = enc.encode(text.as_py()) + end
+            for doc, got in zip(batch.column(0).to_pylist(), enc.encode(batch.column(1).to_pylist()), strict=True):
+                got += end
                 ids.append(got)
                 docs.append(doc)
                 lens.append(len(got) // 4)
