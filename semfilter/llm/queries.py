@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import interleave, line_spread, mixture_lang, odd_sketch, packed_ids, pivotal_mix, tile_links, topk_blocks
+from . import interleave, line_spread, mixture_lang, odd_sketch, packed_ids, piece_lattice, pivotal_mix, span_dedup, tile_links, topk_blocks
 from .common import read_table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -19,6 +19,16 @@ def op1_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packed_ids.packed_corpus(docs, public_tokenizers.path("word_bpe_49k.json"), end_id=2).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
+def op2_span_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return span_dedup.without_repeats(read_table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op3_piece_lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pieces = piece_lattice.Pieces.load(public_tokenizers.path("piece_bpe_32k.model"))
+    out = piece_lattice.decode(piece_lattice.encode(read_table(spark, sf_dir, "documents", "doc_id", "text"), pieces), pieces)
+    return out.select("doc_id", "ids", F.size("ids").cast("long").alias("n_tokens"), (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("round_trip"))
+
+
 def op4_topk_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk_blocks.top_k(read_table(spark, sf_dir, "embeddings", "vec_id", "embedding"))
 
@@ -53,7 +63,7 @@ def op10_mixture_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.coalesce(held_out, F.lit(False)).alias("held_out"), "lang_pred", "score", F.size("mixture").alias("n_languages"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op10_mixture_lang, op9_line_spread, op8_odd_sketch, op1_packed_ids, op4_topk_blocks, op5_tile_links, op6_interleave, op7_pivotal_mix)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op10_mixture_lang, op9_line_spread, op8_odd_sketch, op1_packed_ids, op2_span_dedup, op3_piece_lattice, op4_topk_blocks, op5_tile_links, op6_interleave, op7_pivotal_mix)}
 
 TOPK_SQL = """
 WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(256 * CAST(x AS DOUBLE)) AS BIGINT)) AS t FROM embeddings
