@@ -9,6 +9,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -24,7 +25,7 @@ STRETCH = 1024
 #: A block is closed once it has so many ids; a document never crosses blocks.
 BLOCK_IDS = 65_536
 #: Words remembered with their ids by one worker, in each of two generations.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 300_000
 
 _U = np.uint64
 
@@ -52,6 +53,8 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         if bits < int(width.max()):
             stop = np.where(width > bits, at, n)
             ok &= np.minimum.accumulate(stop[::-1])[::-1] - at >= count
+        if not ok.any():
+            break
         step[ok], selector[ok] = count, s
     selector[width > 60] = 0
     hops, i, chain = step.tolist(), 0, []
@@ -116,12 +119,30 @@ def _widths16(table: list = []) -> np.ndarray:  # noqa: B006  made once a proces
     return table[0]
 
 
+class _Known:
+    """Words with their ids, in one flat array."""
+
+    def __init__(self) -> None:
+        self.place: dict[str, int] = {}
+        self.ids, self.ends = array("I"), array("q", [0])
+
+    def add(self, word: str, ids) -> None:
+        self.place[word] = len(self.place)
+        self.ids.extend(ids)
+        self.ends.append(len(self.ids))
+
+    def of(self, word: str):
+        k = self.place[word]
+        return self.ids[self.ends[k] : self.ends[k + 1]]
+
+
 class WordEncoder:
-    """Ids of whole texts with the tokenizers library, each distinct stretch between blanks asked for once.
+    """Ids of whole texts with the tokenizers library, each distinct word of a batch looked up once.
 
-    A tokenizer whose pre-tokenizer never joins text across white space gives the ids of a text as
-    those of its blank-separated stretches in order; only ASCII blanks are cut here, so any other
-    white space stays the library's matter.
+    A tokenizer whose pre-tokenizer drops white space gives the ids of a text as those of its words
+    in order; only ASCII blanks are cut here, so any other white space stays the library's matter. A
+    tokenizer that treats blanks otherwise is given whole texts. Words are kept in two generations of
+    ``CACHE_WORDS``, so memory is bounded and frequent words stay.
     """
 
     def __init__(self, path: str):
@@ -131,8 +152,13 @@ class WordEncoder:
         self.model = Tokenizer.from_file(path)
         self.model.no_padding()
         self.model.no_truncation()
-        self.known: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
+        self.known, self.older = _Known(), _Known()
+        probe = ["Ab", "cd.", "e"]
+        apart = [i for w in probe for i in self._ids(w)]
+        self.by_words = all(self._ids(s.join(probe)) == apart for s in (" ", "\n", "  ", "\t", "\r\n", "\v", "\f"))
+
+    def _ids(self, text: str) -> list[int]:
+        return self.model.encode(text, add_special_tokens=False).ids
 
     @classmethod
     def of_worker(cls, path: str) -> WordEncoder:
@@ -144,30 +170,43 @@ class WordEncoder:
             kept[path] = cls(path)
         return kept[path]
 
-    def _learn(self, words: set[str]) -> None:
-        if len(self.known) > CACHE_WORDS:
-            self.known, self.older = {}, self.known
+    def _places(self, words: list[str]) -> np.ndarray:
+        if len(self.known.place) > CACHE_WORDS:
+            self.known, self.older = _Known(), self.known
+        known, older = self.known, self.older
+        get = known.place.get
+        out = [get(w) for w in words]
+        gaps = [k for k, p in enumerate(out) if p is None]
         new = []
-        for w in words:
-            got = self.older.get(w)
-            if got is None:
-                new.append(w)
+        for k in gaps:
+            if words[k] in older.place:
+                known.add(words[k], older.of(words[k]))
             else:
-                self.known[w] = got
+                new.append(words[k])
         for k in range(0, len(new), 2048):
             part = new[k : k + 2048]
             for w, e in zip(part, self.model.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                self.known[w] = array("I", e.ids).tobytes()
-
-    def encode(self, texts: list[str | None]) -> Iterator[bytes]:
-        """Little-endian 32-bit ids of each text, null as empty."""
-        for text in texts:
-            words = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-            try:
-                yield b"".join([self.known[w] for w in words])
-            except KeyError:
-                self._learn({w for w in words if w not in self.known})
-                yield b"".join([self.known[w] if w in self.known else self.older[w] for w in words])
+                known.add(w, e.ids)
+        for k in gaps:
+            out[k] = get(words[k])
+        return np.array(out, np.int64)
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts one after another, and how many each has; null as empty."""
+        texts = pc.fill_null(texts, "")
+        if not self.by_words:
+            got = [self._ids(t) for t in texts.to_pylist()]
+            return np.array([i for g in got for i in g], np.uint32), np.array([len(g) for g in got], np.int64)
+        lists = pc.ascii_split_whitespace(texts)
+        coded = lists.flatten().dictionary_encode()
+        place = self._places(coded.dictionary.to_pylist())
+        ends, flat = np.frombuffer(self.known.ends, np.int64), np.frombuffer(self.known.ids, np.uint32)
+        word = place[coded.indices.to_numpy()]
+        size = ends[word + 1] - ends[word]
+        total = np.concatenate([[0], np.cumsum(size)])
+        ids = flat[np.repeat(ends[word] - total[:-1], size) + np.arange(total[-1])]
+        bounds = lists.offsets.to_numpy() - lists.offsets[0].as_py()
+        return ids, np.diff(total[bounds])
 
 
 FILE_SCHEMA = "shard int, block int, doc_lo long, doc_hi long, doc_ids binary, lengths binary, start_in_shard long, n_ids long, words binary, anchors binary, escapes binary"
@@ -175,12 +214,12 @@ FILE_SCHEMA = "shard int, block int, doc_lo long, doc_hi long, doc_ids binary, l
 
 def _coder(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, end = WordEncoder.of_worker(path), np.array([end_id], "<u4").tobytes()
+        enc = WordEncoder.of_worker(path)
         ids, docs, lens, n, start, block, shard = [], [], [], 0, 0, 0, 0
 
         def close() -> pa.RecordBatch:
             nonlocal ids, docs, lens, n, start, block
-            words, anchors, escapes = pack(np.frombuffer(b"".join(ids), "<u4"))
+            words, anchors, escapes = pack(np.concatenate(ids))
             known = [d for d in docs if d is not None]
             row = {
                 "shard": shard, "block": block, "doc_lo": min(known, default=None), "doc_hi": max(known, default=None),
@@ -192,12 +231,14 @@ def _coder(path: str, end_id: int):
 
         for batch in batches:
             shard = batch.column(2)[0].as_py() if batch.num_rows else shard
-            for doc, got in zip(batch.column(0).to_pylist(), enc.encode(batch.column(1).to_pylist()), strict=True):
-                got += end
-                ids.append(got)
+            flat, sizes = enc.encode(batch.column(1))
+            flat = np.insert(flat, np.cumsum(sizes), end_id)
+            at = 0
+            for doc, size in zip(batch.column(0).to_pylist(), (sizes + 1).tolist(), strict=True):
+                ids.append(flat[at : at + size])
                 docs.append(doc)
-                lens.append(len(got) // 4)
-                n += len(got) // 4
+                lens.append(size)
+                at, n = at + size, n + size
                 if n >= BLOCK_IDS:
                     yield close()
         if docs:
