@@ -5,7 +5,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -20,8 +19,8 @@ SKETCH_BITS, SIGMAS = 512, 6.0
 WIDTH = 5
 #: Candidate ids up to which they are broadcast (8 bytes each); beyond, texts are joined by shuffle.
 BROADCAST_IDS = 500_000
-#: Members up to which an open bucket is paired in SQL, and members of one block beyond.
-SMALL, BLOCK = 32, 1024
+#: Members of one block of a bucket; two blocks are compared at a time.
+BLOCK = 1024
 #: Words remembered with their hashes by one worker.
 CACHE_WORDS = 400_000
 
@@ -157,23 +156,87 @@ def _confirm(percent: int):
     return run
 
 
-def _blocks(most: int, percent: int):
-    ones = np.array([bin(x).count("1") for x in range(256)], np.uint16)
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        """Pairs of two blocks of a bucket that lie in different components and may be similar."""
-        i, j = int(pdf["i"].iloc[0]), int(pdf["j"].iloc[0])
-        left, right = pdf[pdf["blk"] == i], pdf[pdf["blk"] == j]
-        bits = np.stack(right["sketch"].to_numpy()).astype("<i8").view(np.uint8) if len(right) else None
-        a, b = [], []
-        rid, rn, rc = right["id"].to_numpy(), right["n"].to_numpy(), right["comp"].to_numpy()
-        for row in left.itertuples(index=False) if len(right) else ():
-            odd = ones[bits ^ np.asarray(row.sketch, "<i8").view(np.uint8)].sum(axis=1)
-            ok = (odd <= most) & (rc != row.comp) & (100 * np.minimum(rn, row.n) >= percent * np.maximum(rn, row.n))
-            ok &= (rid > row.id) if i == j else (rid != row.id)
-            a += [row.id] * int(ok.sum())
-            b += rid[ok].tolist()
-        return pd.DataFrame({"a": np.minimum(a, b).astype("int64"), "b": np.maximum(a, b).astype("int64")}) if a else pd.DataFrame({"a": np.empty(0, "int64"), "b": np.empty(0, "int64")})
+class Postings:
+    """Which of some sets hold a shingle."""
+
+    def __init__(self, sets: list[np.ndarray]):
+        flat = np.concatenate(sets)
+        owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+        order = np.argsort(flat, kind="stable")
+        self.flat, self.owner, self.n = flat[order], owner[order], len(sets)
+
+    def common(self, s: np.ndarray) -> np.ndarray:
+        """Shingles that each set shares with ``s``."""
+        lo, hi = np.searchsorted(self.flat, s, "left"), np.searchsorted(self.flat, s, "right")
+        size = hi - lo
+        at = np.repeat(lo - np.cumsum(size) + size, size) + np.arange(size.sum())
+        return np.bincount(self.owner[at], minlength=self.n)
+
+
+def links_between(ids, comps, sizes, sketches, sets, side, most: int, percent: int) -> list[tuple[int, int]]:
+    """Links that join components among some documents: enough to reach what all pairs would reach.
+
+    ``side`` has 0 and 1 for documents of two blocks, of which only pairs across are asked for, or 2
+    throughout for one block. Documents outside the largest component are compared with
+    all others of another component that length and odd sketch admit, on their full sets.
+    """
+    comp = comps.copy()
+    names, counts = np.unique(comp, return_counts=True)
+    odd_ones = np.flatnonzero(comp != names[counts.argmax()])
+    bits = sketches.view(np.uint8).reshape(len(ids), -1)
+    postings, out = None, []
+    for a in odd_ones.tolist():
+        ok = (comp != comp[a]) & (100 * np.minimum(sizes, sizes[a]) >= percent * np.maximum(sizes, sizes[a]))
+        if side[a] < 2:
+            ok &= side != side[a]
+        near = np.flatnonzero(ok)
+        if len(near):
+            near = near[_ONES[bits[near] ^ bits[a]].sum(axis=1) <= most]
+        if not len(near):
+            continue
+        if len(near) < 4:
+            both = np.array([len(np.intersect1d(sets[a], sets[b], assume_unique=True)) for b in near])
+        else:
+            postings = postings or Postings(sets)
+            both = postings.common(sets[a])[near]
+        for b in near[100 * both >= percent * (sizes[near] + sizes[a] - both)].tolist():
+            if comp[a] != comp[b]:
+                out.append((int(ids[a]), int(ids[b])))
+                comp[comp == max(comp[a], comp[b])] = min(comp[a], comp[b])
+    return out
+
+
+_ONES = np.array([bin(x).count("1") for x in range(256)], np.uint16)
+
+
+def _open(most: int, percent: int):
+    """Streams rows sorted by bucket and pair of blocks, and links each such group."""
+
+    def close(rows: list[dict]) -> list[tuple[int, int]]:
+        if len({r["comp"] for r in rows}) < 2:
+            return []
+        i, j = rows[0]["i"], rows[0]["j"]
+        side = np.array([2 if i == j else int(r["blk"] == j) for r in rows])
+        sketches = np.array([r["sketch"] for r in rows], "<i8")
+        sets = [np.frombuffer(r["shingles"], np.uint64) for r in rows]
+        ids, comps, sizes = (np.array([r[k] for r in rows], np.int64) for k in ("id", "comp", "n"))
+        return links_between(ids, comps, sizes, sketches, sets, side, most, percent)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, rows = None, []
+        for batch in batches:
+            out = []
+            for r in batch.to_pylist():
+                key = (r["key"], r["i"], r["j"])
+                if key != at:
+                    if rows:
+                        out += close(rows)
+                    at, rows = key, []
+                rows.append(r)
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in out], pa.int64()), pa.array([b for _, b in out], pa.int64())], ["a", "b"])
+        if rows and (out := close(rows)):
+            yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in out], pa.int64()), pa.array([b for _, b in out], pa.int64())], ["a", "b"])
 
     return run
 
@@ -243,16 +306,11 @@ def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
         tested = star if tested is None else tested.union(star)
 
     now = placed(links)
-    sized = now.groupBy("key").agg(F.count("*").alias("m"))
-    few = now.join(sized.filter(F.col("m") <= SMALL).select("key"), "key")
-    x, y = few.alias("x"), few.alias("y")
-    pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.comp") != F.col("y.comp"))).select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct()
-    pairs = plausible(pairs.join(tested, ["a", "b"], "left_anti"))
-    many = now.join(sized.filter(F.col("m") > SMALL), "key").withColumn("nb", F.ceil(F.col("m") / BLOCK).cast("int"))
-    many = many.join(facts, "id").withColumn("blk", F.pmod(F.xxhash64("id"), F.col("nb")).cast("int"))
-    both = many.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1))).withColumn("i", F.least("blk", "o")).withColumn("j", F.greatest("blk", "o"))
-    wide = both.groupBy("key", "i", "j").applyInPandas(_blocks(most, percent), "a long, b long").distinct().join(tested, ["a", "b"], "left_anti")
-    links = links.union(save(confirmed(pairs.union(wide).distinct()), "links"))
+    blocks = now.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("nb"))
+    cut = now.join(blocks, "key").withColumn("blk", F.pmod(F.xxhash64("id"), F.col("nb")).cast("int"))
+    both = cut.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1))).select("key", "id", "comp", "blk", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"))
+    full = both.join(facts, "id").join(sets, "id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+    links = links.union(save(full.select("key", "i", "j", "id", "comp", "blk", "n", "sketch", "shingles").mapInArrow(_open(most, percent), "a long, b long"), "links"))
 
     reach = components(links).select(F.col("node").alias("rep"), "component")
     named = classes.select("same", F.col("id").alias("rep")).join(reach, "rep", "left").select("same", F.coalesce("component", "rep").alias("component"))
