@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import method_queries  # noqa: F401  registers on import
+from . import calibration_queries, method_queries  # noqa: F401  register on import
 from .registry import QUERIES, TWINS
 
 
