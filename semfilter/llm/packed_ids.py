@@ -6,6 +6,7 @@ import os
 import zlib
 from array import array
 from collections.abc import Iterator
+from itertools import accumulate, chain
 
 import numpy as np
 import pyarrow as pa
@@ -25,7 +26,7 @@ STRETCH = 1024
 #: A block is closed once it has so many ids; a document never crosses blocks.
 BLOCK_IDS = 65_536
 #: Words remembered with their ids by one worker, in each of two generations.
-CACHE_WORDS = 300_000
+CACHE_WORDS = 400_000
 
 _U = np.uint64
 
@@ -126,10 +127,10 @@ class _Known:
         self.place: dict[str, int] = {}
         self.ids, self.ends = array("I"), array("q", [0])
 
-    def add(self, word: str, ids) -> None:
-        self.place[word] = len(self.place)
-        self.ids.extend(ids)
-        self.ends.append(len(self.ids))
+    def add(self, words: list[str], ids: list[list[int]]) -> None:
+        self.place.update(zip(words, range(len(self.place), len(self.place) + len(words)), strict=True))
+        self.ids.extend(chain.from_iterable(ids))
+        self.ends.extend(list(accumulate(map(len, ids), initial=self.ends[-1]))[1:])
 
     def of(self, word: str):
         k = self.place[word]
@@ -156,6 +157,9 @@ class WordEncoder:
         probe = ["Ab", "cd.", "e"]
         apart = [i for w in probe for i in self._ids(w)]
         self.by_words = all(self._ids(s.join(probe)) == apart for s in (" ", "\n", "  ", "\t", "\r\n", "\v", "\f"))
+        self.caseless = self._ids("AbC ÉD") == self._ids("abc Éd")
+        self.stops = [c for c in ",." if self._ids(f"Ab{c} é{c}") == [i for w in ("Ab", c, "é", c) for i in self._ids(w)]]
+        self.special = [t.content.lower() for t in self.model.get_added_tokens_decoder().values()]
 
     def _ids(self, text: str) -> list[int]:
         return self.model.encode(text, add_special_tokens=False).ids
@@ -177,36 +181,59 @@ class WordEncoder:
         get = known.place.get
         out = [get(w) for w in words]
         gaps = [k for k, p in enumerate(out) if p is None]
-        new = []
-        for k in gaps:
-            if words[k] in older.place:
-                known.add(words[k], older.of(words[k]))
-            else:
-                new.append(words[k])
-        for k in range(0, len(new), 2048):
-            part = new[k : k + 2048]
-            for w, e in zip(part, self.model.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                known.add(w, e.ids)
-        for k in gaps:
-            out[k] = get(words[k])
+        if gaps:
+            lacking = [words[k] for k in gaps]
+            old = [w for w in lacking if w in older.place]
+            known.add(old, [older.of(w) for w in old])
+            new = [w for w in lacking if w not in older.place]
+            for k in range(0, len(new), 2048):
+                part = new[k : k + 2048]
+                known.add(part, [e.ids for e in self.model.encode_batch_fast(part, add_special_tokens=False)])
+            for k in gaps:
+                out[k] = get(words[k])
         return np.array(out, np.int64)
 
+    def _words(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Places of all words one after another, and how many each text has.
+
+        Where the tokenizer looks away from case, ASCII capitals are lowered first (unless that could
+        make one of its special tokens), and letters with one stop behind them are taken as two words.
+        """
+        if self.caseless:
+            low = pc.ascii_lower(texts)
+            if not any(pc.any(pc.match_substring(low, s)).as_py() for s in self.special):
+                texts = low
+        lists = pc.ascii_split_whitespace(texts)
+        coded = lists.flatten().dictionary_encode()
+        kinds, index = coded.dictionary, coded.indices.to_numpy()
+        bounds = lists.offsets.to_numpy() - lists.offsets[0].as_py()
+        if not self.stops or not len(kinds):
+            return self._places(kinds.to_pylist())[index], np.diff(bounds)
+        split = pc.match_substring_regex(kinds, rf"^\pL+[{''.join(self.stops)}]$")
+        stem = pc.if_else(split, pc.utf8_slice_codeunits(kinds, 0, -1), kinds).dictionary_encode()
+        place = self._places([*self.stops, *stem.dictionary.to_pylist()])
+        first = place[len(self.stops) :][stem.indices.to_numpy()]
+        last = pc.fill_null(pc.index_in(pc.utf8_slice_codeunits(kinds, -1), pa.array(self.stops)), 0).to_numpy()
+        two = split.to_numpy(zero_copy_only=False)
+        many = 1 + two[index]
+        total = np.concatenate([[0], np.cumsum(many)])
+        out = np.repeat(first[index], many)
+        ends = total[1:][two[index]] - 1
+        out[ends] = place[last[index[two[index]]]]
+        return out, np.diff(total[bounds])
+
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts one after another, and how many each has; null as empty."""
         texts = pc.fill_null(texts, "")
         if not self.by_words:
             got = [self._ids(t) for t in texts.to_pylist()]
             return np.array([i for g in got for i in g], np.uint32), np.array([len(g) for g in got], np.int64)
-        lists = pc.ascii_split_whitespace(texts)
-        coded = lists.flatten().dictionary_encode()
-        place = self._places(coded.dictionary.to_pylist())
+        word, counts = self._words(texts)
         ends, flat = np.frombuffer(self.known.ends, np.int64), np.frombuffer(self.known.ids, np.uint32)
-        word = place[coded.indices.to_numpy()]
         size = ends[word + 1] - ends[word]
         total = np.concatenate([[0], np.cumsum(size)])
         ids = flat[np.repeat(ends[word] - total[:-1], size) + np.arange(total[-1])]
-        bounds = lists.offsets.to_numpy() - lists.offsets[0].as_py()
-        return ids, np.diff(total[bounds])
+        return ids, np.diff(total[np.concatenate([[0], np.cumsum(counts)])])
 
 
 FILE_SCHEMA = "shard int, block int, doc_lo long, doc_hi long, doc_ids binary, lengths binary, start_in_shard long, n_ids long, words binary, anchors binary, escapes binary"
