@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import math
-from functools import lru_cache
 
 import numpy as np
 
 
-@lru_cache(maxsize=200_000)
-def _upper(k: int, n: int, delta: float) -> float:
+_KNOWN: dict[tuple[int, int, float], float] = {}
+
+
+def _solve(k: int, n: int, delta: float) -> float:
     if n <= 0 or k >= n:
         return 1.0
     if k == 0:
@@ -26,7 +27,10 @@ def _upper(k: int, n: int, delta: float) -> float:
 
 def binom_upper(k: int, n: int, delta: float = 0.05) -> float:
     """Largest error rate that k errors among n do not refute at level delta (one-sided, exact)."""
-    return _upper(int(k), int(n), float(delta))
+    key = (int(k), int(n), float(delta))
+    if key not in _KNOWN:
+        _KNOWN[key] = _solve(*key)
+    return _KNOWN[key]
 
 
 def hoeffding_upper(k: int, n: int, delta: float = 0.05) -> float:
