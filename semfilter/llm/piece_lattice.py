@@ -17,9 +17,9 @@ from .common import save, session_defaults
 #: The sign that stands for a blank.
 BLANK = "▁"
 #: Words, most frequent first, whose ids are broadcast; the others meet their documents by shuffle.
-HEAD_WORDS = 1 << 18
+HEAD_WORDS = 1 << 17
 #: Distinct words that a worker counts before it passes them on.
-COUNT_WORDS = 400_000
+COUNT_WORDS = 150_000
 #: What an unknown character costs beyond the worst piece, as in the public library.
 UNKNOWN = 10.0
 
@@ -62,25 +62,39 @@ def words_of(text: str | None, cut: re.Pattern) -> list[str]:
 
 
 def _cut(pieces: Pieces) -> re.Pattern:
+    """Finds the words of a text: blanks and what follows; newlines, if no piece has one, stand alone."""
     alone = "" if any("\n" in p for p in pieces.text) else "\n"
     return re.compile(f"{alone}|{BLANK}+[^{BLANK}{alone}]*|[^{BLANK}{alone}]+" if alone else f"{BLANK}+[^{BLANK}]*|[^{BLANK}]+")
 
 
-def _counter(pattern: str):
+def _stops(pieces: Pieces) -> str:
+    """Signs that no piece has behind a letter: a word's last one can be encoded apart from it."""
+    return "".join(c for c in ".,;:!?" if not any(a.isalpha() and b == c for p in pieces.text for a, b in zip(p, p[1:], strict=False)))
+
+
+def _parts(word: str, stops: str) -> tuple[str, ...]:
+    return (word[:-1], word[-1]) if word[-1] in stops and len(word) > 1 and word[-2].isalpha() else (word,)
+
+
+def _counter(pattern: str, stops: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cut = re.compile(pattern)
         seen: Counter = Counter()
 
         def out() -> pa.RecordBatch:
-            words = sorted(seen)  # neighbours share beginnings, which compress
-            return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array([seen[w] for w in words], pa.int64())], ["word", "n"])
+            found: Counter = Counter()
+            for word, n in seen.items():
+                for part in _parts(word, stops):
+                    found[part] += n
+            seen.clear()
+            words = sorted(found)  # neighbours share beginnings, which compress
+            return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array([found[w] for w in words], pa.int64())], ["word", "n"])
 
         for batch in batches:
             for text in batch.column(0).to_pylist():
                 seen.update(words_of(text, cut))
             if len(seen) > COUNT_WORDS:
                 yield out()
-                seen.clear()
         if seen:
             yield out()
 
@@ -145,25 +159,31 @@ def _spell(pieces: Pieces):
     return run
 
 
-def _missing(head, pattern: str):
+def _missing(head, pattern: str, stops: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, cut = head.value, re.compile(pattern)
         for batch in batches:
-            rows = [(w, d) for d, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) for w in {w for w in words_of(t, cut) if w not in known}]
+            rows = []
+            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                rare = {p for w in set(words_of(text, cut)).difference(known) for p in _parts(w, stops)}.difference(known)
+                rows += [(w, doc) for w in rare]
             rows.sort()
             yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.int64())], ["word", "h"])
 
     return run
 
 
-def _encode(head, pattern: str):
+def _encode(head, pattern: str, stops: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, cut = head.value, re.compile(pattern)
         for batch in batches:
             offsets, parts, n = [0], [], 0
             for text, words, ids in zip(*(batch.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
                 own = dict(zip(words or (), ids or (), strict=True))
-                got = b"".join([known[w] if w in known else own[w] for w in words_of(text, cut)])
+                all_words = words_of(text, cut)
+                for w in set(all_words).difference(known, own):
+                    own[w] = b"".join([known[p] if p in known else own[p] for p in _parts(w, stops)])
+                got = b"".join([known[w] if w in known else own[w] for w in all_words])
                 parts.append(got)
                 n += len(got) // 4
                 offsets.append(n)
@@ -174,8 +194,8 @@ def _encode(head, pattern: str):
 
 
 def vocabulary(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """Every distinct word of the texts with its frequency and the bytes of its ids: ``word, n, ids``."""
-    counted = docs.select("text").mapInArrow(_counter(_cut(pieces).pattern), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    """Every distinct word of the texts, a stop at its end apart, with its frequency and the bytes of its ids: ``word, n, ids``."""
+    counted = docs.select("text").mapInArrow(_counter(_cut(pieces).pattern, _stops(pieces)), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
     best = lattice(counted, pieces).select("word", "n", F.col("path.s").alias("s"), F.col("path.id").alias("id"))
     return save(best.mapInArrow(_spell(pieces), "word string, n long, ids binary"), "words")
 
@@ -192,15 +212,15 @@ def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     """
     spark = docs.sparkSession
     session_defaults(spark)
-    pattern = _cut(pieces).pattern
+    pattern, stops = _cut(pieces).pattern, _stops(pieces)
     words = vocabulary(docs, pieces)
     top = words.orderBy(F.desc("n"), "word").limit(HEAD_WORDS).select("word", "ids").toArrow()
     head = spark.sparkContext.broadcast(dict(zip(top.column(0).to_pylist(), top.column(1).to_pylist(), strict=True)))
     keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("h"))
-    lacking = keyed.select("h", "text").mapInArrow(_missing(head, pattern), "word string, h long")
+    lacking = keyed.select("h", "text").mapInArrow(_missing(head, pattern, stops), "word string, h long")
     given = lacking.join(words.select("word", "ids"), "word").groupBy("h").agg(F.collect_list(F.struct("word", "ids")).alias("own"))
     joined = keyed.join(given, "h", "left").select("doc_id", "text", F.col("own.word").alias("w"), F.col("own.ids").alias("i"))
-    return joined.mapInArrow(_encode(head, pattern), f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>")
+    return joined.mapInArrow(_encode(head, pattern, stops), f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>")
 
 
 def spell(pieces: Pieces) -> list[bytes]:

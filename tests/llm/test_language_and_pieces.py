@@ -22,10 +22,11 @@ def test_mixtures_are_found(spark, sf01):
     rows = [(1, t["de"] + " " + t["fr"] + " " + t["fr"]), (2, t["en"]), (3, None), (4, "12 34 !"), (5, ""), (6, "\U0001f600"), (7, "the " * 200_000)]
     df = spark.createDataFrame([(i, x, "q") for i, x in rows], "doc_id long, text string, score string")
     got = {r["doc_id"]: r for r in M.identify(df, model).collect()}
-    assert set(got[1]["mixture"]) == {"de", "fr"} and got[1]["lang_pred"] == "fr" and 0.5 < got[1]["score"] < 0.8
+    mixed = got[1]["mixture"]
+    assert mixed["de"] + mixed["fr"] > 0.9 and mixed["de"] > 0.2 and got[1]["lang_pred"] == "fr" and 0.5 < got[1]["score"] < 0.8
     assert got[2]["mixture"] == {"en": 1.0}
     assert all((got[i]["lang_pred"], got[i]["score"]) == ("und", 0.0) for i in (3, 4, 5, 6)) and got[7]["lang_pred"] == "en"
-    kept = M.known_language(docs.union(docs.limit(1).select("doc_id", docs.text * 0 if False else M.F.lit(None).cast("string"), "lang", "source", "n_chars")))
+    kept = M.known_language(docs.union(docs.limit(1).select("doc_id", M.F.lit(None).cast("string"), "lang", "source", "n_chars")))
     assert kept.columns == docs.columns and kept.count() == docs.count()
 
 
@@ -107,7 +108,7 @@ def best(word, pieces):
     return [x for s, i in reversed(out) for x in ([i] if i >= 0 else pieces.fallback(word[s]))]
 
 
-TEXTS = ["Hello  world\n a b  ", " x", "", None, "ﬁ ① q", "the theathe withered", "naïve Ünïcode — 漢字 \U0001f600", "a" * 300, "tab\tand\r\nmore", "▁ sign", "the " * 3000]
+TEXTS = ["Hello  world\n a b  ", " x", "", None, "ﬁ ① q", "the theathe withered", "naïve Ünïcode — 漢字 \U0001f600", "a" * 300, "tab\tand\r\nmore, and. More... a.b, (c). d.\ne,", "▁ sign", "the " * 3000]
 
 
 def test_encoding_is_the_best_path(spark):
