@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import zlib
 from array import array
 from collections.abc import Iterator
@@ -28,7 +29,11 @@ BLOCK_IDS = 65_536
 #: Words remembered with their ids by one worker, in each of two generations.
 CACHE_WORDS = 400_000
 
+#: Bytes of text whose words are looked up together.
+GROUP_BYTES = 12 << 20
+
 _U = np.uint64
+_LATIN = re.compile("[a-zß-öø-ÿ]+")
 
 
 def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -41,19 +46,18 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     if top < 1 << 16:
         width = _widths16()[ids.astype(np.int64)]
     else:
-        width = np.searchsorted(_U(1) << np.arange(64, dtype=_U), ids, side="right").astype(np.int32)
+        width = np.searchsorted(_U(1) << np.arange(64, dtype=_U), ids, side="right").astype(np.uint8)
     at = np.arange(n, dtype=np.int32)
-    left = np.minimum(STRETCH - at % STRETCH, n - at)
-    step, selector = np.ones(n, np.int32), np.full(n, 15, np.int32)
-    least = int(width.min())
+    left = np.minimum(np.minimum(STRETCH - at % STRETCH, n - at), 60).astype(np.uint8)
+    step, selector = np.ones(n, np.uint8), np.full(n, 15, np.uint8)
+    widest = {1: width}  # over so many ids from each place, by doubling
     for s in range(14, 1, -1):  # from few wide ids to many narrow ones
         bits, count = BITS[s - 2], COUNTS[s - 2]
-        if bits < least:
-            break
-        ok = left >= count
-        if bits < int(width.max()):
-            stop = np.where(width > bits, at, n)
-            ok &= np.minimum.accumulate(stop[::-1])[::-1] - at >= count
+        half = 1 << (count.bit_length() - 1)
+        if half not in widest:
+            before = widest[half // 2]
+            widest[half] = np.maximum(before, _ahead(before, half // 2))
+        ok = (np.maximum(widest[half], _ahead(widest[half], count - half)) <= bits) & (left >= count)
         if not ok.any():
             break
         step[ok], selector[ok] = count, s
@@ -84,6 +88,11 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return words, anchors.astype(np.uint32), escapes.astype(np.uint32)
 
 
+def _ahead(a: np.ndarray, k: int) -> np.ndarray:
+    """What stands k places further on; beyond the end nothing fits."""
+    return np.concatenate([a[k:], np.full(min(k, len(a)), 255, np.uint8)]) if k else a
+
+
 def unpack(words: np.ndarray, n: int, escapes: np.ndarray | None = None) -> np.ndarray:
     """The ids of coded words; all words of one selector are opened at once."""
     words = np.asarray(words, _U)
@@ -116,7 +125,7 @@ def unpack_stretch(words: np.ndarray, anchors: np.ndarray, n: int, k: int, escap
 
 def _widths16(table: list = []) -> np.ndarray:  # noqa: B006  made once a process
     if not table:
-        table.append(np.maximum(1, np.ceil(np.log2(np.arange(1 << 16) + 1.0))).astype(np.int32))
+        table.append(np.maximum(1, np.ceil(np.log2(np.arange(1 << 16) + 1.0))).astype(np.uint8))
     return table[0]
 
 
@@ -159,8 +168,20 @@ class WordEncoder:
         self.by_words = all(self._ids(s.join(probe)) == apart for s in (" ", "\n", "  ", "\t", "\r\n", "\v", "\f"))
         self.caseless = self._ids("AbC ÉD") == self._ids("abc Éd")
         self.stops = [c for c in ",." if self._ids(f"Ab{c} é{c}") == [i for w in ("Ab", c, "é", c) for i in self._ids(w)]]
+        self.plain = self._plainer()
         self.special = [t.content.lower() for t in self.model.get_added_tokens_decoder().values()]
 
+    def _plainer(self):
+        """The model without normaliser and pattern, for small Latin letters, which neither changes nor cuts; or nothing."""
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        model = Tokenizer.from_str(self.model.to_str())
+        model.normalizer = None
+        model.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
+        letters = [chr(c) for c in range(256) if _LATIN.fullmatch(chr(c))]
+        probes = [*letters, "".join(letters), *(a + b for a in "aeß" for b in letters), "thereinéüber", "straße"]
+        return model if all(model.encode(w, add_special_tokens=False).ids == self._ids(w) for w in probes) else None
+
     def _ids(self, text: str) -> list[int]:
         return self.model.encode(text, add_special_tokens=False).ids
 
@@ -186,9 +207,12 @@ class WordEncoder:
             old = [w for w in lacking if w in older.place]
             known.add(old, [older.of(w) for w in old])
             new = [w for w in lacking if w not in older.place]
-            for k in range(0, len(new), 2048):
-                part = new[k : k + 2048]
-                known.add(part, [e.ids for e in self.model.encode_batch_fast(part, add_special_tokens=False)])
+            plain = [w for w in new if _LATIN.fullmatch(w)] if self.plain else []
+            rest = [w for w in new if not _LATIN.fullmatch(w)] if plain else new
+            for model, some in ((self.plain, plain), (self.model, rest)):
+                for k in range(0, len(some), 2048):
+                    part = some[k : k + 2048]
+                    known.add(part, [e.ids for e in model.encode_batch_fast(part, add_special_tokens=False)])
             for k in gaps:
                 out[k] = get(words[k])
         return np.array(out, np.int64)
@@ -239,6 +263,19 @@ class WordEncoder:
 FILE_SCHEMA = "shard int, block int, doc_lo long, doc_hi long, doc_ids binary, lengths binary, start_in_shard long, n_ids long, words binary, anchors binary, escapes binary"
 
 
+def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Batches put together up to ``GROUP_BYTES``, so that a word is looked up less often."""
+    held: list[pa.RecordBatch] = []
+    for b in batches:
+        if b.num_rows:
+            held.append(b)
+        if sum(x.nbytes for x in held) >= GROUP_BYTES:
+            yield pa.Table.from_batches(held)
+            held = []
+    if held:
+        yield pa.Table.from_batches(held)
+
+
 def _coder(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = WordEncoder.of_worker(path)
@@ -256,12 +293,12 @@ def _coder(path: str, end_id: int):
             start, block, n, ids, docs, lens = start + n, block + 1, 0, [], [], []
             return pa.RecordBatch.from_pylist([row], schema=_ARROW)
 
-        for batch in batches:
-            shard = batch.column(2)[0].as_py() if batch.num_rows else shard
-            flat, sizes = enc.encode(batch.column(1))
+        for table in _grouped(batches):
+            shard = table.column(2)[0].as_py()
+            flat, sizes = enc.encode(table.column(1).combine_chunks())
             flat = np.insert(flat, np.cumsum(sizes), end_id)
             at = 0
-            for doc, size in zip(batch.column(0).to_pylist(), (sizes + 1).tolist(), strict=True):
+            for doc, size in zip(table.column(0).to_pylist(), (sizes + 1).tolist(), strict=True):
                 ids.append(flat[at : at + size])
                 docs.append(doc)
                 lens.append(size)
