@@ -27,17 +27,21 @@ def prob_from_logprobs(lp_yes, lp_no):
 
 
 class PlantedOracle:
-    """The simulated oracle: planted predicates on ``documents``."""
+    """The simulated oracle: planted predicates on ``documents`` or on another corpus in its shape."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, queries: tuple[str, ...] = cat.ALL, mode: str = "argmax"):
-        self.spark, self.sf_dir, self.queries, self.mode = spark, sf_dir, tuple(queries), mode
+    def __init__(self, spark: SparkSession, sf_dir: str, queries: tuple[str, ...] = cat.ALL, mode: str = "argmax", corpus: DataFrame | None = None):
+        self.spark, self.sf_dir, self.queries, self.mode, self.corpus = spark, sf_dir, tuple(queries), mode, corpus
 
     def answers(self) -> DataFrame:
         """``query_id, doc_id, p_star, y, tokens, prob`` for all pairs: one scan, wide, then unpivoted."""
         views(self.spark, self.sf_dir, "documents", "benchmark")
+        if self.corpus is not None:
+            self.corpus.createOrReplaceTempView("documents")
         d, c = cat.Spark, cat.catalogue()
         cols = [f"{cat.p_star(c[q])} AS p_{q}" for q in self.queries]
         wide = self.spark.sql(f"SELECT doc_id, CAST(size(filter(split(text, ' '), x -> x <> '')) AS BIGINT) AS tokens, {', '.join(cols)} FROM ({cat.rich(d, self.queries)}) documents")
+        if self.corpus is not None:
+            views(self.spark, self.sf_dir, "documents")
         clip = {q: f"least(greatest(p_{q}, 1e-12D), 1 - 1e-12D)" for q in self.queries}
         parts = ", ".join(f"named_struct('query_id', '{q}', 'p_star', p_{q}, 'y', {cat.answer(q, f'p_{q}', self.mode)}, 'prob', {cat.prebuilt_p(clip[q], q)})" for q in self.queries)
         return wide.select("doc_id", "tokens", F.explode(F.expr(f"array({parts})")).alias("r")).select("r.query_id", "doc_id", "r.p_star", F.col("r.y").cast("int").alias("y"), "tokens", "r.prob")

@@ -450,3 +450,35 @@ def scale_lineitem_calibrate(spark, sf):
     return spark.createDataFrame([(int(i), int(n)) for i, n in enumerate(counts)], "bucket int, n long")
 
 
+@key("rq1_corpora")
+def rq1_corpora(spark, sf):
+    """The deployable cascades on the two other text corpora."""
+    out = []
+    for name in ("pages", "conversations"):
+        b = ms.Bench.documents(spark, sf, ("Q06", "Q17"), Config(), name)
+        out += [ms.run_prebuilt(b), ms.run_trained(b), ms.run_two_phase(b)]
+    return shown(spark, *out)
+
+
+@key("stress_vectors")
+def stress_vectors(spark, sf):
+    """Vectors alone: a predicate that they carry, and one that they do not."""
+    b = ms.Bench.vectors(spark, sf)
+    return shown(spark, ms.run_trained(b), ms.run_trained(b, "biencoder", "smoothed_histogram"))
+
+
+@key("cal_split")
+def cal_split(spark, sf):
+    """Calibration on the half of C that the constraint did not see, beside the default."""
+    b = bench(spark, sf, ("Q19",))
+    split = ms.run_trained(replace(b, cfg=replace(b.cfg, split_cal=True)), name="hybrid_split_cal")
+    return shown(spark, ms.run_trained(b), split)
+
+
+@key("vote_error_bound")
+def vote_error_bound(spark, sf):
+    """Share of wrong majorities among propagated documents of each query, to be held against 1 - alpha."""
+    b = bench(spark, sf, ("Q01", "Q03"))
+    r = ms.run_cluster_vote(b)
+    j = r.predictions.filter("origin = 'propagated'").join(b.answers, ["query_id", "doc_id"])
+    return j.groupBy("query_id").agg(F.count("*").alias("n"), F.round(F.avg((F.col("yhat") != F.col("y")).cast("double")), 6).alias("error"))

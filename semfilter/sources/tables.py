@@ -55,3 +55,16 @@ def strip_html(html):
     bare = F.regexp_replace(html, r"(?is)<(script|style)[^>]*>.*?</(script|style)>", " ")
     bare = F.regexp_replace(F.regexp_replace(bare, r"<[^>]*>", " "), r"&[a-zA-Z#0-9]+;", " ")
     return F.trim(F.regexp_replace(bare, r"\s+", " "))
+
+
+def corpus(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A text corpus in the shape of ``documents``: stripped pages, or one document a turn of a conversation."""
+    if name == "documents":
+        return table(spark, sf_dir, name)
+    if name == "pages":
+        text = table(spark, sf_dir, name).select(F.col("page_id").alias("doc_id"), strip_html(F.col("html")).alias("text"), F.regexp_extract("html", r'lang="?([a-z]{2})', 1).alias("lang"), F.regexp_extract("url", r"//([^/]+)", 1).alias("source"))
+    elif name == "conversations":
+        text = table(spark, sf_dir, name).select((F.col("conv_id") * 1000 + F.col("turn")).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.lit("").alias("lang"), F.col("role").alias("source"))
+    else:
+        raise ValueError(f"no text corpus {name}")
+    return text.withColumn("n_chars", F.length("text").cast("long"))
