@@ -2,24 +2,25 @@
 
 from __future__ import annotations
 
-import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import save, session_defaults
 
 #: The sign that stands for a blank.
 BLANK = "▁"
-#: Words, most frequent first, whose ids are broadcast; the others meet their documents by shuffle.
-HEAD_WORDS = 1 << 17
-#: Distinct words that a worker counts before it passes them on.
-COUNT_WORDS = 150_000
+#: Words, most frequent first, whose ids are broadcast (some 40 bytes each); the others meet their documents by shuffle.
+HEAD_WORDS = 1 << 20
+#: Bytes of text whose words are counted or looked up together.
+GROUP_BYTES = 12 << 20
+#: Words whose lattices are built together.
+WORD_ROWS = 20_000
 #: What an unknown character costs beyond the worst piece, as in the public library.
 UNKNOWN = 10.0
 
@@ -56,155 +57,256 @@ class Pieces:
         return [self.bytes_[b] for b in char.encode("utf-8", "surrogatepass")] if self.bytes_ else [self.unknown]
 
 
-def words_of(text: str | None, cut: re.Pattern) -> list[str]:
-    """A text's stretches between which no piece reaches: blanks and what follows; characters of no piece alone."""
-    return cut.findall(BLANK + text.replace(" ", BLANK)) if text else []
+def _stops(pieces: Pieces) -> list[str]:
+    """Signs that no piece has behind a letter: a word's last one is encoded apart from it."""
+    return [c for c in ".,;:!?" if not any(a.isalpha() and b == c for p in pieces.text for a, b in zip(p, p[1:], strict=False))]
 
 
-def _cut(pieces: Pieces) -> re.Pattern:
-    """Finds the words of a text: blanks and what follows; newlines, if no piece has one, stand alone."""
-    alone = "" if any("\n" in p for p in pieces.text) else "\n"
-    return re.compile(f"{alone}|{BLANK}+[^{BLANK}{alone}]*|[^{BLANK}{alone}]+" if alone else f"{BLANK}+[^{BLANK}]*|[^{BLANK}]+")
+def words_of(texts: pa.Array, newline: bool, stops: list[str]) -> tuple[pa.Array, np.ndarray]:
+    """Words of texts one after another, and how many each text has.
 
+    A word is blank signs and what follows, as the library puts one before the text; newlines are words if
+    no piece holds one (``newline``), and so is a stop at the end of letters. No piece reaches from
+    one word into another, so words can be encoded apart.
+    """
+    texts = pc.fill_null(texts, "")
+    led = pc.binary_join_element_wise(pa.scalar(" "), texts, "")
+    marked = pc.replace_substring(pc.if_else(pc.equal(texts, ""), "", led), " ", f" {BLANK}")
+    for _ in range(2):  # pairs, then pairs of pairs: runs of blanks stay together
+        marked = pc.replace_substring(marked, f"{BLANK} {BLANK}", BLANK + BLANK)
+    if newline:
+        marked = pc.replace_substring(marked, "\n", " \n ")
+    if stops:
+        signs = "".join(stops)
+        marked = pc.replace_substring_regex(marked, rf"(\pL)([{signs}])( |$)", r"\1 \2\3")
+    lists = pc.split_pattern(marked, " ")
+    flat = lists.flatten()
+    keep = pc.not_equal(flat, "")
+    seen = np.concatenate([[0], np.cumsum(keep.to_numpy(zero_copy_only=False))])
+    offsets = lists.offsets.to_numpy() - lists.offsets[0].as_py()
+    return flat.filter(keep), np.diff(seen[offsets])
+
+
+def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    held: list[pa.RecordBatch] = []
+    for b in batches:
+        if b.num_rows:
+            held.append(b)
+        if sum(x.nbytes for x in held) >= GROUP_BYTES:
+            yield pa.Table.from_batches(held)
+            held = []
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def _batches(schema: dict[str, pa.DataType], *columns) -> Iterator[pa.RecordBatch]:
+    table = pa.table(dict(zip(schema, columns, strict=True)), schema=pa.schema(list(schema.items())))
+    yield from table.combine_chunks().to_batches(max_chunksize=50_000)
+
+
+def _counter(newline: bool, stops: list[str]):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in _grouped(batches):
+            words, _ = words_of(group.column(0).combine_chunks(), newline, stops)
+            found = pc.value_counts(words)
+            order = pc.sort_indices(found.field(0))  # neighbours share beginnings, which compress
+            yield from _batches({"word": pa.string(), "n": pa.int64()}, found.field(0).take(order), found.field(1).take(order))
 
-def _stops(pieces: Pieces) -> str:
-    """Signs that no piece has behind a letter: a word's last one can be encoded apart from it."""
-    return "".join(c for c in ".,;:!?" if not any(a.isalpha() and b == c for p in pieces.text for a, b in zip(p, p[1:], strict=False)))
-
+    return run
 
-def _parts(word: str, stops: str) -> tuple[str, ...]:
-    return (word[:-1], word[-1]) if word[-1] in stops and len(word) > 1 and word[-2].isalpha() else (word,)
 
+class PieceTable:
+    """Pieces by length, as sorted hashes of their characters, with those of all their beginnings."""
+
+    def __init__(self, pieces: Pieces):
+        self.worst = min((s for _, s in pieces.text.values()), default=0.0) - UNKNOWN
+        by: dict[int, dict[int, tuple[int, float]]] = {}
+        starts: dict[int, set[int]] = {}
+        for p, (i, s) in pieces.text.items():
+            h = np.zeros(1, np.uint64)
+            for k, c in enumerate(p, 1):
+                h = self.step(h, np.array([ord(c)], np.uint64))
+                starts.setdefault(k, set()).add(int(h[0]))
+            by.setdefault(len(p), {})[int(h[0])] = (i, s)
+        self.starts = {k: np.array(sorted(v), np.uint64) for k, v in starts.items()}
+        self.rows = {}
+        for k, v in by.items():
+            keys = sorted(v)
+            self.rows[k] = (np.array(keys, np.uint64), np.array([v[x][0] for x in keys], np.int32), np.array([v[x][1] for x in keys]))
+
+    @staticmethod
+    def step(h: np.ndarray, c: np.ndarray) -> np.ndarray:
+        h = (h + c + np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)
+        return h ^ (h >> np.uint64(32))
+
+    @staticmethod
+    def find(keys: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
+        return at, keys[at] == h
+
+    def edges(self, words: list[str]) -> tuple[np.ndarray, ...]:
+        """Edges of the words' lattices: end, start, id and score, by word, end and start; and their number at each end.
+
+        Every place begins substrings of growing length, exploded a length at a time while some piece begins
+        so; those found in the table of that length (an equi-join on the hash) are edges. A
+        character that is no piece gets an edge with id -1.
+        """
+        code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+        size = np.fromiter(map(len, words), np.int64, len(words))
+        first = np.repeat(np.cumsum(size) - size, size)
+        end = np.repeat(np.cumsum(size), size)
+        at, h = np.arange(len(code)), np.zeros(len(code), np.uint64)
+        got = []
+        single = np.zeros(len(code), bool)
+        for length in range(1, max(self.starts, default=0) + 1):
+            inside = at + length <= end[at]
+            at, h = at[inside], h[inside]
+            h = self.step(h, code[at + length - 1])
+            if length in self.rows:
+                keys, ids, scores = self.rows[length]
+                k, hit = self.find(keys, h)
+                got.append((at[hit] + length, at[hit], ids[k[hit]], scores[k[hit]]))
+                if length == 1:
+                    single[at[hit]] = True
+            _, more = self.find(self.starts[length], h)
+            at, h = at[more], h[more]
+            if not len(at):
+                break
+        lone = np.flatnonzero(~single)
+        got.append((lone + 1, lone, np.full(len(lone), -1, np.int32), np.full(len(lone), self.worst)))
+        e, s, i, w = (np.concatenate(x) for x in zip(*got, strict=True))
+        order = np.argsort(e * 64 - (e - s), kind="stable")
+        e, s, i, w = e[order], s[order], i[order], w[order]
+        return (e - first[s]).astype(np.int32), (s - first[s]).astype(np.int32), i, w, np.bincount(e - 1, minlength=len(code)), size
+
+
+def _lattices(pieces: Pieces):
+    table = PieceTable(pieces)
 
-def _counter(pattern: str, stops: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cut = re.compile(pattern)
-        seen: Counter = Counter()
-
-        def out() -> pa.RecordBatch:
-            found: Counter = Counter()
-            for word, n in seen.items():
-                for part in _parts(word, stops):
-                    found[part] += n
-            seen.clear()
-            words = sorted(found)  # neighbours share beginnings, which compress
-            return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array([found[w] for w in words], pa.int64())], ["word", "n"])
-
+        kind = pa.struct([("s", pa.int32()), ("w", pa.float64()), ("id", pa.int32())])
         for batch in batches:
-            for text in batch.column(0).to_pylist():
-                seen.update(words_of(text, cut))
-            if len(seen) > COUNT_WORDS:
-                yield out()
-        if seen:
-            yield out()
+            for k in range(0, batch.num_rows, WORD_ROWS):
+                part = batch.slice(k, WORD_ROWS)
+                _, s, i, w, ends, size = table.edges(part.column(0).to_pylist())
+                flat = pa.StructArray.from_arrays([pa.array(s), pa.array(w), pa.array(i)], fields=list(kind))
+                by_end = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(ends)]), pa.int32()), flat)
+                by_word = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]), pa.int32()), by_end)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), by_word], ["word", "n", "ends"])
 
     return run
 
 
-def piece_table(spark: SparkSession, pieces: Pieces) -> DataFrame:
-    """``piece, id, score`` of all pieces of text."""
-    return spark.createDataFrame([(p, i, s) for p, (i, s) in pieces.text.items()], "piece string, id int, score double")
-
-
 def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
-    """Best segmentation of each distinct word: ``word, n, path``, path being (start, end, id) edges in order.
+    """Best segmentation of each distinct word: ``word, n, s, id``, starts and ids of its pieces in order.
 
-    ``words`` is ``word, n`` spread by word, and stays so: its substrings up to the longest piece are
-    exploded, those that are pieces survive an equi-join with the piece table (broadcast; its size is
-    the model's), a character of no piece gets an edge with id -1, and edges are grouped by word. A fold over
-    a word's edges, sorted by end and start, keeps for each position the best score and the edge
-    that gave it; among equal scores the longest piece stays, as in the public library. A second fold walks back.
+    ``words`` has ``word, n`` and is spread by word. The edges of a word's lattice, grouped by their end,
+    come from the join of its substrings with the pieces; the Viterbi fold goes over the ends
+    with Spark's ``aggregate``, keeping for each the best score and the edge that gave it, among equal
+    scores the one that starts first, as in the public library. A second fold walks back.
     """
-    spark = words.sparkSession
-    table = F.broadcast(piece_table(spark, pieces))
-    longest = max(map(len, pieces.text), default=1)
-    worst = min((s for _, s in pieces.text.values()), default=0.0) - UNKNOWN
-    at = words.select("word", "n", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("s"))
-    cut = at.select("word", "n", "s", F.explode(F.sequence(F.lit(1), F.least(F.lit(longest), F.length("word") - F.col("s") + 1))).alias("l"))
-    cut = cut.select("word", "n", "s", "l", F.substring("word", F.col("s"), F.col("l")).alias("piece"))
-    met = cut.join(table, "piece", "left").filter("id IS NOT NULL OR l = 1")
-    edge = F.struct((F.col("s") + F.col("l") - 1).alias("e"), (F.col("s") - 1).alias("s"), F.coalesce("score", F.lit(worst)).alias("w"), F.coalesce("id", F.lit(-1)).alias("id"))
-    grouped = met.groupBy("word").agg(F.max("n").alias("n"), F.sort_array(F.collect_list(edge)).alias("edges"))
+    edges = words.mapInArrow(_lattices(pieces), "word string, n long, ends array<array<struct<s:int,w:double,id:int>>>")
     node = "struct<w:double,s:int,id:int>"
-    best = f"""aggregate(edges, cast(array(named_struct('w', 0D, 's', -1, 'id', -1)) as array<{node}>), (b, x) -> CASE
-        WHEN size(b) <= x.e THEN array_append(b, cast(named_struct('w', b[x.s].w + x.w, 's', x.s, 'id', x.id) as {node}))
-        WHEN b[x.s].w + x.w > b[x.e].w THEN array_append(slice(b, 1, x.e), cast(named_struct('w', b[x.s].w + x.w, 's', x.s, 'id', x.id) as {node}))
-        ELSE b END)"""
-    walk = """aggregate(sequence(size(best) - 1, 1, -1), named_struct('at', size(best) - 1, 'path', cast(array() as array<struct<s:int,e:int,id:int>>)),
-        (a, p) -> CASE WHEN p = a.at THEN named_struct('at', best[p].s, 'path', array_prepend(a.path, named_struct('s', best[p].s, 'e', p, 'id', best[p].id))) ELSE a END).path"""
-    return grouped.select("word", "n", F.expr(best).alias("best")).select("word", "n", F.expr(walk).alias("path"))
-
-
-def _ids(pieces_fallback: tuple[int, ...] | None, unknown: int, word: str, starts: list[int], ids: list[int]) -> bytes:
-    out: list[int] = []
-    for s, i in zip(starts, ids, strict=True):
-        if i >= 0:
-            out.append(i)
-        elif pieces_fallback:
-            out += [pieces_fallback[b] for b in word[s].encode("utf-8", "surrogatepass")]
-        elif not out or out[-1] != unknown:
-            out.append(unknown)
-    return np.array(out, "<i4").tobytes()
+    best = f"""aggregate(ends, cast(array(named_struct('w', 0D, 's', 0, 'id', -1)) as array<{node}>), (b, es) ->
+        array_append(b, array_max(transform(es, x -> cast(named_struct('w', b[x.s].w + x.w, 's', -x.s, 'id', x.id) as {node})))))"""
+    walk = """aggregate(sequence(size(best) - 1, 1, -1), named_struct('at', size(best) - 1, 's', cast(array() as array<int>), 'id', cast(array() as array<int>)),
+        (a, p) -> if(p = a.at, named_struct('at', -best[p].s, 's', array_prepend(a.s, -best[p].s), 'id', array_prepend(a.id, best[p].id)), a))"""
+    return edges.select("word", "n", F.expr(best).alias("best")).select("word", "n", F.expr(walk).alias("p")).select("word", "n", "p.s", "p.id")
+
+
+def _flat(lists: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Values of a list column one after another, and how many each row has."""
+    return lists.flatten().to_numpy(zero_copy_only=False), np.diff(lists.offsets.to_numpy())
+
+
+def _as_bytes(ids: np.ndarray, sizes: np.ndarray) -> pa.Array:
+    offsets = np.concatenate([[0], np.cumsum(sizes)]) * 4
+    return pa.BinaryArray.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer(offsets.astype(np.int32).tobytes()), pa.py_buffer(ids.astype("<i4").tobytes())])
 
 
 def _spell(pieces: Pieces):
     """Words' paths as the bytes of their ids, unknown characters spelled by bytes."""
-    fallback, unknown = pieces.bytes_, pieces.unknown
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = [_ids(fallback, unknown, w, s, i) for w, s, i in zip(*(batch.column(k).to_pylist() for k in (0, 2, 3)), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], ["word", "n", "ids"])
+            ids, sizes = _flat(batch.column(3))
+            lone = np.flatnonzero(ids < 0)
+            if len(lone):
+                starts, _ = _flat(batch.column(2))
+                row = np.repeat(np.arange(len(sizes)), sizes)
+                words = batch.column(0).take(pa.array(row[lone])).to_pylist()
+                spelled = [pieces.fallback(w[s]) for w, s in zip(words, starts[lone].tolist(), strict=True)]
+                many = np.ones(len(ids), np.int64)
+                many[lone] = [len(x) for x in spelled]
+                out = np.repeat(ids, many)
+                out[out < 0] = [i for x in spelled for i in x]
+                ids, sizes = out, np.bincount(row, weights=many, minlength=len(sizes)).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), _as_bytes(ids, sizes)], ["word", "n", "ids"])
 
     return run
 
 
-def _missing(head, pattern: str, stops: str):
+def _missing(head, newline: bool, stops: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, cut = head.value, re.compile(pattern)
-        for batch in batches:
-            rows = []
-            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                rare = {p for w in set(words_of(text, cut)).difference(known) for p in _parts(w, stops)}.difference(known)
-                rows += [(w, doc) for w in rare]
-            rows.sort()
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.int64())], ["word", "h"])
+        known = head.value[0]
+        for group in _grouped(batches):
+            words, counts = words_of(group.column(1).combine_chunks(), newline, stops)
+            coded = words.dictionary_encode()
+            rare = pc.is_null(pc.index_in(coded.dictionary, known)).to_numpy(zero_copy_only=False)
+            index = coded.indices.to_numpy()
+            on = np.flatnonzero(rare[index]) if len(index) else np.empty(0, np.int64)
+            pairs = np.unique(index[on].astype(np.int64) * len(counts) + np.repeat(np.arange(len(counts)), counts)[on])
+            kinds, docs = coded.dictionary.take(pa.array(pairs // max(1, len(counts)))), group.column(0).combine_chunks().take(pa.array(pairs % max(1, len(counts))))
+            order = pc.sort_indices(kinds)
+            yield from _batches({"word": pa.string(), "h": pa.int64()}, kinds.take(order), docs.take(order))
 
     return run
 
 
-def _encode(head, pattern: str, stops: str):
+def _encode(head, newline: bool, stops: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, cut = head.value, re.compile(pattern)
-        for batch in batches:
-            offsets, parts, n = [0], [], 0
-            for text, words, ids in zip(*(batch.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
-                own = dict(zip(words or (), ids or (), strict=True))
-                all_words = words_of(text, cut)
-                for w in set(all_words).difference(known, own):
-                    own[w] = b"".join([known[p] if p in known else own[p] for p in _parts(w, stops)])
-                got = b"".join([known[w] if w in known else own[w] for w in all_words])
-                parts.append(got)
-                n += len(got) // 4
-                offsets.append(n)
-            flat = pa.array(np.frombuffer(b"".join(parts), "<i4"), pa.int32())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), flat)], ["doc_id", "text", "ids"])
+        known, known_ids = head.value
+        for group in _grouped(batches):
+            doc, text = group.column(0).combine_chunks(), group.column(1).combine_chunks()
+            own, own_ids = (pc.list_flatten(group.column(k).combine_chunks()) for k in (2, 3))
+            words, counts = words_of(text, newline, stops)
+            coded = words.dictionary_encode()
+            place = pc.fill_null(pc.index_in(coded.dictionary, known), -1).to_numpy().astype(np.int64)
+            if (place < 0).any():
+                rare = np.flatnonzero(place < 0)
+                place[rare] = pc.index_in(coded.dictionary.take(pa.array(rare)), own).to_numpy() + len(known)
+            table = pa.concat_arrays([known_ids.take(pa.array(place[place < len(known)])), own_ids.take(pa.array(place[place >= len(known)] - len(known)))])
+            slot = np.empty(len(place), np.int64)
+            slot[np.concatenate([np.flatnonzero(place < len(known)), np.flatnonzero(place >= len(known))])] = np.arange(len(place))
+            at = np.frombuffer(table.buffers()[1], np.int32)[: len(table) + 1] // 4
+            flat = np.frombuffer(table.buffers()[2] or b"", "<i4")[: at[-1]]
+            word = slot[coded.indices.to_numpy()]
+            size = at[word + 1] - at[word]
+            total = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
+            ids = flat[np.repeat(at[word] - total[:-1], size) + np.arange(total[-1])]
+            rows = total[np.concatenate([[0], np.cumsum(counts)])]
+            out = pa.ListArray.from_arrays(pa.array(rows, pa.int32()), pa.array(ids, pa.int32()))
+            yield pa.RecordBatch.from_arrays([doc, text, out], ["doc_id", "text", "ids"])
 
     return run
 
 
 def vocabulary(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """Every distinct word of the texts, a stop at its end apart, with its frequency and the bytes of its ids: ``word, n, ids``."""
-    counted = docs.select("text").mapInArrow(_counter(_cut(pieces).pattern, _stops(pieces)), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
-    best = lattice(counted, pieces).select("word", "n", F.col("path.s").alias("s"), F.col("path.id").alias("id"))
+    """Every distinct word of the texts with its frequency and the bytes of its ids: ``word, n, ids``."""
+    counted = docs.select("text").mapInArrow(_counter(*_plan(pieces)), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    best = lattice(counted, pieces).select("word", "n", "s", "id")
     return save(best.mapInArrow(_spell(pieces), "word string, n long, ids binary"), "words")
 
 
+def _plan(pieces: Pieces) -> tuple[bool, list[str]]:
+    return not any("\n" in p for p in pieces.text), _stops(pieces)
+
+
 def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     """Ids of every whole text by the highest sum of piece scores: ``doc_id, text, ids``.
 
-    Words are counted per task and met over the corpus, so each distinct word is segmented once; the
-    ``HEAD_WORDS`` most frequent ones (a bounded table) are broadcast, and the rest are joined to the
+    Words are counted a group of documents at a time and met over the corpus, so each distinct word is segmented
+    once; the ``HEAD_WORDS`` most frequent ones (a bounded table) are broadcast, and the rest are joined to the
     documents that use them. Blanks become the blank sign and one is put before the text, as in the library.
 
     Reads ``doc_id, text``; other columns are ignored. Null and empty texts have no ids; a null doc_id
@@ -212,15 +314,15 @@ def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     """
     spark = docs.sparkSession
     session_defaults(spark)
-    pattern, stops = _cut(pieces).pattern, _stops(pieces)
+    newline, stops = _plan(pieces)
     words = vocabulary(docs, pieces)
     top = words.orderBy(F.desc("n"), "word").limit(HEAD_WORDS).select("word", "ids").toArrow()
-    head = spark.sparkContext.broadcast(dict(zip(top.column(0).to_pylist(), top.column(1).to_pylist(), strict=True)))
+    head = spark.sparkContext.broadcast((top.column(0).combine_chunks(), top.column(1).combine_chunks()))
     keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("h"))
-    lacking = keyed.select("h", "text").mapInArrow(_missing(head, pattern, stops), "word string, h long")
+    lacking = keyed.select("h", "text").mapInArrow(_missing(head, newline, stops), "word string, h long")
     given = lacking.join(words.select("word", "ids"), "word").groupBy("h").agg(F.collect_list(F.struct("word", "ids")).alias("own"))
-    joined = keyed.join(given, "h", "left").select("doc_id", "text", F.col("own.word").alias("w"), F.col("own.ids").alias("i"))
-    return joined.mapInArrow(_encode(head, pattern, stops), f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>")
+    joined = keyed.join(given, "h", "left").select("doc_id", "text", F.coalesce("own.word", F.array().cast("array<string>")).alias("w"), F.coalesce("own.ids", F.array().cast("array<binary>")).alias("i"))
+    return joined.mapInArrow(_encode(head, newline, stops), f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>")
 
 
 def spell(pieces: Pieces) -> list[bytes]:
@@ -234,14 +336,19 @@ def spell(pieces: Pieces) -> list[bytes]:
 
 
 def _decode(table: list[bytes]):
+    size_of = np.array([len(b) for b in table], np.int64)
+    begin, raw = np.cumsum(size_of) - size_of, np.frombuffer(b"".join(table), np.uint8)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = []
             lists = batch.column(batch.num_columns - 1)
-            for ids in lists:
-                row = ids.values.to_numpy().tolist() if ids.is_valid else None
-                texts.append(None if row is None else b"".join([table[i] for i in row])[1:].decode("utf-8", "replace"))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], [*batch.schema.names, "decoded"])
+            ids, counts = _flat(lists)
+            size = size_of[ids]
+            total = np.concatenate([[0], np.cumsum(size)])
+            data = raw[np.repeat(begin[ids] - total[:-1], size) + np.arange(total[-1])].tobytes()
+            ends = total[np.concatenate([[0], np.cumsum(counts)])].tolist()
+            texts = [data[a + 1 : b].decode("utf-8", "replace") for a, b in zip(ends, ends[1:], strict=False)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string(), mask=lists.is_null().to_numpy(zero_copy_only=False))], [*batch.schema.names, "decoded"])
 
     return run
 
