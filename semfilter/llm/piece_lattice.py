@@ -11,16 +11,16 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import save, session_defaults
+from .common import lean, save, session_defaults
 
 #: The sign that stands for a blank.
 BLANK = "▁"
 #: Words, most frequent first, whose ids are broadcast (some 40 bytes each); the others meet their documents by shuffle.
-HEAD_WORDS = 1 << 20
+HEAD_WORDS = 1 << 19
 #: Bytes of text whose words are counted or looked up together.
-GROUP_BYTES = 12 << 20
+GROUP_BYTES = 4 << 20
 #: Words whose lattices are built together.
-WORD_ROWS = 20_000
+WORD_ROWS = 2_000
 #: What an unknown character costs beyond the worst piece, as in the public library.
 UNKNOWN = 10.0
 
@@ -88,6 +88,7 @@ def words_of(texts: pa.Array, newline: bool, stops: list[str]) -> tuple[pa.Array
 
 
 def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    lean()
     held: list[pa.RecordBatch] = []
     for b in batches:
         if b.num_rows:
@@ -97,6 +98,8 @@ def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
             held = []
     if held:
         yield pa.Table.from_batches(held)
+    held = []
+    lean()
 
 
 def _batches(schema: dict[str, pa.DataType], *columns) -> Iterator[pa.RecordBatch]:
@@ -184,6 +187,7 @@ def _lattices(pieces: Pieces):
     table = PieceTable(pieces)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean()
         kind = pa.struct([("s", pa.int32()), ("w", pa.float64()), ("id", pa.int32())])
         for batch in batches:
             for k in range(0, batch.num_rows, WORD_ROWS):
@@ -219,31 +223,14 @@ def _flat(lists: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return lists.flatten().to_numpy(zero_copy_only=False), np.diff(lists.offsets.to_numpy())
 
 
-def _as_bytes(ids: np.ndarray, sizes: np.ndarray) -> pa.Array:
-    offsets = np.concatenate([[0], np.cumsum(sizes)]) * 4
-    return pa.BinaryArray.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer(offsets.astype(np.int32).tobytes()), pa.py_buffer(ids.astype("<i4").tobytes())])
-
-
-def _spell(pieces: Pieces):
-    """Words' paths as the bytes of their ids, unknown characters spelled by bytes."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids, sizes = _flat(batch.column(3))
-            lone = np.flatnonzero(ids < 0)
-            if len(lone):
-                starts, _ = _flat(batch.column(2))
-                row = np.repeat(np.arange(len(sizes)), sizes)
-                words = batch.column(0).take(pa.array(row[lone])).to_pylist()
-                spelled = [pieces.fallback(w[s]) for w, s in zip(words, starts[lone].tolist(), strict=True)]
-                many = np.ones(len(ids), np.int64)
-                many[lone] = [len(x) for x in spelled]
-                out = np.repeat(ids, many)
-                out[out < 0] = [i for x in spelled for i in x]
-                ids, sizes = out, np.bincount(row, weights=many, minlength=len(sizes)).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), _as_bytes(ids, sizes)], ["word", "n", "ids"])
-
-    return run
+def _spelled(pieces: Pieces) -> str:
+    """Ids of a path in SQL, unknown characters spelled by the ids of their bytes."""
+    if not pieces.bytes_:
+        return f"transform(id, i -> if(i < 0, {pieces.unknown}, i))"
+    of_byte = f"array({', '.join(map(str, pieces.bytes_))})"
+    char = "hex(encode(substr(word, x.s + 1, 1), 'UTF-8'))"
+    spell = f"transform(sequence(1, length({char}) div 2), k -> element_at({of_byte}, cast(conv(substr({char}, 2 * k - 1, 2), 16, 10) as int) + 1))"
+    return f"if(array_min(id) >= 0, id, flatten(transform(arrays_zip(s, id), x -> if(x.id >= 0, array(x.id), {spell}))))"
 
 
 def _missing(head, newline: bool, stops: list[str]):
@@ -263,12 +250,12 @@ def _missing(head, newline: bool, stops: list[str]):
     return run
 
 
-def _encode(head, newline: bool, stops: list[str]):
+def _encode(head, newline: bool, stops: list[str], letters: tuple | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, known_ids = head.value
         for group in _grouped(batches):
             doc, text = group.column(0).combine_chunks(), group.column(1).combine_chunks()
-            own, own_ids = (pc.list_flatten(group.column(k).combine_chunks()) for k in (2, 3))
+            own, own_ids = group.column(2).combine_chunks().flatten(), group.column(3).combine_chunks().flatten()
             words, counts = words_of(text, newline, stops)
             coded = words.dictionary_encode()
             place = pc.fill_null(pc.index_in(coded.dictionary, known), -1).to_numpy().astype(np.int64)
@@ -278,32 +265,33 @@ def _encode(head, newline: bool, stops: list[str]):
             table = pa.concat_arrays([known_ids.take(pa.array(place[place < len(known)])), own_ids.take(pa.array(place[place >= len(known)] - len(known)))])
             slot = np.empty(len(place), np.int64)
             slot[np.concatenate([np.flatnonzero(place < len(known)), np.flatnonzero(place >= len(known))])] = np.arange(len(place))
-            at = np.frombuffer(table.buffers()[1], np.int32)[: len(table) + 1] // 4
-            flat = np.frombuffer(table.buffers()[2] or b"", "<i4")[: at[-1]]
+            flat, many = _flat(table)
+            at = np.concatenate([[0], np.cumsum(many)])
             word = slot[coded.indices.to_numpy()]
             size = at[word + 1] - at[word]
             total = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
             ids = flat[np.repeat(at[word] - total[:-1], size) + np.arange(total[-1])]
             rows = total[np.concatenate([[0], np.cumsum(counts)])]
             out = pa.ListArray.from_arrays(pa.array(rows, pa.int32()), pa.array(ids, pa.int32()))
-            yield pa.RecordBatch.from_arrays([doc, text, out], ["doc_id", "text", "ids"])
+            more = [decode_ids(out, *letters)] if letters else []
+            yield pa.RecordBatch.from_arrays([doc, text, out, *more], ["doc_id", "text", "ids", "decoded"][: 3 + len(more)])
 
     return run
 
 
 def vocabulary(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """Every distinct word of the texts with its frequency and the bytes of its ids: ``word, n, ids``."""
+    """Every distinct word of the texts with its frequency and ids: ``word, n, ids``."""
     counted = docs.select("text").mapInArrow(_counter(*_plan(pieces)), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
-    best = lattice(counted, pieces).select("word", "n", "s", "id")
-    return save(best.mapInArrow(_spell(pieces), "word string, n long, ids binary"), "words")
+    return save(lattice(counted, pieces).select("word", "n", F.expr(_spelled(pieces)).alias("ids")), "words")
 
 
 def _plan(pieces: Pieces) -> tuple[bool, list[str]]:
     return not any("\n" in p for p in pieces.text), _stops(pieces)
 
 
-def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """Ids of every whole text by the highest sum of piece scores: ``doc_id, text, ids``.
+def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
+    """Ids of every whole text by the highest sum of piece scores: ``doc_id, text, ids``; with ``decoded``, also
+    what :func:`decode` makes of them, in the same pass.
 
     Words are counted a group of documents at a time and met over the corpus, so each distinct word is segmented
     once; the ``HEAD_WORDS`` most frequent ones (a bounded table) are broadcast, and the rest are joined to the
@@ -321,8 +309,9 @@ def encode(docs: DataFrame, pieces: Pieces) -> DataFrame:
     keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("h"))
     lacking = keyed.select("h", "text").mapInArrow(_missing(head, newline, stops), "word string, h long")
     given = lacking.join(words.select("word", "ids"), "word").groupBy("h").agg(F.collect_list(F.struct("word", "ids")).alias("own"))
-    joined = keyed.join(given, "h", "left").select("doc_id", "text", F.coalesce("own.word", F.array().cast("array<string>")).alias("w"), F.coalesce("own.ids", F.array().cast("array<binary>")).alias("i"))
-    return joined.mapInArrow(_encode(head, newline, stops), f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>")
+    joined = keyed.join(given, "h", "left").select("doc_id", "text", F.coalesce("own.word", F.array().cast("array<string>")).alias("w"), F.coalesce("own.ids", F.array().cast("array<array<int>>")).alias("i"))
+    schema = f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>" + ", decoded string" * decoded
+    return joined.mapInArrow(_encode(head, newline, stops, letters_of(pieces) if decoded else None), schema)
 
 
 def spell(pieces: Pieces) -> list[bytes]:
@@ -335,20 +324,28 @@ def spell(pieces: Pieces) -> list[bytes]:
     return out
 
 
-def _decode(table: list[bytes]):
-    size_of = np.array([len(b) for b in table], np.int64)
-    begin, raw = np.cumsum(size_of) - size_of, np.frombuffer(b"".join(table), np.uint8)
+def letters_of(pieces: Pieces) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """What ids stand for, as one run of bytes with each id's begin and size."""
+    table = spell(pieces)
+    size = np.array([len(b) for b in table], np.int64)
+    return np.frombuffer(b"".join(table), np.uint8), np.cumsum(size) - size, size
+
+
+def decode_ids(lists: pa.Array, raw: np.ndarray, begin: np.ndarray, size_of: np.ndarray) -> pa.Array:
+    """Texts of lists of ids."""
+    ids, counts = _flat(lists)
+    size = size_of[ids]
+    total = np.concatenate([[0], np.cumsum(size)])
+    data = raw[np.repeat(begin[ids] - total[:-1], size) + np.arange(total[-1])].tobytes()
+    ends = total[np.concatenate([[0], np.cumsum(counts)])].tolist()
+    texts = [data[a + 1 : b].decode("utf-8", "replace") for a, b in zip(ends, ends[1:], strict=False)]
+    return pa.array(texts, pa.string(), mask=lists.is_null().to_numpy(zero_copy_only=False))
+
 
+def _decode(letters: tuple):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            lists = batch.column(batch.num_columns - 1)
-            ids, counts = _flat(lists)
-            size = size_of[ids]
-            total = np.concatenate([[0], np.cumsum(size)])
-            data = raw[np.repeat(begin[ids] - total[:-1], size) + np.arange(total[-1])].tobytes()
-            ends = total[np.concatenate([[0], np.cumsum(counts)])].tolist()
-            texts = [data[a + 1 : b].decode("utf-8", "replace") for a, b in zip(ends, ends[1:], strict=False)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string(), mask=lists.is_null().to_numpy(zero_copy_only=False))], [*batch.schema.names, "decoded"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, decode_ids(batch.column(batch.num_columns - 1), *letters)], [*batch.schema.names, "decoded"])
 
     return run
 
@@ -361,7 +358,7 @@ def decode(encoded: DataFrame, pieces: Pieces) -> DataFrame:
     session_defaults(encoded.sparkSession)
     names = [c for c in encoded.columns if c != "ids"]
     schema = ", ".join(f"`{c}` {k}" for c, k in encoded.select(*names, "ids").dtypes) + ", decoded string"
-    return encoded.select(*names, "ids").mapInArrow(_decode(spell(pieces)), schema)
+    return encoded.select(*names, "ids").mapInArrow(_decode(letters_of(pieces)), schema)
 
 
 __all__ = ["Pieces", "decode", "encode", "lattice", "vocabulary"]

@@ -25,7 +25,7 @@ def op2_span_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op3_piece_lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
     pieces = piece_lattice.Pieces.load(public_tokenizers.path("piece_bpe_32k.model"))
-    out = piece_lattice.decode(piece_lattice.encode(read_table(spark, sf_dir, "documents", "doc_id", "text"), pieces), pieces)
+    out = piece_lattice.encode(read_table(spark, sf_dir, "documents", "doc_id", "text"), pieces, decoded=True)
     return out.select("doc_id", "ids", F.size("ids").cast("long").alias("n_tokens"), (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("round_trip"))
 
 

@@ -117,6 +117,7 @@ def test_encoding_is_the_best_path(spark):
     got = K.decode(K.encode(df, pieces), pieces).collect()
     lib = as_unigram()
     assert len(got) == len(TEXTS)
+    assert {(r["doc_id"], r["decoded"]) for r in K.encode(df, pieces, decoded=True).collect()} == {(r["doc_id"], r["decoded"]) for r in got}
     for r in got:
         want = best(K.BLANK + r["text"].replace(" ", K.BLANK), pieces) if r["text"] else []
         assert r["ids"] == want
