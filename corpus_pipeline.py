@@ -43,7 +43,7 @@ def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Ids of every text, and whether they decode to it: ``doc_id, ids, n_tokens, round_trip``."""
     pieces = piece_lattice.Pieces.load(public_tokenizers.path("piece_bpe_32k.model"))
-    out = piece_lattice.decode(piece_lattice.encode(docs, pieces), pieces)
+    out = piece_lattice.encode(docs, pieces, decoded=True)
     return out.select("doc_id", "ids", F.size("ids").cast("long").alias("n_tokens"), (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("round_trip"))
 
 
