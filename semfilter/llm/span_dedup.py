@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from .common import save, session_defaults
 
-#: A span is a run of SENTENCES sentences that has SPAN_WORDS words at least.
+#: A span is the shortest run of SENTENCES sentences or more that has SPAN_WORDS words or more.
 SENTENCES, SPAN_WORDS = 3, 8
 #: Sentences of more words are cut after words whose hash is 0 modulo CUT, wherever they stand.
 LONG, CUT = 12, 6
@@ -80,19 +80,28 @@ def _joined(text: str, pieces: list[tuple[int, int]]) -> Iterator[tuple[int, int
         yield lo, len(text)
 
 
+def ends_of(counts: list[int]) -> np.ndarray:
+    """Where the span of each sentence ends: the fewest that are ``SENTENCES`` and have ``SPAN_WORDS``; beyond the text if there are too few."""
+    n = len(counts)
+    total = np.concatenate([[0], np.cumsum(counts)])
+    short = total[:-1] + SPAN_WORDS > total[-1]
+    return np.where(short, n + 1, np.maximum(np.searchsorted(total, total[:-1] + SPAN_WORDS), np.arange(n) + SENTENCES))
+
+
 def spans(counts: list[int], hashes: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """First sentence and two 64-bit hashes of every run of ``SENTENCES`` with ``SPAN_WORDS`` words or more."""
-    n = len(counts) - SENTENCES + 1
-    if n < 1:
+    """First sentence and two 64-bit hashes of every span of a text."""
+    ends = ends_of(counts)
+    first = np.flatnonzero(ends <= len(counts))
+    if not len(first):
         return np.empty(0, np.int64), np.empty(0, np.uint64), np.empty(0, np.uint64)
-    total = np.concatenate([[0], np.cumsum(counts)])
     raw = np.frombuffer(b"".join(hashes), "<u8").reshape(-1, 2)
-    first = np.flatnonzero(total[SENTENCES:] - total[:-SENTENCES] >= SPAN_WORDS)
+    size = ends[first] - first
     a, b = np.full(len(first), 7, np.uint64), np.full(len(first), 11, np.uint64)
-    for k in range(SENTENCES):
-        a = (a ^ raw[first + k, 0]) * np.uint64(0x9E3779B97F4A7C15)
-        b = (b ^ raw[first + k, 1]) * np.uint64(0xC2B2AE3D27D4EB4F)
-        a, b = a ^ (a >> np.uint64(29)), b ^ (b >> np.uint64(31))
+    for k in range(int(size.max())):
+        on = np.flatnonzero(size > k) if k >= SENTENCES else slice(None)
+        at = first[on] + k
+        x, y = (a[on] ^ raw[at, 0]) * np.uint64(0x9E3779B97F4A7C15), (b[on] ^ raw[at, 1]) * np.uint64(0xC2B2AE3D27D4EB4F)
+        a[on], b[on] = x ^ (x >> np.uint64(29)), y ^ (y >> np.uint64(31))
     return first, a, b
 
 
@@ -122,10 +131,10 @@ def _emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def cleaned(text: str, gone: list[int]) -> tuple[str, int]:
     """A text without the sentences of the spans that begin at ``gone``, and how many those are."""
-    starts, _, _ = sentences(text)
-    out = np.zeros(len(starts), bool)
+    starts, counts, _ = sentences(text)
+    out, until = np.zeros(len(starts), bool), ends_of(counts)
     for f in gone:
-        out[f : f + SENTENCES] = True
+        out[f : until[f]] = True
     ends = [*starts[1:], len(text)]
     return "".join(text[s:e] for s, e, o in zip(starts, ends, out, strict=True) if not o), int(out.sum())
 

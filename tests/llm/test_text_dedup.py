@@ -80,7 +80,11 @@ def brute_spans(rows):
     for d, t in rows:
         if t and d is not None:
             starts, counts, hashes = S.sentences(t)
-            own[d] = [(k, tuple(hashes[k : k + S.SENTENCES])) for k in range(len(counts) - S.SENTENCES + 1) if sum(counts[k : k + S.SENTENCES]) >= S.SPAN_WORDS]
+            own[d] = []
+            for k in range(len(counts)):
+                e = next((e for e in range(k + S.SENTENCES, len(counts) + 1) if sum(counts[k:e]) >= S.SPAN_WORDS), None)
+                if e is not None:
+                    own[d].append((k, tuple(hashes[k:e])))
             for _, h in own[d]:
                 owner[h] = min(owner.get(h, d), d)
     out = {}
@@ -101,11 +105,14 @@ def brute_spans(rows):
 def test_spans_equal_brute_force(spark, monkeypatch, few):
     monkeypatch.setattr(S, "BROADCAST_IDS", few)
     rows = [(i, f"Start number {i} is here. " + (PASSAGE if i % 3 == 0 else FLAT if i % 3 == 1 else "") + f" End of document {i}, nothing else follows. Bye {i}.") for i in range(40)]
+    shout = " ".join(f"W{k}!!" for k in range(30))
+    rows += [(70, f"One more. {shout} So."), (71, f"Another one. {shout} Thus.")]
     rows += [(50, None), (51, ""), (52, "Short."), (53, f"{PASSAGE} Between {PASSAGE} After."), (None, PASSAGE), (60, rows[2][1]), (61, rows[2][1])]
     df = spark.createDataFrame([(d, t, 1) for d, t in rows], "doc_id long, text string, at int").repartition(4)
     got = {r["doc_id"]: (r["text"], r["n_removed"]) for r in S.without_repeats(df).collect()}
     assert got == brute_spans(rows)
     assert got[0][1] == 0 and got[60][0] == "" and "pass30" not in got[3][0] and "Start number 3" in got[3][0]
+    assert "W9!!" in got[70][0] and "W9!!" not in got[71][0] and "Another one" in got[71][0]
     assert "flat30" not in got[4][0] and got[53][0].count("pass30") == 0
 
 
