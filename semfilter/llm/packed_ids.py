@@ -22,6 +22,8 @@ from .common import scratch_dir, session_defaults
 # Selector 0 announces that the next word is one id of more than 60 bits; selector 1 is unused.
 BITS = (1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60)
 COUNTS = tuple(60 // b for b in BITS)
+_SELECTOR = np.zeros(61, np.int64)
+_SELECTOR[list(COUNTS)] = np.arange(2, 16)
 #: Ids in one stretch; each stretch starts a new word, whose index the block keeps.
 STRETCH = 1024
 #: A block is closed once it has so many ids; a document never crosses blocks.
@@ -49,7 +51,7 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         width = np.searchsorted(_U(1) << np.arange(64, dtype=_U), ids, side="right").astype(np.uint8)
     at = np.arange(n, dtype=np.int32)
     left = np.minimum(np.minimum(STRETCH - at % STRETCH, n - at), 60).astype(np.uint8)
-    step, selector = np.ones(n, np.uint8), np.full(n, 15, np.uint8)
+    step = np.ones(n, np.uint8)
     widest = {1: width}  # over so many ids from each place, by doubling
     for s in range(14, 1, -1):  # from few wide ids to many narrow ones
         bits, count = BITS[s - 2], COUNTS[s - 2]
@@ -60,14 +62,15 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         ok = (np.maximum(widest[half], _ahead(widest[half], count - half)) <= bits) & (left >= count)
         if not ok.any():
             break
-        step[ok], selector[ok] = count, s
-    selector[width > 60] = 0
+        np.maximum(step, ok.view(np.uint8) * np.uint8(count), out=step)
     hops, i, chain = step.tolist(), 0, []
     while i < n:
         chain.append(i)
         i += hops[i]
     pos = np.array(chain, np.int64)
-    sel = selector[pos]
+    sel = _SELECTOR[step[pos]]
+    if top >> 60:
+        sel[width[pos] > 60] = 0
     slots = np.arange(len(pos), dtype=np.int64)
     escapes = np.empty(0, np.int64)
     if top >> 60:
@@ -329,7 +332,7 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2) -> st
     session_defaults(docs.sparkSession)
     ranged = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
     blocks = ranged.withColumn("shard", F.spark_partition_id()).mapInArrow(_coder(tokenizer, end_id), FILE_SCHEMA)
-    blocks.write.option("compression", "zstd").parquet(path)
+    blocks.write.option("compression", "none").parquet(path)  # packed words do not shrink any more
     spark = docs.sparkSession
     sums = spark.read.schema(FILE_SCHEMA).parquet(path).groupBy("shard").agg(F.sum("n_ids").alias("n_ids"))
     before = F.coalesce(F.sum("n_ids").over(W.orderBy("shard").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
@@ -337,34 +340,40 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2) -> st
     return path
 
 
-def _reader(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    names = ["shard", "doc_id", "at", "n_tokens", "ids_crc32", "ids"]
-    for batch in batches:
-        for row in batch.to_pylist():
-            ids = unpack(np.frombuffer(row["words"], "<u8"), row["n_ids"], np.frombuffer(row["escapes"], np.uint32)).astype("<u4")
-            lens = np.frombuffer(row["lengths"], "<i8")
-            ends = np.cumsum(lens)
-            parts = [ids[e - n : e].tobytes() for n, e in zip(lens.tolist(), ends.tolist(), strict=True)]
-            docs = [None if d == -1 else d for d in np.frombuffer(row["doc_ids"], "<i8").tolist()]
-            cols = [pa.array([row["shard"]] * len(docs), pa.int32()), pa.array(docs, pa.int64()), pa.array(ends - lens + row["start_in_shard"], pa.int64()), pa.array(lens, pa.int64()), pa.array([zlib.crc32(p) for p in parts], pa.int64()), pa.array(parts, pa.binary())]
-            yield pa.RecordBatch.from_arrays(cols, names)
+def _reader(payload: bool):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["shard", "doc_id", "at", "n_tokens", "ids_crc32", "ids"]
+        for batch in batches:
+            for row in batch.to_pylist():
+                ids = unpack(np.frombuffer(row["words"], "<u8"), row["n_ids"], np.frombuffer(row["escapes"], np.uint32)).astype("<u4")
+                lens = np.frombuffer(row["lengths"], "<i8")
+                ends = np.cumsum(lens)
+                parts = [ids[e - n : e] for n, e in zip(lens.tolist(), ends.tolist(), strict=True)]
+                docs = [None if d == -1 else d for d in np.frombuffer(row["doc_ids"], "<i8").tolist()]
+                cols = [pa.array([row["shard"]] * len(docs), pa.int32()), pa.array(docs, pa.int64()), pa.array(ends - lens + row["start_in_shard"], pa.int64()), pa.array(lens, pa.int64()), pa.array([zlib.crc32(p) for p in parts], pa.int64())]
+                if payload:
+                    cols.append(pa.array([p.tobytes() for p in parts], pa.binary()))
+                yield pa.RecordBatch.from_arrays(cols, names[: len(cols)])
+
+    return run
 
 
-def read_ids(spark: SparkSession, path: str) -> DataFrame:
-    """Documents of the files at ``path``: ``doc_id, start, n_tokens, ids_crc32, ids`` (little-endian uint32 bytes)."""
+def read_ids(spark: SparkSession, path: str, payload: bool = True) -> DataFrame:
+    """Documents of the files at ``path``: ``doc_id, start, n_tokens, ids_crc32``, and ``ids`` (little-endian uint32
+    bytes) unless ``payload`` is off."""
     session_defaults(spark)
     blocks = spark.read.schema(FILE_SCHEMA).parquet(path).select("shard", "start_in_shard", "n_ids", "doc_ids", "lengths", "words", "escapes")
-    docs = blocks.mapInArrow(_reader, "shard int, doc_id long, at long, n_tokens long, ids_crc32 long, ids binary")
+    docs = blocks.mapInArrow(_reader(payload), "shard int, doc_id long, at long, n_tokens long, ids_crc32 long" + ", ids binary" * payload)
     shards = spark.read.schema("shard int, n_ids long, start long").parquet(f"{path}.shards")
-    return docs.join(shards.select("shard", "start"), "shard").select("doc_id", (F.col("start") + F.col("at")).alias("start"), "n_tokens", "ids_crc32", "ids")
+    return docs.join(shards.select("shard", "start"), "shard").select("doc_id", (F.col("start") + F.col("at")).alias("start"), "n_tokens", "ids_crc32", *["ids"] * payload)
 
 
-def packed_corpus(docs: DataFrame, tokenizer: str, end_id: int = 2) -> DataFrame:
+def packed_corpus(docs: DataFrame, tokenizer: str, end_id: int = 2, payload: bool = True) -> DataFrame:
     """Writes to the shared scratch folder and reads back; see :func:`write_ids` and :func:`read_ids`."""
     import uuid
 
     spark = docs.sparkSession
-    return read_ids(spark, write_ids(docs, f"{scratch_dir(spark)}/ids-{uuid.uuid4().hex}", tokenizer, end_id))
+    return read_ids(spark, write_ids(docs, f"{scratch_dir(spark)}/ids-{uuid.uuid4().hex}", tokenizer, end_id), payload)
 
 
 __all__ = ["WordEncoder", "pack", "packed_corpus", "read_ids", "unpack", "unpack_stretch", "write_ids"]

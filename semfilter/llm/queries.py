@@ -16,7 +16,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 def op1_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents", "doc_id", "text")
-    return packed_ids.packed_corpus(docs, public_tokenizers.path("word_bpe_49k.json"), end_id=2).select("doc_id", "start", "n_tokens", "ids_crc32")
+    return packed_ids.packed_corpus(docs, public_tokenizers.path("word_bpe_49k.json"), end_id=2, payload=False)
 
 
 def op2_span_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
