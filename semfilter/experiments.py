@@ -84,12 +84,13 @@ def main() -> None:
     p.add_argument("--out")
     p.add_argument("--cpus", default="8")
     p.add_argument("--parts", default="rq1,rq2,rq6")
+    p.add_argument("--corpora", default=",".join(CORPORA))
     a = p.parse_args()
     spark = SparkSession.builder.master(f"local[{a.cpus}]").config("spark.sql.shuffle.partitions", a.cpus).config("spark.ui.enabled", "false").config("spark.driver.memory", "12g").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     tables: dict[str, pd.DataFrame] = {}
     if "rq1" in a.parts:
-        runs = rq1(spark, a.sf)
+        runs = rq1(spark, a.sf, {k: v for k, v in CORPORA.items() if k in a.corpora.split(',')})
         segments = runs.groupby(["corpus", "method"])[["proxy_s", "n_vote", "n_train", "n_cal", "n_cascade"]].mean().round(2).reset_index()
         tables |= {"rq1": rollup(runs, ["corpus", "method"]), "rq3_segments": segments, "rq4_envelope": rq4(runs), "rq5_compass": rq5(runs)}
         tables["rq1_queries"] = runs.pivot_table(index=["corpus", "query_id", "ber"], columns="method", values="n_oracle").round(4).reset_index()
