@@ -159,7 +159,7 @@ def binom_upper(spark, sf):
     return spark.createDataFrame([(k, n, round(bounds.binom_upper(k, n), 6)) for k, n in _KN], "k int, n int, upper double")
 
 
-@key("cal_sensitivity", f"WITH RECURSIVE pc AS (SELECT * FROM (VALUES {', '.join(map(str, _KN))}) v(k, n)), {_UPPER.format(d='0.05')} SELECT k, n, w, round((1 - w) * coalesce(k * 1.0 / nullif(n, 0), 1) + w * u, 6)::DOUBLE AS rate FROM ub, (VALUES (0.0), (0.03), (0.06), (0.25), (1.0)) p(w)")
+@key("cal_sensitivity", f"WITH RECURSIVE pc AS (SELECT * FROM (VALUES {', '.join(map(str, _KN))}) v(k, n)), {_UPPER.format(d='0.05')} SELECT k, n, w::DOUBLE AS w, round((1 - w) * coalesce(k * 1.0 / nullif(n, 0), 1) + w * u, 6)::DOUBLE AS rate FROM ub, (VALUES (0.0), (0.03), (0.06), (0.25), (1.0)) p(w)")
 def cal_sensitivity(spark, sf):
     rows = [(k, n, w, round(float(bounds.blended(np.array([k]), np.array([n]), w, 0.05)[0]), 6)) for k, n in _KN for w in (0.0, 0.03, 0.06, 0.25, 1.0)]
     return spark.createDataFrame(rows, "k int, n int, w double, rate double")
