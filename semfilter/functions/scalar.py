@@ -52,7 +52,7 @@ plain("feat_exact_dup", "SELECT doc_id, count(*) OVER (PARTITION BY md5(text)) >
 )
 plain("feat_benchmark_overlap", "SELECT doc_id, count(*) AS n FROM documents d JOIN benchmark b ON contains(d.text, b.text) GROUP BY 1")(lambda t: t.documents.alias("d").join(F.broadcast(t.benchmark.alias("b")), F.expr("contains(d.text, b.text)")).groupBy("doc_id").agg(n()))
 plain("feat_ngrams", "SELECT g, count(*) AS n FROM (SELECT unnest(list_transform(range(1, length(text) - 1), lambda i: substr(text, i, 3))) AS g FROM documents WHERE length(text) > 2) GROUP BY 1 ORDER BY n DESC, g LIMIT 20")(
-    lambda t: t.documents.filter("length(text) > 2").select(F.explode(F.expr("transform(sequence(1, length(text) - 2), i -> substring(text, i, 3))")).alias("g")).groupBy("g").agg(n()).orderBy(F.desc("n"), "g").limit(20)
+    lambda t: t.documents.filter("length(text) > 2").select(F.split("text", "").alias("c")).select(F.explode(F.expr("transform(sequence(0, size(c) - 3), i -> concat(c[i], c[i + 1], c[i + 2]))")).alias("g")).groupBy("g").agg(n()).orderBy(F.desc("n"), "g").limit(20)
 )
 fn("feat_token_set", "documents", "doc_id", f"CAST(size(array_distinct({_STOK})) AS BIGINT)", f"CAST(len(list_distinct({_TOK})) AS BIGINT)")
 
