@@ -13,10 +13,14 @@ from pyspark.sql import functions as F
 
 from .common import save, session_defaults
 
-#: A span is the shortest run of SENTENCES sentences or more that has SPAN_WORDS words or more.
+#: A span is the shortest run of SENTENCES sentences or more that has SPAN_WORDS words or more; pieces that
+#: long sentences are cut to count as sentences in a run of more than LONG words.
 SENTENCES, SPAN_WORDS = 3, 8
-#: Sentences of more words are cut after words whose hash is 0 modulo CUT, wherever they stand.
-LONG, CUT = 12, 6
+#: Sentences of more than LONG words are cut after every word whose hash is the least of some WINDOW words
+#: in a row, shorter ones of more than WINDOW in two, so no piece has more than WINDOW. Any 46 words that two
+#: texts share hold a whole span cut alike in both: 2 * WINDOW - 1 words up to the first common cut,
+#: SENTENCES * WINDOW of the span, and LONG of a last sentence that is short in one text and long in the other.
+LONG, WINDOW = 12, 7
 #: Shares of all spans at or above which one counts as heavy; at most this many can be so.
 HEAVY = 1000
 #: Ids of texts that lose something, up to which they are broadcast (8 bytes each).
@@ -27,13 +31,18 @@ _WORD = re.compile(r"\S+")
 
 
 def sentences(text: str) -> tuple[list[int], list[int], list[bytes]]:
-    """Starts of a text's sentences, their words' counts, and hashes of their words in lower case.
+    """Starts of a text's pieces, their words' counts, and hashes of their words in lower case."""
+    return cut(text)[:3]
 
-    A sentence ends after ``.``, ``!`` or ``?`` before white space, and at newlines; a long one is
-    cut where its own words say so, so the same passage is cut alike in any surroundings. Joined, the
+
+def cut(text: str) -> tuple[list[int], list[int], list[bytes], list[bool]]:
+    """As ``sentences``, and whether a sentence ends with each piece.
+
+    A sentence ends after ``.``, ``!`` or ``?`` before white space, and at newlines; one of more than
+    ``WINDOW`` words is cut where its own words say so, so the same passage is cut alike in any surroundings. Joined, the
     sentences are the text; those without words belong to the sentence before.
     """
-    starts, counts, hashes = [], [], []
+    starts, counts, hashes, closes = [], [], [], []
     at = 0
     pieces = []
     end = len(text)
@@ -42,29 +51,56 @@ def sentences(text: str) -> tuple[list[int], list[int], list[bytes]]:
         nxt = max(m.end(), at + 1)
         pieces.append((at, nxt))
         at = nxt
-    for lo, hi in _joined(text, pieces):
-        words = text[lo:hi].split()
-        if len(words) <= LONG:
-            if words:
-                starts.append(lo)
-                counts.append(len(words))
-                hashes.append(xxhash.xxh3_128_digest(" ".join(words).lower()))
+    found = [(lo, hi, words) for lo, hi in _joined(text, pieces) if (words := text[lo:hi].lower().split())]
+    last = lasts([words for _, _, words in found if len(words) > WINDOW])
+    for lo, hi, words in found:
+        if len(words) <= WINDOW:
+            starts.append(lo)
+            counts.append(len(words))
+            hashes.append(xxhash.xxh3_128_digest(" ".join(words)))
+            closes.append(True)
             continue
-        run, begin = [], lo
-        for w in _WORD.finditer(text, lo, hi):
-            run.append(w.group().lower())
-            if xxhash.xxh3_64_intdigest(run[-1]) % CUT == 0:
-                starts.append(begin)
-                counts.append(len(run))
-                hashes.append(xxhash.xxh3_128_digest(" ".join(run)))
-                run, begin = [], w.end()
-        if run:
+        stops = [m.end() for m in _WORD.finditer(text, lo, hi)]
+        begin, k = lo, 0
+        for e in next(last):
             starts.append(begin)
-            counts.append(len(run))
-            hashes.append(xxhash.xxh3_128_digest(" ".join(run)))
+            counts.append(e - k)
+            hashes.append(xxhash.xxh3_128_digest(" ".join(words[k:e])))
+            closes.append(e == len(words))
+            begin, k = stops[e - 1], e
     if starts:
         starts[0] = 0
-    return starts, counts, hashes
+    return starts, counts, hashes, closes
+
+
+def lasts(runs: list[list[str]]) -> Iterator[list[int]]:
+    """For each run of more than ``WINDOW`` words: how many words it has up to each cut, and in all.
+
+    A run of more than ``LONG`` words is cut after every word whose hash is the least of some ``WINDOW`` words
+    of it, ties included: which these are depends on the ``WINDOW`` - 1 words on either side only. A shorter
+    one is cut once, after the first word of least hash that leaves ``WINDOW`` or fewer on both sides.
+    """
+    if not runs:
+        return
+    sizes = np.array([len(words) for words in runs])
+    ends = np.cumsum(sizes)
+    h = np.fromiter((xxhash.xxh3_64_intdigest(w) for words in runs for w in words), np.uint64, int(ends[-1]))
+    n = len(h) - WINDOW + 1
+    least = h[:n].copy()
+    for k in range(1, WINDOW):
+        np.minimum(least, h[k : n + k], out=least)
+    inside = np.repeat(sizes > LONG, sizes)  # windows that end within their long run
+    inside[(ends[:, None] - np.arange(1, WINDOW)).ravel()] = False
+    after = np.zeros(len(h), bool)
+    for k in range(WINDOW):
+        after[k : n + k] |= inside[:n] & (least == h[k : n + k])
+    after[ends - 1] = True
+    for size, end in zip(sizes.tolist(), ends.tolist(), strict=True):
+        begin = end - size
+        if size > LONG:
+            yield (np.flatnonzero(after[begin:end]) + 1).tolist()
+        else:
+            yield [size - WINDOW + int(h[end - WINDOW - 1 : begin + WINDOW].argmin()), size]
 
 
 def _joined(text: str, pieces: list[tuple[int, int]]) -> Iterator[tuple[int, int]]:
@@ -80,17 +116,21 @@ def _joined(text: str, pieces: list[tuple[int, int]]) -> Iterator[tuple[int, int
         yield lo, len(text)
 
 
-def ends_of(counts: list[int]) -> np.ndarray:
-    """Where the span of each sentence ends: the fewest that are ``SENTENCES`` and have ``SPAN_WORDS``; beyond the text if there are too few."""
+def ends_of(counts: list[int], closes: list[bool]) -> np.ndarray:
+    """Where the span of each piece ends, beyond the text if there are too few words or pieces."""
     n = len(counts)
-    total = np.concatenate([[0], np.cumsum(counts)])
-    short = total[:-1] + SPAN_WORDS > total[-1]
-    return np.where(short, n + 1, np.maximum(np.searchsorted(total, total[:-1] + SPAN_WORDS), np.arange(n) + SENTENCES))
-
-
-def spans(counts: list[int], hashes: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """First sentence and two 64-bit hashes of every span of a text."""
-    ends = ends_of(counts)
+    total = np.concatenate([[0], np.cumsum(counts, dtype=np.int64)])
+    done = np.concatenate([[0], np.cumsum(closes, dtype=np.int64)])
+    part = np.concatenate([[False], ~np.array(closes[:-1], bool)])[:n]  # begins within a sentence
+    need = done[:-1] + SENTENCES + part
+    whole = np.maximum(np.searchsorted(total, total[:-1] + SPAN_WORDS), np.searchsorted(done, need))
+    parts = np.maximum(np.searchsorted(total, total[:-1] + LONG + 1), np.arange(n) + SENTENCES)
+    return np.minimum(whole, parts)
+
+
+def spans(counts: list[int], hashes: list[bytes], closes: list[bool]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First piece and two 64-bit hashes of every span of a text."""
+    ends = ends_of(counts, closes)
     first = np.flatnonzero(ends <= len(counts))
     if not len(first):
         return np.empty(0, np.int64), np.empty(0, np.uint64), np.empty(0, np.uint64)
@@ -111,8 +151,7 @@ def _emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         docs, at, a, b, again = [], [], [], [], []
         for k, text in enumerate(batch.column(1).to_pylist()):
             if text:
-                _, counts, hashes = sentences(text)
-                first, x, y = spans(counts, hashes)
+                first, x, y = spans(*cut(text)[1:])
                 if len(first):
                     _, once = np.unique(x, return_index=True)
                     later = np.ones(len(first), bool)
@@ -131,8 +170,8 @@ def _emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def cleaned(text: str, gone: list[int]) -> tuple[str, int]:
     """A text without the sentences of the spans that begin at ``gone``, and how many those are."""
-    starts, counts, _ = sentences(text)
-    out, until = np.zeros(len(starts), bool), ends_of(counts)
+    starts, counts, _, closes = cut(text)
+    out, until = np.zeros(len(starts), bool), ends_of(counts, closes)
     for f in gone:
         out[f : until[f]] = True
     ends = [*starts[1:], len(text)]

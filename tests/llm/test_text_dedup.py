@@ -1,3 +1,4 @@
+import random
 from collections import defaultdict
 
 import pytest
@@ -75,6 +76,31 @@ def test_sentences_rejoin_and_cut_alike():
     assert len(inside & set(S.sentences(f"{FLAT} other words follow here")[2])) >= 4
 
 
+def span_words(text):
+    _, a, b = S.spans(*S.cut(text)[1:])
+    return set(zip(a.tolist(), b.tolist(), strict=True))
+
+
+@pytest.mark.parametrize("stops", [0, 0.04, 0.1, 0.3])
+def test_every_passage_of_51_words_meets(stops):
+    rng = random.Random(f"passages {stops}")
+
+    def words(n, stops, vocabulary):
+        return " ".join(f"w{rng.randrange(vocabulary)}" + rng.choice([".", "!", "?\n"]) * (rng.random() < stops) for _ in range(n))
+
+    for _ in range(1500):
+        passage = words(51, stops, rng.choice([2, 20, 10**6]))
+        a, b = (" ".join([words(rng.randrange(40), s, 10**6), passage, words(rng.randrange(40), s, 10**6)]).strip() for s in (rng.choice([0, 0.1, 0.5]) for _ in "ab"))
+        assert span_words(a) & span_words(b), (passage, a, b)
+
+
+def test_short_repeats_stay():
+    line = "one two three four five six seven. Eight nine ten eleven twelve."
+    assert not span_words(f"Before it. {line} Afterwards.") & span_words(f"Ahead of this. {line} Others follow.")
+    line = "One two. A sentence of nine words is cut here. So."
+    assert span_words(f"Before it.\n{line}\nAfterwards.") & span_words(f"Ahead of this.\n{line}\nOthers follow.")
+
+
 def brute_spans(rows):
     owner, own = {}, {}
     for d, t in rows:
