@@ -15,8 +15,7 @@ from semfilter.llm.common import read_table, save
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps documents in a language learned from the labelled ones; texts without a letter and texts
-    of which no language has half the words go."""
+    """Keeps documents in languages learned from the labelled ones, however many they mix; texts without a letter go."""
     return mixture_lang.known_language(docs)
 
 

@@ -17,8 +17,8 @@ from .common import session_defaults
 BUCKETS, SMOOTHING = 1 << 16, 0.5
 #: Rounds of expectation-maximisation over all languages, and over a chosen set.
 ROUNDS, SET_ROUNDS = 12, 4
-#: Languages that a text may be said to mix, and nats per free proportion and log word.
-MOST_LANGUAGES, PENALTY = 3, 2.0
+#: Nats per free proportion and log word.
+PENALTY = 2.0
 #: Words times languages handled at a time; words remembered by one worker.
 CELLS, CACHE_WORDS = 1 << 21, 200_000
 
@@ -101,8 +101,9 @@ def infer(ratio: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     ``ratio`` has, for each word, its likelihood in each language over the best one's; ``sizes`` the
     words of each document (none is 0). Expectation-maximisation over all languages orders them by
     share; sets of the first one, two, ... languages are refitted, and the best log-likelihood
-    less ``PENALTY`` * ln(words) for every further language wins. The set of one is the
-    language most likely for the whole. Returns shares (0 outside the set) and the sets' sizes.
+    less ``PENALTY`` * ln(words) for every further language wins, up to all of them. No set's log-likelihood
+    is above 0, so a document is done once the penalty alone is more than its best set lost. The set of
+    one is the language most likely for the whole. Returns shares (0 outside the set) and the sets' sizes.
     """
     d, m = len(sizes), ratio.shape[1]
     doc, cuts = np.repeat(np.arange(d), sizes), np.cumsum(sizes) - sizes
@@ -112,14 +113,21 @@ def infer(ratio: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     best[np.arange(d), whole.argmax(axis=1)] = 1
     value, count = whole.max(axis=1), np.ones(d, np.int64)
     order = np.argsort(-full, axis=1, kind="stable")
-    for k in range(2, min(MOST_LANGUAGES, m) + 1):
-        inside = np.zeros((d, m), ratio.dtype)
-        np.put_along_axis(inside, order[:, :k], 1, axis=1)
-        start = full * inside + 1e-6 * inside
-        share, fit_k = _em(ratio, doc, cuts, start / start.sum(axis=1, keepdims=True), SET_ROUNDS)
-        gain = fit_k - PENALTY * (k - 1) * np.log(sizes + 1.0)
-        better = gain > value
-        best[better], value[better], count[better] = share[better], gain[better], k
+    for k in range(2, m + 1):
+        penalty = PENALTY * (k - 1) * np.log(sizes + 1.0)
+        at = np.flatnonzero(value < -penalty)
+        if not len(at):
+            break
+        words = np.flatnonzero(np.isin(np.arange(d), at)[doc]) if len(at) < d else slice(None)
+        inside = np.zeros((len(at), m), ratio.dtype)
+        np.put_along_axis(inside, order[at, :k], 1, axis=1)
+        start = full[at] * inside + 1e-6 * inside
+        n = sizes[at]
+        share, fit_k = _em(ratio[words], np.repeat(np.arange(len(at)), n), np.cumsum(n) - n, start / start.sum(axis=1, keepdims=True), SET_ROUNDS)
+        gain = fit_k - penalty[at]
+        better = gain > value[at]
+        won = at[better]
+        best[won], value[won], count[won] = share[better], gain[better], k
     return best, count
 
 
@@ -194,12 +202,12 @@ def identify(docs: DataFrame, model: LanguageModel, *carry: str) -> DataFrame:
     return docs.select("doc_id", "text", *carry).mapInArrow(_identify(docs.sparkSession.sparkContext.broadcast((model.names, model.logp))), schema)
 
 
-def known_language(docs: DataFrame, min_share: float = 0.5) -> DataFrame:
-    """Documents in a learned language, columns as they came; the others go.
+def known_language(docs: DataFrame) -> DataFrame:
+    """Documents in learned languages, one or several, columns as they came; the others go.
 
-    A document is rejected if it has no letter (or no text), or if no language has ``min_share`` of its words.
+    A document is rejected if it has no letter (or no text): every other one has a set of learned
+    languages that covers its words. How well they fit is not tested.
     """
     model = fit(docs)
     whole = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"))
-    good = identify(whole, model, "_row").filter((F.col("lang_pred") != "und") & (F.col("score") >= min_share))
-    return good.select("_row.*")
+    return identify(whole, model, "_row").filter("lang_pred <> 'und' OR size(mixture) > 0").select("_row.*")

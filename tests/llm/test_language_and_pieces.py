@@ -30,6 +30,32 @@ def test_mixtures_are_found(spark, sf01):
     assert kept.columns == docs.columns and kept.count() == docs.count()
 
 
+def test_texts_in_many_languages_are_kept(spark, sf01):
+    docs = spark.read.parquet(f"{sf01}/documents.parquet")
+    model = M.fit(docs)
+    t = {r["lang"]: " ".join(M.words_of(r["text"])[:300]) for r in docs.filter("n_chars > 4000").collect()}
+    assert len(t) == len(model.names) == 4
+    rows = [(10**7, " ".join(t.values())), (10**7 + 1, " ".join(x for k, x in t.items() if k != "en"))]
+    new = spark.createDataFrame([(i, x, "q", "s", 1) for i, x in rows], docs.select("doc_id", "text", "lang", "source", "n_chars").schema)
+    got = {r["doc_id"]: r["mixture"] for r in M.identify(new, model).collect()}
+    assert set(got[10**7]) == set(t) and min(got[10**7].values()) > 0.15
+    assert set(got[10**7 + 1]) == set(t) - {"en"}
+    assert M.known_language(docs.select(new.columns).union(new.withColumn("lang", M.F.lit(None)))).filter(f"doc_id >= {10**7}").count() == 2
+
+
+def test_set_sizes_equal_a_full_search():
+    rng = np.random.default_rng(3)
+    sizes = rng.integers(1, 200, 60)
+    home = np.concatenate([rng.integers(0, rng.integers(1, 7), n) for n in sizes])
+    ratio = rng.random((len(home), 6)).astype(np.float32) ** 12
+    ratio[np.arange(len(home)), home] = 1
+    shares, count = M.infer(ratio, sizes)
+    assert ((shares > 0).sum(axis=1) <= count).all() and set(count) >= {1, 2, 4, 6}
+    for i, cut in enumerate(np.cumsum(sizes) - sizes):
+        alone, k = M.infer(ratio[cut : cut + sizes[i]], sizes[i : i + 1])
+        assert k[0] == count[i] and np.allclose(alone[0], shares[i], atol=1e-4)
+
+
 def test_labels_and_names_are_no_inputs(spark):
     rows = [(i, f"{'alpha beta gamma' if i % 2 else 'zwei drei vier'} {i}", "xx" if i % 2 else "yy") for i in range(60)]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
