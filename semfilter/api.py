@@ -41,7 +41,7 @@ def sem_filter(df: DataFrame, answers: DataFrame, asks: str, alpha: float = 0.9,
     from dataclasses import replace
 
     cfg = replace(cfg or Config(), alpha=alpha)
-    vectors = save(feat.build(df, cfg.emb_dim, cfg.token_cap))
+    vectors = save(feat.build(df, cfg.emb_dim))
     tokens = df.select("doc_id", F.size(F.split(F.coalesce("text", F.lit("")), " ")).cast("long").alias("tokens"))
     rows = answers.select("doc_id", "p_star", "y", *(["prob"] if "prob" in answers.columns else [F.col("p_star").alias("prob")])).join(tokens, "doc_id").withColumn("query_id", F.lit(query_id))
     n = vectors.count()

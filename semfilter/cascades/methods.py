@@ -44,13 +44,13 @@ class Bench:
     def documents(cls, spark: SparkSession, sf_dir: str, queries: tuple[str, ...], cfg: Config | None = None, name: str = "documents") -> Bench:
         """A text corpus with planted predicates; answers and vectors are written once a session."""
         cfg = cfg or Config()
-        key = (spark.sparkContext.applicationId, sf_dir, tuple(queries), cfg.label_mode, name, cfg.emb_dim, cfg.token_cap)
+        key = (spark.sparkContext.applicationId, sf_dir, tuple(queries), cfg.label_mode, name, cfg.emb_dim)
         if key not in _KEPT:
             docs = corpus(spark, sf_dir, name)
             answers = save(PlantedOracle(spark, sf_dir, queries, cfg.label_mode, None if name == "documents" else docs).answers())
             fkey = key[:2] + key[4:]
             if fkey not in _VECTORS:
-                _VECTORS[fkey] = save(feat.build(docs, cfg.emb_dim, cfg.token_cap))
+                _VECTORS[fkey] = save(feat.build(docs, cfg.emb_dim))
             _KEPT[key] = (answers, _VECTORS[fkey], _VECTORS[fkey].count())
         answers, vectors, n = _KEPT[key]
         c = cat.catalogue()

@@ -38,7 +38,6 @@ class Config:
     late_dim: int = 16
     joint_hidden: int = 64
     head_hidden: tuple[int, int] = (32, 32)
-    token_cap: int = 128
     lr: float = 1e-3
     batch: int = 64
     strata: int = 5

@@ -30,24 +30,22 @@ def embed(text: str, dim: int) -> np.ndarray:
     return (v / max(float(np.linalg.norm(v)), 1e-12)).astype(np.float32)
 
 
-def token_ids(text: str, cap: int) -> list[int]:
-    """Distinct hashed tokens, the rarest kinds first: what has digits or signs, then by hash."""
-    seen = {t for t in _TOKEN.findall(text.lower())}
-    ranked = sorted(seen, key=lambda t: (t.isalpha(), zlib.crc32(t.encode("utf-8", "surrogatepass"))))
-    return sorted({zlib.crc32(t.encode("utf-8", "surrogatepass")) % TOKEN_IDS for t in ranked[:cap]})
+def token_ids(text: str) -> list[int]:
+    """Distinct hashed tokens of the whole text, ``TOKEN_IDS`` at most."""
+    return sorted({zlib.crc32(t.encode("utf-8", "surrogatepass")) % TOKEN_IDS for t in set(_TOKEN.findall(text.lower()))})
 
 
 def token_table(dim: int, seed: int = 42) -> np.ndarray:
     return np.random.default_rng(seed).normal(size=(TOKEN_IDS, dim)).astype(np.float32) / np.sqrt(dim)
 
 
-def build(docs: DataFrame, dim: int = 128, cap: int = 128) -> DataFrame:
+def build(docs: DataFrame, dim: int = 128) -> DataFrame:
     """``doc_id, emb, toks`` of whole texts, in one narrow pass."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = [t or "" for t in b.column(1).to_pylist()]
             emb = pa.array([embed(t, dim) for t in texts], pa.list_(pa.float32()))
-            yield pa.RecordBatch.from_arrays([b.column(0), emb, pa.array([token_ids(t, cap) for t in texts], pa.list_(pa.int32()))], ["doc_id", "emb", "toks"])
+            yield pa.RecordBatch.from_arrays([b.column(0), emb, pa.array([token_ids(t) for t in texts], pa.list_(pa.int32()))], ["doc_id", "emb", "toks"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, emb array<float>, toks array<int>")

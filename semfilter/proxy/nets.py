@@ -6,6 +6,9 @@ import numpy as np
 
 from ..config import Config
 
+#: Document tokens whose matches are held at a time.
+TOKENS = 1 << 18
+
 
 def sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
@@ -122,15 +125,19 @@ class LateScorer:
         out = np.zeros(len(toks))
         full = np.flatnonzero(size)
         if len(flat):
-            sims = (self.table[flat] @ self.proj) @ q.T
+            sims = (self.table @ self.proj) @ q.T
             cuts = (np.cumsum(size) - size)[full]
-            best = np.maximum.reduceat(sims, cuts, axis=0)
+            best, ends, at = np.empty((len(full), len(q))), np.append(cuts[1:], len(flat)), 0
+            while at < len(full):
+                to = max(at + 1, int(np.searchsorted(ends, cuts[at] + TOKENS, "right")))
+                best[at:to] = np.maximum.reduceat(sims[flat[cuts[at] : ends[to - 1]]], cuts[at:to] - cuts[at], axis=0)
+                at = to
             out[full] = best.sum(axis=1)
             if keep is not None:
                 doc = np.repeat(np.arange(len(full)), size[full])
                 win = np.empty(best.shape, int)
                 for k in range(best.shape[1]):
-                    rows = np.flatnonzero(sims[:, k] == best[doc, k])
+                    rows = np.flatnonzero(sims[flat, k] == best[doc, k])
                     _, first = np.unique(doc[rows], return_index=True)
                     win[:, k] = flat[rows[first]]
                 keep += [full, win]

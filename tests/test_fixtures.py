@@ -9,6 +9,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from semfilter import bayes
+from semfilter import features as feat
 from semfilter.calibrate import bounds
 from semfilter.calibrate import threshold as th
 from semfilter.config import Config
@@ -119,6 +120,19 @@ def test_gradients(kind):
         assert np.allclose(g, numeric(lambda: nets.bce(m.prob(q, emb, toks), target), p), atol=1e-5)
 
 
+def test_every_token_of_a_long_text_is_scored(monkeypatch):
+    rng = np.random.default_rng(0)
+    words = [f"{a}{b}" for a in "abcdefghijklmnopqrst" for b in "abcdefghijklmnopqrst"]
+    long = feat.token_ids(" ".join(words))
+    assert {i for w in words for i in feat.token_ids(w)} == set(long) and len(long) > 300
+    m = nets.LateScorer(feat.token_ids(words[7]), feat.token_table(8), 3, 1)
+    toks = [long, [], feat.token_ids(words[7]), *(sorted(rng.choice(4096, n, replace=False).tolist()) for n in (900, 5, 60))]
+    want = [nets.maxsim(m._queries() @ m.proj, m.table[t] @ m.proj) if t else 0.0 for t in toks]
+    for most in (1, 400, 1 << 18):
+        monkeypatch.setattr(nets, "TOKENS", most)
+        assert np.allclose(m._score(toks), want, atol=1e-4)
+
+
 def test_bi_encoder_gradient():
     rng = np.random.default_rng(0)
     emb, y, q = rng.normal(size=(6, 4)), np.array([1, 0, 1, 0, 1, 0.0]), rng.normal(size=4)
