@@ -39,8 +39,9 @@ def nearest(x: np.ndarray, centres: np.ndarray) -> np.ndarray:
 def fit(features: DataFrame, k: int, seed: int = 42, n: int | None = None) -> np.ndarray:
     """Centroids from the vectors with the smallest hashes, at most ``FIT_SAMPLE`` of them."""
     n = features.count() if n is None else n
-    pool = features.filter(uniform(F.col("doc_id"), ":fit") < min(1.0, 2.0 * FIT_SAMPLE / max(1, n)))
-    got = pool.select("doc_id", "emb").orderBy("doc_id").limit(FIT_SAMPLE).toPandas()
+    rank = uniform(F.col("doc_id"), ":fit")
+    pool = features.filter(rank < min(1.0, 2.0 * FIT_SAMPLE / max(1, n)))
+    got = pool.orderBy(rank, "doc_id").limit(FIT_SAMPLE).select("doc_id", "emb").toPandas().sort_values("doc_id")
     return lloyd(np.stack(got["emb"].to_numpy()).astype(float), k, seed)
 
 

@@ -5,7 +5,7 @@ from dataclasses import replace
 import pytest
 from pyspark.sql import functions as F
 
-from semfilter import sampling
+from semfilter import clustering, sampling
 from semfilter.api import sem_filter
 from semfilter.cascades import methods as ms
 from semfilter.config import Config
@@ -112,3 +112,12 @@ def test_draw_mode_floor_holds_on_average(spark, sf01):
     b = ms.Bench.documents(spark, sf01, ("Q04", "Q08"), Config(label_mode="draw"))
     f, p = ms.run_floor(b).runs, ms.run_prebuilt(b, "range_bound").runs
     assert f["n_oracle"].mean() <= p["n_oracle"].mean() * 1.05
+
+
+def test_centroids_come_from_the_whole_id_range(spark, monkeypatch):
+    monkeypatch.setattr(clustering, "FIT_SAMPLE", 50)
+    frame = spark.range(400).selectExpr("id AS doc_id", "array(cast(id AS float)) AS emb")
+    centre = clustering.fit(frame, 1)
+    assert 150 < float(centre[0, 0]) < 250
+    ranked = frame.orderBy(clustering.uniform(clustering.F.col("doc_id"), ":fit"), "doc_id").limit(50).toPandas()
+    assert centre[0, 0] == pytest.approx(ranked["doc_id"].mean())
