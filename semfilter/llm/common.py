@@ -43,10 +43,12 @@ def lean() -> None:
 def scratch_dir(spark: SparkSession) -> str:
     """A folder of this application below ``spark.checkpoint.dir``, which every executor shares.
 
-    Only where that setting is absent (unit tests on one machine) a temporary folder is made and set.
+    Only where that setting is absent and the master is local a temporary folder is made and set.
     """
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="semfilter-")
         spark.sparkContext.setCheckpointDir(base)
     root = f"{base.rstrip('/')}/semfilter-{spark.sparkContext.applicationId}"
@@ -85,6 +87,14 @@ def same(left: list[Column], right: list[Column]) -> Column:
     return out
 
 
+def clear(name: str, taken: list[str]) -> str:
+    """``name``, or with as many underscores in front as it takes to differ from the columns ``taken`` (in any case of letters)."""
+    low = {c.lower() for c in taken}
+    while name.lower() in low:
+        name = f"_{name}"
+    return name
+
+
 def running_start(counts: DataFrame, group: list[str], bucket: str, n: str, out: str) -> DataFrame:
     """Adds ``out``: the sum of ``n`` over smaller buckets of the group.
 
@@ -112,10 +122,10 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """
     pairs = save(edges.select(F.greatest(a, b).alias("v"), F.least(a, b).alias("u")).filter("u <> v").distinct(), "edges")
     seen = None
-    while True:
+    while not pairs.isEmpty():
         both = pairs.select("u", "v").union(pairs.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("u", "m"))
-        large = both.join(low, "u").filter("v > u").select("v", F.col("m").alias("u")).filter("u <> v").distinct()
+        large = both.join(low, "u").filter("v > u").select("v", F.col("m").alias("u")).filter("u <> v")
         least = large.groupBy("v").agg(F.min("u").alias("m"))
         star = large.join(least, "v")
         small = star.select(F.col("u").alias("v"), F.col("m").alias("u")).union(least.select("v", F.col("m").alias("u"))).filter("u <> v").distinct()

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -10,7 +11,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, save, session_defaults
+from .common import clear, components, save, session_defaults
 
 #: MinHash samples, and how they are banded: a pair of similarity 0.75 misses all bands with chance (1 - 0.75**4)**32, 5e-6.
 SAMPLES, BANDS = 128, 32
@@ -19,8 +20,10 @@ SKETCH_BITS, SIGMAS = 512, 6.0
 WIDTH = 5
 #: Candidate ids up to which they are broadcast (8 bytes each); beyond, texts are joined by shuffle.
 BROADCAST_IDS = 500_000
-#: Members of one block of a bucket; two blocks are compared at a time.
-BLOCK = 1024
+#: Members of one block of a bucket, and shingles of one (a single longer text may exceed them); two blocks are compared at a time.
+BLOCK, BLOCK_SHINGLES = 1024, 1 << 20
+#: Cells of a table of pairs held at a time.
+CELLS = 1 << 18
 #: Words remembered with their hashes by one worker.
 CACHE_WORDS = 400_000
 
@@ -136,10 +139,21 @@ def _signer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _setter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Sets of the texts that a class is looked for in; another text of the same id is passed over."""
     known = WordHashes()
     for batch in batches:
         sets = shingle_sets(batch.column(1).to_pylist(), known)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([s.tobytes() for s in sets], pa.binary())], ["id", "shingles"])
+        own = pa.array([xxhash.xxh3_128_digest(s.tobytes()) == h for s, h in zip(sets, batch.column(2).to_pylist(), strict=True)], pa.bool_())
+        yield pa.RecordBatch.from_arrays([batch.column(0).filter(own), pa.array([s.tobytes() for s in sets], pa.binary()).filter(own)], ["node", "shingles"])
+
+
+def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows with the hash of their text's set."""
+    known = WordHashes()
+    for batch in batches:
+        sets = shingle_sets(batch.column(1).to_pylist(), known)
+        h = [xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets]
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(h, pa.binary()), batch.column(2)], ["id", "same", "row"])
 
 
 def _confirm(percent: int):
@@ -182,16 +196,9 @@ def links_between(ids, comps, sizes, sketches, sets, side, most: int, percent: i
     """
     comp = comps.copy()
     names, counts = np.unique(comp, return_counts=True)
-    odd_ones = np.flatnonzero(comp != names[counts.argmax()])
-    bits = sketches.view(np.uint8).reshape(len(ids), -1)
     postings, out = None, []
-    for a in odd_ones.tolist():
-        ok = (comp != comp[a]) & (100 * np.minimum(sizes, sizes[a]) >= percent * np.maximum(sizes, sizes[a]))
-        if side[a] < 2:
-            ok &= side != side[a]
-        near = np.flatnonzero(ok)
-        if len(near):
-            near = near[_ONES[bits[near] ^ bits[a]].sum(axis=1) <= most]
+    for a in np.flatnonzero(comp != names[counts.argmax()]).tolist():
+        near = np.flatnonzero(admitted(comp, sizes, sketches, side, np.array([a]), most, percent)[0])
         if not len(near):
             continue
         if len(near) < 4:
@@ -206,127 +213,205 @@ def links_between(ids, comps, sizes, sketches, sets, side, most: int, percent: i
     return out
 
 
-_ONES = np.array([bin(x).count("1") for x in range(256)], np.uint16)
+def admitted(comp, sizes, sketches, side, rows, most: int, percent: int) -> np.ndarray:
+    """Which documents (columns) lengths, odd sketches and sides let link with some of them (``rows``), of other components."""
+    ok = (comp[None, :] != comp[rows, None]) & (100 * np.minimum(sizes[None, :], sizes[rows, None]) >= percent * np.maximum(sizes[None, :], sizes[rows, None]))
+    ok &= (side[None, :] != side[rows, None]) | (side[rows, None] == 2)
+    i, j = np.nonzero(ok)
+    bits = sketches.view(np.uint64)
+    ok[i, j] = np.bitwise_count(bits[rows[i]] ^ bits[j]).sum(axis=1) <= most
+    return ok
+
+
+def hopeful(comp, sizes, sketches, side, most: int, percent: int) -> np.ndarray:
+    """Documents that could link with one of another component, as far as lengths and sketches tell."""
+    out, step = np.zeros(len(comp), bool), max(1, CELLS // max(1, len(comp)))
+    for at in range(0, len(comp), step):
+        rows = np.arange(at, min(at + step, len(comp)))
+        out[rows] = admitted(comp, sizes, sketches, side, rows, most, percent).any(axis=1)
+    return out
+
+
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Rows of one bucket and pair of blocks after another; they come sorted by them (the first three columns)."""
+    held, at = [], None
+    for b in batches:
+        k = np.stack([b.column(c).to_numpy().astype(np.int64) for c in range(3)])
+        ends = np.append(np.flatnonzero((k[:, 1:] != k[:, :-1]).any(axis=0)) + 1, b.num_rows)
+        for lo, hi in zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True):
+            if lo == hi:
+                continue
+            here = tuple(k[:, lo].tolist())
+            if held and here != at:
+                yield pa.Table.from_batches(held)
+                held = []
+            at = here
+            held.append(b.slice(lo, hi - lo))
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def _column(t: pa.Table, name: str) -> np.ndarray:
+    return t.column(name).to_numpy().astype(np.int64)
+
+
+def _sketches(t: pa.Table) -> np.ndarray:
+    return np.concatenate([c.flatten().to_numpy() for c in t.column("sketch").chunks]).reshape(t.num_rows, -1)
+
+
+def _prune(most: int, percent: int):
+    """Of each pair of blocks, the documents that sketches leave a chance of a link between components."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in _groups(batches):
+            comp = _column(t, "comp")
+            if (comp == comp[0]).all():
+                continue
+            on = hopeful(comp, _column(t, "n"), _sketches(t), _column(t, "side"), most, percent)
+            if on.any():
+                yield from t.filter(pa.array(on)).combine_chunks().to_batches()
+
+    return run
 
 
 def _open(most: int, percent: int):
-    """Streams rows sorted by bucket and pair of blocks, and links each such group."""
-
-    def close(rows: list[dict]) -> list[tuple[int, int]]:
-        if len({r["comp"] for r in rows}) < 2:
-            return []
-        i, j = rows[0]["i"], rows[0]["j"]
-        side = np.array([2 if i == j else int(r["blk"] == j) for r in rows])
-        sketches = np.array([r["sketch"] for r in rows], "<i8")
-        sets = [np.frombuffer(r["shingles"], np.uint64) for r in rows]
-        ids, comps, sizes = (np.array([r[k] for r in rows], np.int64) for k in ("id", "comp", "n"))
-        return links_between(ids, comps, sizes, sketches, sets, side, most, percent)
+    """Links that join components within each pair of blocks."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, rows = None, []
-        for batch in batches:
-            out = []
-            for r in batch.to_pylist():
-                key = (r["key"], r["i"], r["j"])
-                if key != at:
-                    if rows:
-                        out += close(rows)
-                    at, rows = key, []
-                rows.append(r)
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in out], pa.int64()), pa.array([b for _, b in out], pa.int64())], ["a", "b"])
-        if rows and (out := close(rows)):
-            yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in out], pa.int64()), pa.array([b for _, b in out], pa.int64())], ["a", "b"])
+        for t in _groups(batches):
+            sets = [np.frombuffer(s.as_buffer(), np.uint64) for c in t.column("shingles").chunks for s in c]
+            found = links_between(_column(t, "node"), _column(t, "comp"), _column(t, "n"), _sketches(t), sets, _column(t, "side"), most, percent)
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found, strict=True)], ["a", "b"])
 
     return run
 
 
-def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
-    """Documents with the component of near-duplicates that each belongs to.
+@dataclass(frozen=True)
+class Classes:
+    """Rows with their sets' hash, ids that repeat, classes of equal sets, and the linked classes' components."""
 
-    Texts with equal shingle sets become one class before anything is compared. Classes meet in
-    band buckets, and a bucket is not expanded into pairs: its members are compared with one
-    leader, links join components, and only buckets that still hold several components are looked
-    at again, first with another leader, then pairwise across components, in SQL where the bucket is
-    small and in bounded blocks where it is not. Each pair is dropped by length, then by its odd
-    sketch, and what is left is confirmed on the full sets: linked if 100 * common >= ``percent`` * union.
+    signed: DataFrame  # id, n, same: a row of the table each
+    repeated: DataFrame | None  # ids of more than one row, if there are any
+    classes: DataFrame  # node, same, id, n: one row for each set that occurs
+    reach: DataFrame  # node, root: classes with a link
 
-    Reads ``doc_id, text``; other columns are ignored. A text with fewer than five words is one
-    shingle; null, empty and blank texts have no shingle and link with nothing. ``doc_id`` names a
-    document: rows that repeat an id belong to one component. A null id takes no part and comes back
-    as its own. Returns ``doc_id, n_shingles, component_id, kept`` for every row.
+
+def grouped(docs: DataFrame, percent: int = 75, same_id: bool = False) -> Classes:
+    """Finds the links between classes of equal shingle sets; with ``same_id``, classes that share an id are linked as well.
+
+    Classes meet in band buckets, and a bucket is not expanded into pairs: its members are compared with
+    its first and last one (by number), and links give members labels. Buckets that hold several labels are cut into blocks of
+    bounded rows and shingles, and within two blocks at a time documents of different labels are compared; full sets travel only for
+    those that lengths and odd sketches leave a chance there. Each pair is dropped by length, then by its odd
+    sketch, and what is left is confirmed on the full sets. Labels are contracted before the search for components.
     """
     session_defaults(docs.sparkSession)
     words = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
     signed = save(words.mapInArrow(_signer, "id long, n long, same binary, bands array<long>, sketch array<long>"), "signed")
-    some = signed.filter("n > 0 AND id IS NOT NULL")
-    classes = save(some.groupBy("same").agg(F.min_by(F.struct("id", "n", "bands", "sketch"), "id").alias("c")).select("same", "c.*"), "classes")
+    named = signed.filter("id IS NOT NULL")
+    repeated = save(named.groupBy("id").agg(F.count("*").alias("rows")).filter("rows > 1").select("id"), "repeated")
+    repeated = None if repeated.isEmpty() else repeated
+    found = named.filter("n > 0").groupBy("same").agg(F.min_by(F.struct("id", "n", "bands", "sketch"), "id").alias("c"))
+    classes = save(found.select(F.monotonically_increasing_id().alias("node"), "same", "c.*"), "classes")  # numbers hold: they are read back
     most = most_odd_bits(percent / 100)
 
-    spread = classes.select("id", F.explode("bands").alias("key"))
-    shared = spread.groupBy("key").agg(F.count("*").alias("m")).filter("m > 1").select("key")
+    spread = classes.select("node", "n", F.explode("bands").alias("key"))
+    shared = spread.groupBy("key").agg(F.count("*").alias("m"), F.min("node").alias("first"), F.max("node").alias("last")).filter("m > 1").drop("m")
     members = save(spread.join(shared, "key"), "members")
-    wanted = save(members.select("id").distinct(), "wanted")
-    small = wanted.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
-    texts = words.join(F.broadcast(wanted) if small else wanted, "id", "left_semi")
-    sets = save(texts.mapInArrow(_setter, "id long, shingles binary").dropDuplicates(["id"]), "sets")
-    facts = save(classes.select("id", "n", "sketch").join(wanted, "id", "left_semi"), "facts")
-
-    def plausible(pairs: DataFrame) -> DataFrame:
-        x = facts.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("sketch").alias("sa"))
-        y = facts.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("sketch").alias("sb"))
-        odd = " + ".join(f"bit_count(sa[{p}] ^ sb[{p}])" for p in range(SKETCH_BITS // 64))
-        sized = pairs.join(x, "a").join(y, "b").filter(f"100 * least(na, nb) >= {percent} * greatest(na, nb)")
-        return sized.filter(F.expr(odd) <= most).select("a", "b")
-
-    def confirmed(pairs: DataFrame) -> DataFrame:
-        x = sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa"))
-        y = sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb"))
-        return pairs.join(x, "a").join(y, "b").select("a", "b", "sa", "sb").mapInArrow(_confirm(percent), "a long, b long")
-
-    def placed(links: DataFrame | None) -> DataFrame:
-        """Members with their components, in buckets that hold more than one."""
-        if links is None:
-            return members.withColumn("comp", F.col("id"))
-        reach = components(links).select(F.col("node").alias("id"), "component")
-        now = members.join(reach, "id", "left").select("key", "id", F.coalesce("component", "id").alias("comp"))
-        mixed = now.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("key")
-        return save(now.join(mixed, "key"), "open")
-
-    links: DataFrame | None = None
-    tested: DataFrame | None = None
-    for turn in range(2):
-        now = placed(links)
-        pick = F.min(F.struct("comp", "id")) if turn == 0 else F.max(F.struct("comp", "id"))
-        led = now.groupBy("key").agg(pick.alias("lead"))
-        star = now.join(led, "key").filter("comp <> lead.comp").select(F.least("id", "lead.id").alias("a"), F.greatest("id", "lead.id").alias("b")).distinct()
-        star = save(star if tested is None else star.join(tested, ["a", "b"], "left_anti"), "star")
-        found = save(confirmed(plausible(star)), "links")
-        links = found if links is None else links.union(found)
-        tested = star if tested is None else tested.union(star)
-
-    now = placed(links)
-    blocks = now.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("nb"))
-    cut = now.join(blocks, "key").withColumn("blk", F.pmod(F.xxhash64("id"), F.col("nb")).cast("int"))
-    both = cut.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1))).select("key", "id", "comp", "blk", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"))
-    full = both.join(facts, "id").join(sets, "id").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
-    links = links.union(save(full.select("key", "i", "j", "id", "comp", "blk", "n", "sketch", "shingles").mapInArrow(_open(most, percent), "a long, b long"), "links"))
-
-    reach = components(links).select(F.col("node").alias("rep"), "component")
-    named = classes.select("same", F.col("id").alias("rep")).join(reach, "rep", "left").select("same", F.coalesce("component", "rep").alias("component"))
-    out = signed.select("id", "n", "same").alias("s").join(named.alias("c"), F.col("s.same") == F.col("c.same"), "left")
-    comp = F.when(F.col("s.id").isNull(), None).otherwise(F.coalesce("c.component", "s.id"))
-    return out.select(F.col("s.id").alias("doc_id"), F.col("s.n").alias("n_shingles"), comp.alias("component_id"), F.coalesce(comp == F.col("s.id"), F.lit(True)).alias("kept"))
+    wanted = save(classes.join(members.select("node").distinct(), "node", "left_semi").select("node", "id", "same"), "wanted")
+    facts = classes.select("node", "n", "sketch")
+
+    few = wanted.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    texts = words.join(F.broadcast(wanted) if few else wanted, "id")
+
+    def built(rows: DataFrame) -> DataFrame:
+        return rows.select("node", "text", "same").mapInArrow(_setter, "node long, shingles binary")
+
+    if repeated is None:
+        sets = save(built(texts), "sets")
+    else:  # rows that repeat an id may bring a set more than once
+        sets = save(built(texts.join(repeated, "id", "left_anti")).union(built(texts.join(repeated, "id", "left_semi")).dropDuplicates(["node"])), "sets")
+
+    ends = members.select("node", F.explode(F.array("first", "last")).alias("lead")).filter("node <> lead")
+    star = ends.select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
+    x, y = (facts.select(F.col("node").alias(k), F.col("n").alias("n" + k), F.col("sketch").alias("s" + k)) for k in "ab")
+    odd = " + ".join(f"bit_count(sa[{p}] ^ sb[{p}])" for p in range(SKETCH_BITS // 64))
+    sized = star.join(x, "a").join(y, "b").filter(f"100 * least(na, nb) >= {percent} * greatest(na, nb)").filter(F.expr(odd) <= most).select("a", "b")
+    u, v = (sets.select(F.col("node").alias(k), F.col("shingles").alias("s" + k)) for k in "ab")
+    links = save(sized.join(u, "a").join(v, "b").select("a", "b", "sa", "sb").mapInArrow(_confirm(percent), "a long, b long"), "links")
+
+    # the least neighbour, then its least neighbour: sound labels, mostly whole components already
+    near = links.union(links.select("b", "a")).groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("m"))
+    near = save(near, "least")
+    labels = save(near.join(near.select(F.col("node").alias("m"), F.col("m").alias("label")), "m").select("node", "label"), "labels")
+
+    now = members.join(labels, "node", "left").select("key", "node", "n", F.coalesce("label", "node").alias("comp"))
+    blocks = F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n") / BLOCK_SHINGLES)).cast("int")
+    mixed = now.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), blocks.alias("nb")).filter("lo < hi").select("key", "nb")
+    cut = now.join(mixed, "key").withColumn("blk", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))
+    met = cut.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1))).withColumn("i", F.least("blk", "o")).withColumn("j", F.greatest("blk", "o"))
+    met = met.withColumn("side", F.when(F.col("i") == F.col("j"), 2).otherwise((F.col("blk") == F.col("j")).cast("int")))
+    shape = "key long, i int, j int, node long, comp long, n long, side int, sketch array<long>"
+    cells = met.join(facts.drop("n"), "node").select("key", "i", "j", "node", "comp", "n", "side", "sketch")
+    left = save(cells.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(_prune(most, percent), shape), "left")
+    full = left.join(sets, "node").select("key", "i", "j", "node", "comp", "n", "side", "sketch", "shingles")
+    more = save(full.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(_open(most, percent), "a long, b long"), "links")
+
+    if same_id and repeated is not None:
+        homes = named.filter("n > 0").join(repeated, "id").join(classes.select("same", "node"), "same").select("id", "node")
+        more = more.union(homes.join(homes.groupBy("id").agg(F.min("node").alias("b")), "id").select(F.col("node").alias("a"), "b"))
+    links = links.union(more)
+    for k in "ab":
+        links = links.join(labels.select(F.col("node").alias(k), "label"), k, "left").withColumn(k, F.coalesce("label", k)).drop("label")
+    roots = save(components(links), "roots")
+    ours = labels.join(roots.withColumnRenamed("node", "label"), "label", "left").select("node", F.coalesce("component", "label").alias("root"))
+    reach = ours.union(roots.join(labels, "node", "left_anti").select("node", F.col("component").alias("root")))
+    return Classes(signed.select("id", "n", "same"), repeated, classes.select("node", "same", "id", "n"), save(reach, "reach"))
+
+
+def near_duplicates(docs: DataFrame, percent: int = 75) -> DataFrame:
+    """Documents with the component of near-duplicates that each belongs to, by 100 * common >= ``percent`` * union.
+
+    Reads ``doc_id, text``; other columns are ignored. A text with fewer than five words is one
+    shingle; null, empty and blank texts have no shingle and link with nothing. ``doc_id`` names a
+    document: all rows of an id, whatever their texts, belong to one component. A null id takes no part and comes back
+    as its own. Returns ``doc_id, n_shingles, component_id, kept`` for every row; how links are found is told at :func:`grouped`.
+    """
+    g = grouped(docs, percent, same_id=True)
+    linked = g.classes.join(g.reach, "node")
+    lows = linked.groupBy("root").agg(F.min("id").alias("low"))
+    named = g.classes.select("same", "node", "id").join(g.reach.join(lows, "root").select("node", "low"), "node", "left").select("same", F.coalesce("low", "id").alias("component"))
+    out = g.signed.alias("s").join(named.alias("c"), F.col("s.same") == F.col("c.same"), "left").select("s.id", "s.n", F.coalesce("c.component", "s.id").alias("component"))
+    if g.repeated is not None:  # an id may have rows without words as well
+        least = out.join(g.repeated, "id").groupBy("id").agg(F.min("component").alias("least"))
+        out = out.join(least, "id", "left").select("id", "n", F.coalesce("least", "component").alias("component"))
+    return out.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.when(F.col("id").isNotNull(), F.col("component")).alias("component_id"), F.coalesce(F.col("component") == F.col("id"), F.lit(True)).alias("kept"))
 
 
 def one_of_each(docs: DataFrame, percent: int = 75) -> DataFrame:
-    """The documents without near-duplicates of an earlier one, with their columns as they came.
+    """The documents without near-duplicates of another one, with their columns as they came.
 
-    Documents of one component are represented by the smallest id; rows that repeat an id are cut to one.
+    Of texts that links connect, the row with the smallest id stays, of several rows of that id one of any class the smallest in
+    number. An id alone connects nothing here: rows that repeat one with unlike texts all stay, and rows whose id and shingle set
+    are equal are cut to one, as are rows of one id without words. Rows with a null id all stay.
     """
-    keep = near_duplicates(docs, percent).filter("kept").select(F.col("doc_id").alias("_keep")).distinct()
-    same_id = F.col("d.doc_id").cast("long").eqNullSafe(F.col("k._keep"))
+    g = grouped(docs, percent)
+    lost = g.classes.join(g.reach, "node").groupBy("root").agg(F.min(F.struct("id", "node")).alias("m"))
+    gone = g.reach.join(lost, "root").filter("node <> m.node").select("node")
+    stay = g.classes.join(gone, "node", "left_anti").select("id", "same")
+    wordless = g.signed.filter("n = 0 AND id IS NOT NULL").select("id", "same")
+    keep = stay.unionByName(wordless)
+    own = clear("k", docs.columns)
+    lone = keep if g.repeated is None else keep.join(g.repeated, "id", "left_anti")
+    d = docs.alias("d")
     names = [F.col(f"d.`{c}`") for c in docs.columns]
-    kept = docs.alias("d").join(keep.alias("k"), same_id, "left_semi").select(*names)
-    lone = kept.filter("doc_id IS NULL")
-    return kept.filter("doc_id IS NOT NULL").dropDuplicates(["doc_id"]).unionByName(lone)
+    out = d.join(lone.select(F.col("id").alias(own)), F.col("d.doc_id").cast("long") == F.col(own), "left_semi").select(*names).unionByName(docs.filter("doc_id IS NULL"))
+    if g.repeated is None:
+        return out
+    twice = docs.join(g.repeated.select(F.col("id").alias(own)), F.col("doc_id").cast("long") == F.col(own), "left_semi")
+    signed = twice.select(F.col("doc_id").cast("long").alias("id"), "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    kind = signed.schema["row"].dataType.simpleString()
+    signed = signed.mapInArrow(_digest, f"id long, same binary, row {kind}").dropDuplicates(["id", "same"])
+    kept = signed.alias("d").join(keep.join(g.repeated, "id").distinct().alias("k"), (F.col("d.id") == F.col("k.id")) & F.col("d.same").eqNullSafe(F.col("k.same")), "left_semi")
+    return out.unionByName(kept.select("row.*"))

@@ -103,4 +103,30 @@ def test_odd_tables(spark):
     odd = spark.createDataFrame([(None, "a b c"), (1, None), (1, "a b c"), (1, "a b c"), (2, "A B C")], "doc_id long, text string")
     got = {(r["doc_id"], r["component_id"]) for r in K.near_duplicates(odd).collect()}
     assert got == {(None, None), (1, 1), (2, 1)}
-    assert sorted((r["doc_id"] or 0) for r in K.one_of_each(odd).collect()) == [0, 1]
+    assert sorted((r["doc_id"] or 0, r["text"]) for r in K.one_of_each(odd).collect() if r["text"]) == [(0, "a b c"), (1, "a b c")]
+    assert K.one_of_each(odd).filter("text IS NULL").count() == 1
+
+
+def test_an_id_with_several_texts(spark):
+    """All texts of an id take part; near_duplicates joins them to one component, one_of_each keeps unlike ones."""
+    a, b, lone = text(80), text(80), text(40)
+    rows = [(5, " ".join(a)), (5, " ".join(b)), (6, " ".join([*a, "x"])), (7, " ".join([*b, "y"])), (8, " ".join(lone)), (8, " ".join(lone)), (8, None), (3, " ".join(lone)), (9, "")]
+    df = spark.createDataFrame([(i, t, i, "q") for i, t in rows], "doc_id long, text string, id int, k string").repartition(3)
+    got = K.near_duplicates(df).toPandas()
+    assert len(got) == len(rows)
+    assert dict(zip(got["doc_id"], got["component_id"], strict=True)) == {5: 5, 6: 5, 7: 5, 8: 3, 3: 3, 9: 9}
+    assert set(got.loc[got["kept"], "doc_id"]) == {5, 3, 9}
+    kept = K.one_of_each(df)
+    assert kept.columns == df.columns
+    assert sorted((r["doc_id"], r["text"] or "") for r in kept.collect()) == sorted([(5, " ".join(a)), (5, " ".join(b)), (3, " ".join(lone)), (8, ""), (9, "")])
+
+
+def test_very_long_texts_and_small_blocks(spark, monkeypatch):
+    monkeypatch.setattr(K, "BLOCK_SHINGLES", 500)
+    long = text(150_000)
+    near = changed(long, 1500)
+    rows = [(1, " ".join(long)), (2, " ".join(near)), (3, " ".join(long[:60_000])), (4, "x" * 500_000), (5, "x " * 100_000), (6, "x " * 50_000), *((10 + i, t) for i, t in corpus())]
+    sets, comp = brute(rows)
+    got = K.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == {i: (len(sets[i]), comp[i]) for i, _ in rows}
+    assert comp[2] == 1 and comp[3] == 3 and comp[6] == 5
