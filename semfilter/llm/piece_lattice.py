@@ -8,19 +8,24 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import lean, save, session_defaults
 
 #: The sign that stands for a blank.
 BLANK = "▁"
-#: Words, most frequent first, whose ids are broadcast (some 40 bytes each); the others meet their documents by shuffle.
-HEAD_WORDS = 1 << 19
-#: Bytes of text whose words are counted or looked up together.
-GROUP_BYTES = 4 << 20
-#: Words whose lattices are built together.
-WORD_ROWS = 2_000
+#: Most frequent words whose ids are broadcast, and the longest that may be so (some 40 bytes a word, by both bounds).
+HEAD_WORDS, HEAD_CHARS = 1 << 19, 64
+#: Bytes of text that are counted, looked up and sent together; distinct words that one task counts before it gives them on.
+GROUP_BYTES, HELD_WORDS = 4 << 20, 300_000
+#: Words whose ids are written together.
+STEP_WORDS = 100_000
+#: Steps to a power of two by which words are told apart by frequency.
+STEPS = 16
+#: Characters of a word that are exploded from one row, and edges or places that are folded together.
+WINDOW, CHUNK = 64, 1024
 #: What an unknown character costs beyond the worst piece, as in the public library.
 UNKNOWN = 10.0
 
@@ -102,120 +107,100 @@ def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
     lean()
 
 
-def _batches(schema: dict[str, pa.DataType], *columns) -> Iterator[pa.RecordBatch]:
-    table = pa.table(dict(zip(schema, columns, strict=True)), schema=pa.schema(list(schema.items())))
-    yield from table.combine_chunks().to_batches(max_chunksize=50_000)
-
-
 def _counter(newline: bool, stops: list[str]):
+    """Words that a task sees more than once, with their number: only such words can be worth remembering."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: pa.Table | None = None
         for group in _grouped(batches):
-            words, _ = words_of(group.column(0).combine_chunks(), newline, stops)
-            found = pc.value_counts(words)
-            order = pc.sort_indices(found.field(0))  # neighbours share beginnings, which compress
-            yield from _batches({"word": pa.string(), "n": pa.int64()}, found.field(0).take(order), found.field(1).take(order))
+            found = pc.value_counts(words_of(group.column(0).combine_chunks(), newline, stops)[0])
+            fresh = pa.table({"word": found.field(0), "n": found.field(1)})
+            held = fresh if held is None else pa.concat_tables([held, fresh]).group_by("word").aggregate([("n", "sum")]).rename_columns(["word", "n"])
+            if held.num_rows > HELD_WORDS:
+                yield from _counted(held)
+                held = None
+        if held is not None:
+            yield from _counted(held)
+        lean()
 
     return run
 
 
-class PieceTable:
-    """Pieces by length, as sorted hashes of their characters, with those of all their beginnings."""
-
-    def __init__(self, pieces: Pieces):
-        self.worst = min((s for _, s in pieces.text.values()), default=0.0) - UNKNOWN
-        by: dict[int, dict[int, tuple[int, float]]] = {}
-        starts: dict[int, set[int]] = {}
-        for p, (i, s) in pieces.text.items():
-            h = np.zeros(1, np.uint64)
-            for k, c in enumerate(p, 1):
-                h = self.step(h, np.array([ord(c)], np.uint64))
-                starts.setdefault(k, set()).add(int(h[0]))
-            by.setdefault(len(p), {})[int(h[0])] = (i, s)
-        self.starts = {k: np.array(sorted(v), np.uint64) for k, v in starts.items()}
-        self.rows = {}
-        for k, v in by.items():
-            keys = sorted(v)
-            self.rows[k] = (np.array(keys, np.uint64), np.array([v[x][0] for x in keys], np.int32), np.array([v[x][1] for x in keys]))
-
-    @staticmethod
-    def step(h: np.ndarray, c: np.ndarray) -> np.ndarray:
-        h = (h + c + np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)
-        return h ^ (h >> np.uint64(32))
-
-    @staticmethod
-    def find(keys: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
-        return at, keys[at] == h
-
-    def edges(self, words: list[str]) -> tuple[np.ndarray, ...]:
-        """Edges of the words' lattices: end, start, id and score, by word, end and start; and their number at each end.
-
-        Every place begins substrings of growing length, exploded a length at a time while some piece begins
-        so; those found in the table of that length (an equi-join on the hash) are edges. A
-        character that is no piece gets an edge with id -1.
-        """
-        code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
-        size = np.fromiter(map(len, words), np.int64, len(words))
-        first = np.repeat(np.cumsum(size) - size, size)
-        end = np.repeat(np.cumsum(size), size)
-        at, h = np.arange(len(code)), np.zeros(len(code), np.uint64)
-        got = []
-        single = np.zeros(len(code), bool)
-        for length in range(1, max(self.starts, default=0) + 1):
-            inside = at + length <= end[at]
-            at, h = at[inside], h[inside]
-            h = self.step(h, code[at + length - 1])
-            if length in self.rows:
-                keys, ids, scores = self.rows[length]
-                k, hit = self.find(keys, h)
-                got.append((at[hit] + length, at[hit], ids[k[hit]], scores[k[hit]]))
-                if length == 1:
-                    single[at[hit]] = True
-            _, more = self.find(self.starts[length], h)
-            at, h = at[more], h[more]
-            if not len(at):
-                break
-        lone = np.flatnonzero(~single)
-        got.append((lone + 1, lone, np.full(len(lone), -1, np.int32), np.full(len(lone), self.worst)))
-        e, s, i, w = (np.concatenate(x) for x in zip(*got, strict=True))
-        order = np.argsort(e * 64 - (e - s), kind="stable")
-        e, s, i, w = e[order], s[order], i[order], w[order]
-        return (e - first[s]).astype(np.int32), (s - first[s]).astype(np.int32), i, w, np.bincount(e - 1, minlength=len(code)), size
-
-
-def _lattices(pieces: Pieces):
-    table = PieceTable(pieces)
+def _counted(held: pa.Table) -> Iterator[pa.RecordBatch]:
+    often = held.filter(pc.and_(pc.greater(held.column("n"), 1), pc.less_equal(pc.utf8_length(held.column("word")), HEAD_CHARS)))
+    yield from often.sort_by("word").combine_chunks().to_batches(max_chunksize=50_000)  # neighbours share beginnings, which compress
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lean()
-        kind = pa.struct([("s", pa.int32()), ("w", pa.float64()), ("id", pa.int32())])
-        for batch in batches:
-            for k in range(0, batch.num_rows, WORD_ROWS):
-                part = batch.slice(k, WORD_ROWS)
-                _, s, i, w, ends, size = table.edges(part.column(0).to_pylist())
-                flat = pa.StructArray.from_arrays([pa.array(s), pa.array(w), pa.array(i)], fields=list(kind))
-                by_end = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(ends)]), pa.int32()), flat)
-                by_word = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]), pa.int32()), by_end)
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), by_word], ["word", "n", "ends"])
 
-    return run
+def piece_table(spark: SparkSession, pieces: Pieces) -> DataFrame:
+    """The vocabulary as a relation, ``piece, id, w``; its size is that of the model."""
+    rows = pa.table({"piece": list(pieces.text), "id": pa.array([i for i, _ in pieces.text.values()], pa.int32()), "w": [w for _, w in pieces.text.values()]})
+    return spark.createDataFrame(rows, "piece string, id int, w double")
 
 
-def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
-    """Best segmentation of each distinct word: ``word, n, s, id``, starts and ids of its pieces in order.
+def edges(words: DataFrame, pieces: Pieces, keys: list[str], carry: list[str]) -> DataFrame:
+    """Edges of the words' lattices, ``keys, e, s, w, id``, end, start, score and id, and a row without edge for each null word.
 
-    ``words`` has ``word, n`` and is spread by word. The edges of a word's lattice, grouped by their end,
-    come from the join of its substrings with the pieces; the Viterbi fold goes over the ends
-    with Spark's ``aggregate``, keeping for each the best score and the edge that gave it, among equal
-    scores the one that starts first, as in the public library. A second fold walks back.
+    Words are exploded to windows, windows to places, places to substrings no longer than the longest piece, and those equi-joined with the
+    pieces. A character that is no piece gives an edge with id -1. Rows stay in the partition of their word.
+    """
+    longest = max(map(len, pieces.text), default=1)
+    worst = min((w for _, w in pieces.text.values()), default=0.0) - UNKNOWN
+    kept = [*keys, *carry]
+    at = words.select(*kept, "word", F.explode_outer(F.expr(f"if(word <> '', sequence(0, (length(word) - 1) div {WINDOW} * {WINDOW}, {WINDOW}), null)")).alias("at"))
+    part = at.select(*kept, "at", F.expr(f"if(length(word) <= {WINDOW}, word, substr(word, at + 1, {WINDOW + longest - 1}))").alias("part")).withColumn("size", F.length("part"))
+    place = part.select(*kept, "at", "part", "size", F.explode_outer(F.expr(f"sequence(0, least(size, {WINDOW}) - 1)")).alias("p"))
+    run = place.select(*kept, "at", "part", "p", F.explode_outer(F.expr(f"sequence(1, least(size - p, {longest}))")).alias("k"))
+    sub = run.select(*kept, (F.col("at") + F.col("p")).alias("s"), "k", F.expr("substr(part, p + 1, k)").alias("piece"))
+    hit = sub.join(F.broadcast(piece_table(words.sparkSession, pieces)), "piece", "left").filter("id IS NOT NULL OR k = 1 OR k IS NULL")
+    return hit.select(*kept, (F.col("s") + F.col("k")).alias("e"), "s", F.coalesce("w", F.lit(worst)).alias("w"), F.coalesce("id", F.lit(-1)).alias("id"))
+
+
+def _fold(longest: int) -> str:
+    """Viterbi over a word's edges by end, then start: the parent of every place, as start and id.
+
+    The candidate for the place at hand is kept beside the list; a better edge takes its place, an equal one does not, so among equal scores
+    the one that starts first wins, as in the public library. Spark copies what a fold keeps at each step, so the inner fold, over ``CHUNK`` edges,
+    keeps the places of these edges and as many before them as a piece may reach, and the outer one lays older places aside.
     """
-    edges = words.mapInArrow(_lattices(pieces), "word string, n long, ends array<array<struct<s:int,w:double,id:int>>>")
     node = "struct<w:double,s:int,id:int>"
-    best = f"""aggregate(ends, cast(array(named_struct('w', 0D, 's', 0, 'id', -1)) as array<{node}>), (b, es) ->
-        array_append(b, array_max(transform(es, x -> cast(named_struct('w', b[x.s].w + x.w, 's', -x.s, 'id', x.id) as {node})))))"""
-    walk = """aggregate(sequence(size(best) - 1, 1, -1), named_struct('at', size(best) - 1, 's', cast(array() as array<int>), 'id', cast(array() as array<int>)),
-        (a, p) -> if(p = a.at, named_struct('at', -best[p].s, 's', array_prepend(a.s, -best[p].s), 'id', array_prepend(a.id, best[p].id)), a))"""
-    return edges.select("word", "n", F.expr(best).alias("best")).select("word", "n", F.expr(walk).alias("p")).select("word", "n", "p.s", "p.id")
+    cost = "(x.w + if(x.s = a.e, a.w, a.cur[x.s - a.base].w))"
+    step = f"""if(x.e > a.e, named_struct('cur', array_append(a.cur, named_struct('w', a.w, 's', a.s, 'id', a.id)), 'base', a.base, 'e', x.e, 'w', {cost}, 's', x.s, 'id', x.id),
+        if({cost} > a.w, named_struct('cur', a.cur, 'base', a.base, 'e', a.e, 'w', {cost}, 's', x.s, 'id', x.id), a))"""
+    inner = f"aggregate(part, named_struct('cur', o.cur, 'base', o.base, 'e', o.e, 'w', o.w, 's', o.s, 'id', o.id), (a, x) -> {step})"
+    old = f"greatest(size(r.cur) - {longest}, 0)"
+    aside = f"named_struct('done', array_append(o.done, slice(r.cur, 1, {old})), 'cur', slice(r.cur, {old} + 1, {longest}), 'base', r.base + {old}, 'e', r.e, 'w', r.w, 's', r.s, 'id', r.id)"
+    start = f"cast(named_struct('done', array(), 'cur', array(), 'base', 0, 'e', 0, 'w', 0D, 's', 0, 'id', -1) as struct<done:array<array<{node}>>,cur:array<{node}>,base:int,e:int,w:double,s:int,id:int>)"
+    end = f"concat(flatten(o.done), o.cur, array(cast(named_struct('w', o.w, 's', o.s, 'id', o.id) as {node})))"
+    return f"aggregate({_chunks('edges')}, {start}, (o, part) -> transform(array({inner}), r -> {aside})[0], o -> {end})"
+
+
+def _chunks(array: str) -> str:
+    return f"transform(sequence(0, (size({array}) - 1) div {CHUNK}), c -> slice({array}, c * {CHUNK} + 1, {CHUNK}))"
+
+
+def _walk() -> str:
+    """The best path back from the last place, as starts and ids in order; in chunks, as the fold."""
+    item = "struct<s:int,id:int>"
+    step = "if(a.k > 0 AND a.k = a.at, named_struct('k', a.k - 1, 'at', x.s, 'cur', array_append(a.cur, named_struct('s', x.s, 'id', x.id))), named_struct('k', a.k - 1, 'at', a.at, 'cur', a.cur))"
+    inner = f"aggregate(part, named_struct('k', o.k, 'at', o.at, 'cur', cast(array() as array<{item}>)), (a, x) -> {step})"
+    start = f"cast(named_struct('k', size(best) - 1, 'at', size(best) - 1, 'done', array()) as struct<k:int,at:int,done:array<array<{item}>>>)"
+    aside = "named_struct('k', r.k, 'at', r.at, 'done', array_append(o.done, r.cur))"
+    return f"aggregate({_chunks('reverse(best)')}, {start}, (o, part) -> transform(array({inner}), r -> {aside})[0], o -> reverse(flatten(o.done)))"
+
+
+def lattice(words: DataFrame, pieces: Pieces, by: str = "word", keys: tuple[str, ...] = ("word",), carry: tuple[str, ...] = ()) -> DataFrame:
+    """Best segmentation of each word: ``keys, path``, start and id of its pieces in order, and the columns to carry along.
+
+    Words (a row for each ``keys``) are dealt by ``by``, one of the keys, once; :func:`edges` explodes and joins them, edges are grouped by
+    word where they are, and two folds with Spark's ``aggregate`` find the best path. Null and empty words have an empty one.
+    """
+    own, led = [f"key{n}" for n in range(len(keys))], [f"carry{n}" for n in range(len(carry))]
+    dealt = words.repartition(by).select(*[F.col(f"`{c}`").alias(n) for c, n in zip([*keys, *carry], own + led, strict=True)], "word")
+    found = edges(dealt, pieces, own, led)
+    edge = F.when(F.col("e").isNotNull(), F.struct(F.col("e").cast("int").alias("e"), F.col("s").cast("int").alias("s"), "w", "id"))
+    met = found.groupBy(*own).agg(F.sort_array(F.collect_list(edge)).alias("edges"), *[F.max(c).alias(c) for c in led])
+    best = met.select(*own, *led, F.expr(_fold(max(map(len, pieces.text), default=1))).alias("best"))
+    return best.select(*[F.col(n).alias(c) for c, n in zip([*keys, *carry], own + led, strict=True)], F.expr(_walk()).alias("path"))
 
 
 def _flat(lists: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -223,66 +208,108 @@ def _flat(lists: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return lists.flatten().to_numpy(zero_copy_only=False), np.diff(lists.offsets.to_numpy())
 
 
-def _spelled(pieces: Pieces) -> str:
-    """Ids of a path in SQL, unknown characters spelled by the ids of their bytes."""
-    if not pieces.bytes_:
-        return f"transform(id, i -> if(i < 0, {pieces.unknown}, i))"
-    of_byte = f"array({', '.join(map(str, pieces.bytes_))})"
-    char = "hex(encode(substr(word, x.s + 1, 1), 'UTF-8'))"
-    spell = f"transform(sequence(1, length({char}) div 2), k -> element_at({of_byte}, cast(conv(substr({char}, 2 * k - 1, 2), 16, 10) as int) + 1))"
-    return f"if(array_min(id) >= 0, id, flatten(transform(arrays_zip(s, id), x -> if(x.id >= 0, array(x.id), {spell}))))"
+def _ids(ids: pa.Array, starts: pa.Array, words: pa.Array, pieces: Pieces) -> pa.Array:
+    """Ids of paths, unknown characters spelled by the ids of their bytes."""
+    flat, many = _flat(ids)
+    if not (flat < 0).any():
+        return ids
+    at, owner = starts.flatten().to_numpy(zero_copy_only=False), np.repeat(np.arange(len(many)), many)
+    spelled = [[i] if i >= 0 else pieces.fallback(words[int(o)].as_py()[s]) for i, s, o in zip(flat.tolist(), at.tolist(), owner.tolist(), strict=True)]
+    ends = np.cumsum([0, *map(len, spelled)])[np.concatenate([[0], np.cumsum(many)])]
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array([i for x in spelled for i in x], pa.int32()))
+
+
+def _coded(texts: pa.Array, known: pa.Array, newline: bool, stops: list[str]) -> tuple[pa.DictionaryArray, np.ndarray, np.ndarray, np.ndarray]:
+    """Words of texts by number, words a text, and for each distinct word its place among the known ones or, below 0, none; and the unknown ones."""
+    words, counts = words_of(texts, newline, stops)
+    coded = words.dictionary_encode()
+    place = pc.fill_null(pc.index_in(coded.dictionary, known), -1).to_numpy().astype(np.int64)
+    return coded, counts, place, np.flatnonzero(place < 0)
 
 
-def _missing(head, newline: bool, stops: list[str]):
+def _sender(head, newline: bool, stops: list[str]):
+    """Groups of documents, packed, and the words of each that are not in the head, by number."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = head.value[0]
-        for group in _grouped(batches):
-            words, counts = words_of(group.column(1).combine_chunks(), newline, stops)
-            coded = words.dictionary_encode()
-            rare = pc.is_null(pc.index_in(coded.dictionary, known)).to_numpy(zero_copy_only=False)
-            index = coded.indices.to_numpy()
-            on = np.flatnonzero(rare[index]) if len(index) else np.empty(0, np.int64)
-            pairs = np.unique(index[on].astype(np.int64) * len(counts) + np.repeat(np.arange(len(counts)), counts)[on])
-            kinds, docs = coded.dictionary.take(pa.array(pairs // max(1, len(counts)))), group.column(0).combine_chunks().take(pa.array(pairs % max(1, len(counts))))
-            order = pc.sort_indices(kinds)
-            yield from _batches({"word": pa.string(), "h": pa.int64()}, kinds.take(order), docs.take(order))
+        known, task = head.value[0], TaskContext.get().partitionId()
+        schema = pa.schema([("g", pa.int64()), ("i", pa.int32()), ("word", pa.string()), ("pack", pa.binary())])
+        options = pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 3))
+        for k, group in enumerate(_grouped(batches)):
+            g = (task << 32) | k
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, group.schema, options=options) as out:
+                out.write_table(group.combine_chunks())
+            yield pa.RecordBatch.from_arrays([pa.array([g]), pa.array([-1], pa.int32()), pa.array([None], pa.string()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], schema=schema)
+            coded, _, _, rare = _coded(group.column(1).combine_chunks(), known, newline, stops)
+            words = coded.dictionary.take(pa.array(rare))
+            order = pc.sort_indices(words)
+            for at in range(0, len(rare), 50_000):
+                own = order.slice(at, 50_000)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), g)), own.cast(pa.int32()), words.take(own), pa.nulls(len(own), pa.binary())], schema=schema)
 
     return run
 
 
-def _encode(head, newline: bool, stops: list[str], letters: tuple | None):
+def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
+    newline, stops = _plan(pieces)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lean()
         known, known_ids = head.value
-        for group in _grouped(batches):
-            doc, text = group.column(0).combine_chunks(), group.column(1).combine_chunks()
-            own, own_ids = group.column(2).combine_chunks().flatten(), group.column(3).combine_chunks().flatten()
-            words, counts = words_of(text, newline, stops)
-            coded = words.dictionary_encode()
-            place = pc.fill_null(pc.index_in(coded.dictionary, known), -1).to_numpy().astype(np.int64)
-            if (place < 0).any():
-                rare = np.flatnonzero(place < 0)
-                place[rare] = pc.index_in(coded.dictionary.take(pa.array(rare)), own).to_numpy() + len(known)
-            table = pa.concat_arrays([known_ids.take(pa.array(place[place < len(known)])), own_ids.take(pa.array(place[place >= len(known)] - len(known)))])
-            slot = np.empty(len(place), np.int64)
-            slot[np.concatenate([np.flatnonzero(place < len(known)), np.flatnonzero(place >= len(known))])] = np.arange(len(place))
-            flat, many = _flat(table)
-            at = np.concatenate([[0], np.cumsum(many)])
-            word = slot[coded.indices.to_numpy()]
-            size = at[word + 1] - at[word]
-            total = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
-            ids = flat[np.repeat(at[word] - total[:-1], size) + np.arange(total[-1])]
-            rows = total[np.concatenate([[0], np.cumsum(counts)])]
-            out = pa.ListArray.from_arrays(pa.array(rows, pa.int32()), pa.array(ids, pa.int32()))
-            more = [decode_ids(out, *letters)] if letters else []
-            yield pa.RecordBatch.from_arrays([doc, text, out, *more], ["doc_id", "text", "ids", "decoded"][: 3 + len(more)])
+        letters = letters_of(pieces) if decoded else None
+        for batch in batches:
+            for pack, own in zip(batch.column(0), batch.column(1), strict=True):
+                docs = pa.ipc.open_stream(pack.as_buffer()).read_all()
+                text = docs.column(1).combine_chunks()
+                coded, counts, place, rare = _coded(text, known, newline, stops)
+                lists = own.values
+                number = lists.field("i").to_numpy(zero_copy_only=False)
+                order = np.argsort(number)
+                if not np.array_equal(number[order], np.arange(len(rare))):
+                    raise ValueError("a group of documents did not get the words it asked for")
+                path = lists.field("path").take(pa.array(order))
+                starts, ids = (pa.ListArray.from_arrays(path.offsets, path.flatten().field(c)) for c in ("s", "id"))
+                place[rare] = np.arange(len(rare)) + len(known)
+                own_ids = _ids(ids, starts, coded.dictionary.take(pa.array(rare)), pieces)
+                used = np.flatnonzero(place < len(known))
+                table = pa.concat_arrays([known_ids.take(pa.array(place[used])), own_ids])
+                slot = np.empty(len(place), np.int64)
+                slot[np.concatenate([used, rare])] = np.arange(len(place))
+                flat, many = _flat(table)
+                at = np.concatenate([[0], np.cumsum(many)])
+                word = slot[coded.indices.to_numpy()]
+                ends = np.concatenate([[0], np.cumsum(counts)])
+                lo = 0
+                while lo < len(counts):  # a few documents at a time: positions take much more room than texts
+                    hi = max(lo + 1, int(np.searchsorted(ends, ends[lo] + STEP_WORDS, "right")) - 1)
+                    own_words = word[ends[lo] : ends[hi]]
+                    size = at[own_words + 1] - at[own_words]
+                    total = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
+                    out = flat[np.repeat(at[own_words] - total[:-1], size) + np.arange(total[-1])]
+                    made = pa.ListArray.from_arrays(pa.array(total[ends[lo : hi + 1] - ends[lo]], pa.int32()), pa.array(out, pa.int32()))
+                    more = [decode_ids(made, *letters)] if letters else []
+                    yield pa.RecordBatch.from_arrays([docs.column(0).combine_chunks().slice(lo, hi - lo), text.slice(lo, hi - lo), made, *more], names)
+                    lo = hi
+        lean()
 
     return run
 
 
-def vocabulary(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """Every distinct word of the texts with its frequency and ids: ``word, n, ids``."""
+def frequent(docs: DataFrame, pieces: Pieces) -> DataFrame:
+    """Words of the corpus that are worth remembering, ``word, n``: at most ``HEAD_WORDS``, none longer than ``HEAD_CHARS``.
+
+    Words are counted task by task; how many there are at each level of frequency (a few hundred rows) says down to
+    which one the head reaches. Any head gives the same encoding.
+    """
     counted = docs.select("text").mapInArrow(_counter(*_plan(pieces)), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
-    return save(lattice(counted, pieces).select("word", "n", F.expr(_spelled(pieces)).alias("ids")), "words")
+    counted = save(counted.withColumn("level", F.floor(F.log2("n") * STEPS).cast("int")), "counts")
+    levels = sorted(((r["level"], r["m"]) for r in counted.groupBy("level").agg(F.count("*").alias("m")).collect()), reverse=True)
+    least, room = None, HEAD_WORDS
+    for level, m in levels:
+        if m > room:
+            break
+        least, room = level, room - m
+    return counted.filter(F.col("level") >= least).select("word", "n") if least is not None else counted.select("word", "n").limit(0)
 
 
 def _plan(pieces: Pieces) -> tuple[bool, list[str]]:
@@ -293,25 +320,27 @@ def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
     """Ids of every whole text by the highest sum of piece scores: ``doc_id, text, ids``; with ``decoded``, also
     what :func:`decode` makes of them, in the same pass.
 
-    Words are counted a group of documents at a time and met over the corpus, so each distinct word is segmented
-    once; the ``HEAD_WORDS`` most frequent ones (a bounded table) are broadcast, and the rest are joined to the
-    documents that use them. Blanks become the blank sign and one is put before the text, as in the library.
+    The distinct words of the head (:func:`frequent`) are segmented once and their ids broadcast. Documents go on in packed groups of some ``GROUP_BYTES``,
+    each with its other distinct words, which are segmented beside it and handed to it: one shuffle moves packed texts and
+    rare words, and no word is too long or too rare. Blanks become the blank sign and one is put before the text, as in the library.
 
     Reads ``doc_id, text``; other columns are ignored. Null and empty texts have no ids; a null doc_id
-    is kept. Rows that repeat a doc_id may differ in text: words belong to (doc_id, text) by hash.
+    is kept, and rows that repeat one are encoded each for itself. Groups are runs of rows as they are read, so ``docs``
+    should come from files, where a task that is run again reads the same rows.
     """
     spark = docs.sparkSession
     session_defaults(spark)
-    newline, stops = _plan(pieces)
-    words = vocabulary(docs, pieces)
-    top = words.orderBy(F.desc("n"), "word").limit(HEAD_WORDS).select("word", "ids").toArrow()
-    head = spark.sparkContext.broadcast((top.column(0).combine_chunks(), top.column(1).combine_chunks()))
-    keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("h"))
-    lacking = keyed.select("h", "text").mapInArrow(_missing(head, newline, stops), "word string, h long")
-    given = lacking.join(words.select("word", "ids"), "word").groupBy("h").agg(F.collect_list(F.struct("word", "ids")).alias("own"))
-    joined = keyed.join(given, "h", "left").select("doc_id", "text", F.coalesce("own.word", F.array().cast("array<string>")).alias("w"), F.coalesce("own.ids", F.array().cast("array<array<int>>")).alias("i"))
+    best = lattice(frequent(docs, pieces), pieces)
+    top = best.select("word", "path.s", "path.id").toArrow().combine_chunks()
+    words, starts, ids = (c.chunk(0) if c.num_chunks else pa.array([], c.type) for c in top.columns)
+    known = (words, _ids(ids.cast(pa.list_(pa.int32())), starts, words, pieces).cast(pa.list_(pa.int32())))
+    head = spark.sparkContext.broadcast(known)
+    sent = docs.select("doc_id", "text").mapInArrow(_sender(head, *_plan(pieces)), "g long, i int, word string, pack binary")
+    found = lattice(sent, pieces, "g", ("g", "i"), ("pack",))
+    own = F.collect_list(F.when(F.col("i") >= 0, F.struct("i", "path")))
+    groups = found.groupBy("g").agg(F.max("pack").alias("pack"), own.alias("own")).select("pack", "own")
     schema = f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>" + ", decoded string" * decoded
-    return joined.mapInArrow(_encode(head, newline, stops, letters_of(pieces) if decoded else None), schema)
+    return groups.mapInArrow(_encode(head, pieces, decoded, ["doc_id", "text", "ids", "decoded"][: 3 + decoded]), schema)
 
 
 def spell(pieces: Pieces) -> list[bytes]:
@@ -361,4 +390,4 @@ def decode(encoded: DataFrame, pieces: Pieces) -> DataFrame:
     return encoded.select(*names, "ids").mapInArrow(_decode(letters_of(pieces)), schema)
 
 
-__all__ = ["Pieces", "decode", "encode", "lattice", "vocabulary"]
+__all__ = ["Pieces", "decode", "encode", "frequent", "lattice"]

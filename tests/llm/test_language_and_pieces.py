@@ -160,3 +160,21 @@ def test_words_beyond_the_head_meet_their_documents(spark, monkeypatch):
     monkeypatch.setattr(K, "HEAD_WORDS", 2)
     assert {r["doc_id"]: r["ids"] for r in K.encode(df, pieces).collect()} == whole
     assert K.encode(df.limit(0), pieces).count() == 0
+
+
+def test_words_of_any_length(spark):
+    """Words of several windows and chunks, up to 200,000 characters, against the fold by hand."""
+    pieces = K.Pieces.load(MODEL)
+    rng = np.random.default_rng(5)
+    words = ["".join(rng.choice(list("abcdehinorst"), n)) for n in (1, 63, 64, 65, 127, 128, 129, 1000)]
+    words += ["a" * 200_000, "".join(rng.choice(list("etaoin漢x"), 20_000))]
+    df = spark.createDataFrame([(i, w) for i, w in enumerate(words)] + [(99, None), (98, "")], "k int, word string")
+    got = {r["k"]: [p["id"] for p in r["path"]] for r in K.lattice(df, pieces, "k", ("k",)).collect()}
+    assert got[99] == got[98] == []
+    for i, w in enumerate(words):
+        want = best(w, pieces)
+        assert [x for x in got[i] if x >= 0] == [x for x in want if x not in set(pieces.fallback("漢"))]
+    texts = spark.createDataFrame([(1, " ".join([*words[:8], words[-1]])), (1, words[-1]), (None, "x"), (2, "the cat " * 100_000)], "doc_id long, text string")
+    out = K.encode(texts, pieces, decoded=True).collect()
+    assert len(out) == 4 and all(r["decoded"] == r["text"] for r in out)
+    assert next(r["ids"] for r in out if r["text"] == words[-1]) == best(K.BLANK + words[-1], pieces)
