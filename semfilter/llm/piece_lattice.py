@@ -20,6 +20,8 @@ BLANK = "▁"
 HEAD_WORDS, HEAD_CHARS = 1 << 19, 64
 #: Bytes of text that are counted, looked up and sent together; distinct words that one task counts before it gives them on.
 GROUP_BYTES, HELD_WORDS = 4 << 20, 300_000
+#: Bytes that the edges of the rare words in a byte of text may take, counted as if they were some 60,000 in 4 MB.
+SPREAD = 100
 #: Words whose ids are written together.
 STEP_WORDS = 100_000
 #: Steps to a power of two by which words are told apart by frequency.
@@ -108,11 +110,13 @@ def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
 
 
 def _counter(newline: bool, stops: list[str]):
-    """Words that a task sees more than once, with their number: only such words can be worth remembering."""
+    """Words that a task sees more than once, with their number: only such words can be worth remembering. Without a word, the bytes seen."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.Table | None = None
+        seen = 0
         for group in _grouped(batches):
+            seen += group.nbytes
             found = pc.value_counts(words_of(group.column(0).combine_chunks(), newline, stops)[0])
             fresh = pa.table({"word": found.field(0), "n": found.field(1)})
             held = fresh if held is None else pa.concat_tables([held, fresh]).group_by("word").aggregate([("n", "sum")]).rename_columns(["word", "n"])
@@ -121,6 +125,7 @@ def _counter(newline: bool, stops: list[str]):
                 held = None
         if held is not None:
             yield from _counted(held)
+        yield pa.RecordBatch.from_arrays([pa.array([None], pa.string()), pa.array([seen])], ["word", "n"])
         lean()
 
     return run
@@ -188,14 +193,22 @@ def _walk() -> str:
     return f"aggregate({_chunks('reverse(best)')}, {start}, (o, part) -> transform(array({inner}), r -> {aside})[0], o -> reverse(flatten(o.done)))"
 
 
-def lattice(words: DataFrame, pieces: Pieces, by: str = "word", keys: tuple[str, ...] = ("word",), carry: tuple[str, ...] = ()) -> DataFrame:
+def parts_for(spark: SparkSession, size: int) -> int:
+    """Partitions in which rare words of ``size`` bytes of text can be spread out in the memory of a task."""
+    unit = {"k": 10, "m": 20, "g": 30, "t": 40}
+    said = spark.conf.get("spark.executor.memory", "1g").lower().removesuffix("b")
+    memory = int(said[:-1]) << unit[said[-1]] if said[-1] in unit else int(said)
+    return max(1, -(-size * SPREAD // (memory // (2 * int(spark.conf.get("spark.executor.cores", "2"))))))
+
+
+def lattice(words: DataFrame, pieces: Pieces, by: str = "word", keys: tuple[str, ...] = ("word",), carry: tuple[str, ...] = (), parts: int | None = None) -> DataFrame:
     """Best segmentation of each word: ``keys, path``, start and id of its pieces in order, and the columns to carry along.
 
-    Words (a row for each ``keys``) are dealt by ``by``, one of the keys, once; :func:`edges` explodes and joins them, edges are grouped by
+    Words (a row for each ``keys``) are dealt by ``by``, one of the keys, once, over ``parts`` partitions; :func:`edges` explodes and joins them, edges are grouped by
     word where they are, and two folds with Spark's ``aggregate`` find the best path. Null and empty words have an empty one.
     """
     own, led = [f"key{n}" for n in range(len(keys))], [f"carry{n}" for n in range(len(carry))]
-    dealt = words.repartition(by).select(*[F.col(f"`{c}`").alias(n) for c, n in zip([*keys, *carry], own + led, strict=True)], "word")
+    dealt = (words.repartition(parts, by) if parts else words.repartition(by)).select(*[F.col(f"`{c}`").alias(n) for c, n in zip([*keys, *carry], own + led, strict=True)], "word")
     found = edges(dealt, pieces, own, led)
     edge = F.when(F.col("e").isNotNull(), F.struct(F.col("e").cast("int").alias("e"), F.col("s").cast("int").alias("s"), "w", "id"))
     met = found.groupBy(*own).agg(F.sort_array(F.collect_list(edge)).alias("edges"), *[F.max(c).alias(c) for c in led])
@@ -295,21 +308,24 @@ def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
     return run
 
 
-def frequent(docs: DataFrame, pieces: Pieces) -> DataFrame:
-    """Words of the corpus that are worth remembering, ``word, n``: at most ``HEAD_WORDS``, none longer than ``HEAD_CHARS``.
+def frequent(docs: DataFrame, pieces: Pieces) -> tuple[DataFrame, int]:
+    """Words of the corpus that are worth remembering, ``word, n``: at most ``HEAD_WORDS``, none longer than ``HEAD_CHARS``; and the bytes of all texts.
 
     Words are counted task by task; how many there are at each level of frequency (a few hundred rows) says down to
     which one the head reaches. Any head gives the same encoding.
     """
     counted = docs.select("text").mapInArrow(_counter(*_plan(pieces)), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
     counted = save(counted.withColumn("level", F.floor(F.log2("n") * STEPS).cast("int")), "counts")
+    size = counted.filter("word IS NULL").agg(F.sum("n")).first()[0] or 0
+    counted = counted.filter("word IS NOT NULL")
     levels = sorted(((r["level"], r["m"]) for r in counted.groupBy("level").agg(F.count("*").alias("m")).collect()), reverse=True)
     least, room = None, HEAD_WORDS
     for level, m in levels:
         if m > room:
             break
         least, room = level, room - m
-    return counted.filter(F.col("level") >= least).select("word", "n") if least is not None else counted.select("word", "n").limit(0)
+    head = counted.filter(F.col("level") >= least) if least is not None else counted.limit(0)
+    return head.select("word", "n"), size
 
 
 def _plan(pieces: Pieces) -> tuple[bool, list[str]]:
@@ -330,13 +346,14 @@ def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
     """
     spark = docs.sparkSession
     session_defaults(spark)
-    best = lattice(frequent(docs, pieces), pieces)
+    common, size = frequent(docs, pieces)
+    best = lattice(common, pieces, parts=-(-HEAD_WORDS // 16_384))
     top = best.select("word", "path.s", "path.id").toArrow().combine_chunks()
     words, starts, ids = (c.chunk(0) if c.num_chunks else pa.array([], c.type) for c in top.columns)
     known = (words, _ids(ids.cast(pa.list_(pa.int32())), starts, words, pieces).cast(pa.list_(pa.int32())))
     head = spark.sparkContext.broadcast(known)
     sent = docs.select("doc_id", "text").mapInArrow(_sender(head, *_plan(pieces)), "g long, i int, word string, pack binary")
-    found = lattice(sent, pieces, "g", ("g", "i"), ("pack",))
+    found = lattice(sent, pieces, "g", ("g", "i"), ("pack",), parts_for(spark, size))
     own = F.collect_list(F.when(F.col("i") >= 0, F.struct("i", "path")))
     groups = found.groupBy("g").agg(F.max("pack").alias("pack"), own.alias("own")).select("pack", "own")
     schema = f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>" + ", decoded string" * decoded
