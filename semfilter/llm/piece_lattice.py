@@ -17,11 +17,11 @@ from .common import lean, save, session_defaults
 #: The sign that stands for a blank.
 BLANK = "▁"
 #: Most frequent words whose ids are broadcast, and the longest that may be so (some 40 bytes a word, by both bounds).
-HEAD_WORDS, HEAD_CHARS = 1 << 19, 64
+HEAD_WORDS, HEAD_CHARS = 1 << 20, 64
 #: Bytes of text that are counted, looked up and sent together; distinct words that one task counts before it gives them on.
-GROUP_BYTES, HELD_WORDS = 4 << 20, 300_000
-#: Bytes that the edges of the rare words in a byte of text may take, counted as if they were some 60,000 in 4 MB.
-SPREAD = 100
+GROUP_BYTES, HELD_WORDS = 2 << 20, 300_000
+#: Bytes that the edges of the rare words in a byte of text may take, counted with room for two or three groups in one partition.
+SPREAD = 200
 #: Words whose ids are written together.
 STEP_WORDS = 100_000
 #: Steps to a power of two by which words are told apart by frequency.
@@ -161,22 +161,27 @@ def edges(words: DataFrame, pieces: Pieces, keys: list[str], carry: list[str]) -
 
 
 def _fold(longest: int) -> str:
-    """Viterbi over a word's edges by end, then start: the parent of every place, as start and id.
+    """Viterbi over a word's edges by end, then start: for every place but the first the edge that reaches it best, as its code.
 
-    The candidate for the place at hand is kept beside the list; a better edge takes its place, an equal one does not, so among equal scores
+    The candidate for the place at hand is kept beside the lists; a better edge takes its place, an equal one does not, so among equal scores
     the one that starts first wins, as in the public library. Spark copies what a fold keeps at each step, so the inner fold, over ``CHUNK`` edges,
     keeps the places of these edges and as many before them as a piece may reach, and the outer one lays older places aside.
     """
-    node = "struct<w:double,s:int,id:int>"
-    cost = "(x.w + if(x.s = a.e, a.w, a.cur[x.s - a.base].w))"
-    step = f"""if(x.e > a.e, named_struct('cur', array_append(a.cur, named_struct('w', a.w, 's', a.s, 'id', a.id)), 'base', a.base, 'e', x.e, 'w', {cost}, 's', x.s, 'id', x.id),
-        if({cost} > a.w, named_struct('cur', a.cur, 'base', a.base, 'e', a.e, 'w', {cost}, 's', x.s, 'id', x.id), a))"""
-    inner = f"aggregate(part, named_struct('cur', o.cur, 'base', o.base, 'e', o.e, 'w', o.w, 's', o.s, 'id', o.id), (a, x) -> {step})"
-    old = f"greatest(size(r.cur) - {longest}, 0)"
-    aside = f"named_struct('done', array_append(o.done, slice(r.cur, 1, {old})), 'cur', slice(r.cur, {old} + 1, {longest}), 'base', r.base + {old}, 'e', r.e, 'w', r.w, 's', r.s, 'id', r.id)"
-    start = f"cast(named_struct('done', array(), 'cur', array(), 'base', 0, 'e', 0, 'w', 0D, 's', 0, 'id', -1) as struct<done:array<array<{node}>>,cur:array<{node}>,base:int,e:int,w:double,s:int,id:int>)"
-    end = f"concat(flatten(o.done), o.cur, array(cast(named_struct('w', o.w, 's', o.s, 'id', o.id) as {node})))"
-    return f"aggregate({_chunks('edges')}, {start}, (o, part) -> transform(array({inner}), r -> {aside})[0], o -> {end})"
+
+    def step(base: str) -> str:
+        cost = f"(x.w + if(x.s = a.e, a.w, a.b[x.s{base}]))"
+        return f"""if(x.e > a.e, named_struct('b', array_append(a.b, a.w), 'p', array_append(a.p, a.c), 'e', x.e, 'w', {cost}, 'c', x.c),
+            if({cost} > a.w, named_struct('b', a.b, 'p', a.p, 'e', a.e, 'w', {cost}, 'c', x.c), a))"""
+
+    state = "b:array<double>,p:array<bigint>,e:int,w:double,c:bigint"
+    none = f"cast(named_struct('b', array(), 'p', array(), 'e', 0, 'w', 0D, 'c', 0L) as struct<{state}>)"
+    short = f"aggregate(edges, {none}, (a, x) -> {step('')}, a -> array_append(a.p, a.c))"
+    inner = f"aggregate(part, named_struct('b', o.b, 'p', o.p, 'e', o.e, 'w', o.w, 'c', o.c), (a, x) -> {step(' - o.base')})"
+    old = f"greatest(size(r.b) - {longest}, 0)"
+    aside = f"named_struct('done', array_append(o.done, slice(r.p, 1, {old})), 'b', slice(r.b, {old} + 1, {longest}), 'p', slice(r.p, {old} + 1, {longest}), 'base', o.base + {old}, 'e', r.e, 'w', r.w, 'c', r.c)"
+    start = f"cast(named_struct('done', array(), 'b', array(), 'p', array(), 'base', 0, 'e', 0, 'w', 0D, 'c', 0L) as struct<done:array<array<bigint>>,b:array<double>,p:array<bigint>,base:int,e:int,w:double,c:bigint>)"
+    nested = f"aggregate({_chunks('edges')}, {start}, (o, part) -> transform(array({inner}), r -> {aside})[0], o -> concat(flatten(o.done), o.p, array(o.c)))"
+    return f"if(size(edges) <= {CHUNK}, {short}, {nested})"
 
 
 def _chunks(array: str) -> str:
@@ -184,13 +189,15 @@ def _chunks(array: str) -> str:
 
 
 def _walk() -> str:
-    """The best path back from the last place, as starts and ids in order; in chunks, as the fold."""
-    item = "struct<s:int,id:int>"
-    step = "if(a.k > 0 AND a.k = a.at, named_struct('k', a.k - 1, 'at', x.s, 'cur', array_append(a.cur, named_struct('s', x.s, 'id', x.id))), named_struct('k', a.k - 1, 'at', a.at, 'cur', a.cur))"
-    inner = f"aggregate(part, named_struct('k', o.k, 'at', o.at, 'cur', cast(array() as array<{item}>)), (a, x) -> {step})"
-    start = f"cast(named_struct('k', size(best) - 1, 'at', size(best) - 1, 'done', array()) as struct<k:int,at:int,done:array<array<{item}>>>)"
+    """The best path back from the last place, as its edges' codes in order; in chunks, as the fold."""
+    step = "if(a.k = a.at, named_struct('k', a.k - 1, 'at', cast(shiftright(x, 32) as int), 'cur', array_append(a.cur, x)), named_struct('k', a.k - 1, 'at', a.at, 'cur', a.cur))"
+    places = "slice(reverse(best), 1, size(best) - 1)"
+    short = f"aggregate({places}, named_struct('k', size(best) - 1, 'at', size(best) - 1, 'cur', cast(array() as array<bigint>)), (a, x) -> {step}, a -> reverse(a.cur))"
+    inner = f"aggregate(part, named_struct('k', o.k, 'at', o.at, 'cur', cast(array() as array<bigint>)), (a, x) -> {step})"
+    start = "cast(named_struct('k', size(best) - 1, 'at', size(best) - 1, 'done', array()) as struct<k:int,at:int,done:array<array<bigint>>>)"
     aside = "named_struct('k', r.k, 'at', r.at, 'done', array_append(o.done, r.cur))"
-    return f"aggregate({_chunks('reverse(best)')}, {start}, (o, part) -> transform(array({inner}), r -> {aside})[0], o -> reverse(flatten(o.done)))"
+    nested = f"aggregate({_chunks(places)}, {start}, (o, part) -> transform(array({inner}), r -> {aside})[0], o -> reverse(flatten(o.done)))"
+    return f"if(size(best) <= {CHUNK}, {short}, {nested})"
 
 
 def parts_for(spark: SparkSession, size: int) -> int:
@@ -202,15 +209,18 @@ def parts_for(spark: SparkSession, size: int) -> int:
 
 
 def lattice(words: DataFrame, pieces: Pieces, by: str = "word", keys: tuple[str, ...] = ("word",), carry: tuple[str, ...] = (), parts: int | None = None) -> DataFrame:
-    """Best segmentation of each word: ``keys, path``, start and id of its pieces in order, and the columns to carry along.
+    """Best segmentation of each word: ``keys, path``, its pieces in order (start * 2**32 + id + 1), and the columns to carry along.
 
     Words (a row for each ``keys``) are dealt by ``by``, one of the keys, once, over ``parts`` partitions; :func:`edges` explodes and joins them, edges are grouped by
     word where they are, and two folds with Spark's ``aggregate`` find the best path. Null and empty words have an empty one.
     """
+    # a hash-based collection would go over to sorting after a few words, once before and once after merging
+    words.sparkSession.conf.set("spark.sql.execution.useObjectHashAggregateExec", "false")
     own, led = [f"key{n}" for n in range(len(keys))], [f"carry{n}" for n in range(len(carry))]
     dealt = (words.repartition(parts, by) if parts else words.repartition(by)).select(*[F.col(f"`{c}`").alias(n) for c, n in zip([*keys, *carry], own + led, strict=True)], "word")
     found = edges(dealt, pieces, own, led)
-    edge = F.when(F.col("e").isNotNull(), F.struct(F.col("e").cast("int").alias("e"), F.col("s").cast("int").alias("s"), "w", "id"))
+    code = F.shiftleft(F.col("s").cast("long"), 32) + F.col("id") + 1
+    edge = F.when(F.col("e").isNotNull(), F.struct(F.col("e").cast("int").alias("e"), F.col("s").cast("int").alias("s"), "w", code.alias("c")))
     met = found.groupBy(*own).agg(F.sort_array(F.collect_list(edge)).alias("edges"), *[F.max(c).alias(c) for c in led])
     best = met.select(*own, *led, F.expr(_fold(max(map(len, pieces.text), default=1))).alias("best"))
     return best.select(*[F.col(n).alias(c) for c, n in zip([*keys, *carry], own + led, strict=True)], F.expr(_walk()).alias("path"))
@@ -221,15 +231,16 @@ def _flat(lists: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return lists.flatten().to_numpy(zero_copy_only=False), np.diff(lists.offsets.to_numpy())
 
 
-def _ids(ids: pa.Array, starts: pa.Array, words: pa.Array, pieces: Pieces) -> pa.Array:
+def _ids(paths: pa.Array, words: pa.Array, pieces: Pieces) -> pa.Array:
     """Ids of paths, unknown characters spelled by the ids of their bytes."""
-    flat, many = _flat(ids)
-    if not (flat < 0).any():
-        return ids
-    at, owner = starts.flatten().to_numpy(zero_copy_only=False), np.repeat(np.arange(len(many)), many)
-    spelled = [[i] if i >= 0 else pieces.fallback(words[int(o)].as_py()[s]) for i, s, o in zip(flat.tolist(), at.tolist(), owner.tolist(), strict=True)]
-    ends = np.cumsum([0, *map(len, spelled)])[np.concatenate([[0], np.cumsum(many)])]
-    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array([i for x in spelled for i in x], pa.int32()))
+    flat, many = _flat(paths)
+    ids, at = (flat & 0xFFFFFFFF) - 1, flat >> 32
+    cuts = np.concatenate([[0], np.cumsum(many)])
+    if (ids < 0).any():
+        owner = np.repeat(np.arange(len(many)), many)
+        spelled = [[i] if i >= 0 else pieces.fallback(words[o].as_py()[s]) for i, s, o in zip(ids.tolist(), at.tolist(), owner.tolist(), strict=True)]
+        ids, cuts = np.array([i for x in spelled for i in x], np.int64), np.concatenate([[0], np.cumsum([len(x) for x in spelled])])[cuts]
+    return pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), pa.array(ids, pa.int32()))
 
 
 def _coded(texts: pa.Array, known: pa.Array, newline: bool, stops: list[str]) -> tuple[pa.DictionaryArray, np.ndarray, np.ndarray, np.ndarray]:
@@ -281,9 +292,8 @@ def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
                 if not np.array_equal(number[order], np.arange(len(rare))):
                     raise ValueError("a group of documents did not get the words it asked for")
                 path = lists.field("path").take(pa.array(order))
-                starts, ids = (pa.ListArray.from_arrays(path.offsets, path.flatten().field(c)) for c in ("s", "id"))
                 place[rare] = np.arange(len(rare)) + len(known)
-                own_ids = _ids(ids, starts, coded.dictionary.take(pa.array(rare)), pieces)
+                own_ids = _ids(path, coded.dictionary.take(pa.array(rare)), pieces)
                 used = np.flatnonzero(place < len(known))
                 table = pa.concat_arrays([known_ids.take(pa.array(place[used])), own_ids])
                 slot = np.empty(len(place), np.int64)
@@ -348,12 +358,12 @@ def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
     session_defaults(spark)
     common, size = frequent(docs, pieces)
     best = lattice(common, pieces, parts=-(-HEAD_WORDS // 16_384))
-    top = best.select("word", "path.s", "path.id").toArrow().combine_chunks()
-    words, starts, ids = (c.chunk(0) if c.num_chunks else pa.array([], c.type) for c in top.columns)
-    known = (words, _ids(ids.cast(pa.list_(pa.int32())), starts, words, pieces).cast(pa.list_(pa.int32())))
+    top = best.select("word", "path").toArrow().combine_chunks()
+    words, paths = (c.chunk(0) if c.num_chunks else pa.array([], c.type) for c in top.columns)
+    known = (words, _ids(paths, words, pieces))
     head = spark.sparkContext.broadcast(known)
     sent = docs.select("doc_id", "text").mapInArrow(_sender(head, *_plan(pieces)), "g long, i int, word string, pack binary")
-    found = lattice(sent, pieces, "g", ("g", "i"), ("pack",), parts_for(spark, size))
+    found = lattice(sent, pieces, "g", ("i", "g"), ("pack",), parts_for(spark, size))
     own = F.collect_list(F.when(F.col("i") >= 0, F.struct("i", "path")))
     groups = found.groupBy("g").agg(F.max("pack").alias("pack"), own.alias("own")).select("pack", "own")
     schema = f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>" + ", decoded string" * decoded
