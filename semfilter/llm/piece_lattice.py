@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,13 +17,11 @@ from .common import lean, save, session_defaults
 #: The sign that stands for a blank.
 BLANK = "▁"
 #: Most frequent words whose ids are broadcast, and the longest that may be so (some 40 bytes a word, by both bounds).
-HEAD_WORDS, HEAD_CHARS = 1 << 20, 64
-#: Bytes of text that are counted, looked up and sent together; distinct words that one task counts before it gives them on.
-GROUP_BYTES, HELD_WORDS = 2 << 20, 300_000
-#: Bytes that the edges of the rare words in a byte of text may take, counted with room for two or three groups in one partition.
-SPREAD = 200
-#: Words whose ids are written together.
-STEP_WORDS = 100_000
+HEAD_WORDS, HEAD_CHARS = 1 << 19, 64
+#: Bytes of text that are counted and looked up together; distinct words that one task counts before it gives them on.
+GROUP_BYTES, HELD_WORDS = 4 << 20, 300_000
+#: Words whose ids are written together, and whose lattices are sent together.
+STEP_WORDS, SENT_WORDS = 100_000, 4096
 #: Steps to a power of two by which words are told apart by frequency.
 STEPS = 16
 #: Characters of a word that are exploded from one row, and edges or places that are folded together.
@@ -59,6 +57,10 @@ class Pieces:
             raise ValueError("a piece has a blank inside: words can't be encoded apart")
         return cls(text, found, sp.unk_id(), frozenset(silent))
 
+    def longest(self) -> int:
+        """Characters of the longest piece."""
+        return max(map(len, self.text), default=1)
+
     def fallback(self, char: str) -> list[int]:
         """Ids of a character that no piece has."""
         return [self.bytes_[b] for b in char.encode("utf-8", "surrogatepass")] if self.bytes_ else [self.unknown]
@@ -110,13 +112,11 @@ def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
 
 
 def _counter(newline: bool, stops: list[str]):
-    """Words that a task sees more than once, with their number: only such words can be worth remembering. Without a word, the bytes seen."""
+    """Words that a task sees more than once, with their number: only such words can be worth remembering."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.Table | None = None
-        seen = 0
         for group in _grouped(batches):
-            seen += group.nbytes
             found = pc.value_counts(words_of(group.column(0).combine_chunks(), newline, stops)[0])
             fresh = pa.table({"word": found.field(0), "n": found.field(1)})
             held = fresh if held is None else pa.concat_tables([held, fresh]).group_by("word").aggregate([("n", "sum")]).rename_columns(["word", "n"])
@@ -125,7 +125,6 @@ def _counter(newline: bool, stops: list[str]):
                 held = None
         if held is not None:
             yield from _counted(held)
-        yield pa.RecordBatch.from_arrays([pa.array([None], pa.string()), pa.array([seen])], ["word", "n"])
         lean()
 
     return run
@@ -136,28 +135,92 @@ def _counted(held: pa.Table) -> Iterator[pa.RecordBatch]:
     yield from often.sort_by("word").combine_chunks().to_batches(max_chunksize=50_000)  # neighbours share beginnings, which compress
 
 
+class PieceTable:
+    """Pieces by length, as sorted hashes of their characters, with those of all their beginnings."""
+
+    def __init__(self, pieces: Pieces):
+        self.worst = min((s for _, s in pieces.text.values()), default=0.0) - UNKNOWN
+        by: dict[int, dict[int, tuple[int, float]]] = {}
+        starts: dict[int, set[int]] = {}
+        for p, (i, s) in pieces.text.items():
+            h = np.zeros(1, np.uint64)
+            for k, c in enumerate(p, 1):
+                h = self.step(h, np.array([ord(c)], np.uint64))
+                starts.setdefault(k, set()).add(int(h[0]))
+            by.setdefault(len(p), {})[int(h[0])] = (i, s)
+        self.starts = {k: np.array(sorted(v), np.uint64) for k, v in starts.items()}
+        self.rows = {}
+        for k, v in by.items():
+            keys = sorted(v)
+            self.rows[k] = (np.array(keys, np.uint64), np.array([v[x][0] for x in keys], np.int32), np.array([v[x][1] for x in keys]))
+
+    @staticmethod
+    def step(h: np.ndarray, c: np.ndarray) -> np.ndarray:
+        h = (h + c + np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD6E8FEB86659FD93)
+        return h ^ (h >> np.uint64(32))
+
+    @staticmethod
+    def find(keys: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
+        return at, keys[at] == h
+
+    def edges(self, words: list[str]) -> pa.Array:
+        """Edges of each word's lattice by end, then start, as :func:`lattice` makes them of one word.
+
+        Every place begins substrings of growing length, exploded a length at a time while some piece begins
+        so; those found in the table of that length (an equi-join on the hash) are edges, grouped by word.
+        """
+        code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+        size = np.fromiter(map(len, words), np.int64, len(words))
+        begin, end = np.repeat(np.cumsum(size) - size, size), np.repeat(np.cumsum(size), size)
+        at, h = np.arange(len(code)), np.zeros(len(code), np.uint64)
+        single, got = np.zeros(len(code), bool), []
+        for length in range(1, max(self.starts, default=0) + 1):
+            inside = at + length <= end[at]
+            at, h = at[inside], h[inside]
+            h = self.step(h, code[at + length - 1])
+            if length in self.rows:
+                keys, ids, scores = self.rows[length]
+                k, hit = self.find(keys, h)
+                got.append((at[hit] + length, at[hit], ids[k[hit]], scores[k[hit]]))
+                if length == 1:
+                    single[at[hit]] = True
+            _, more = self.find(self.starts[length], h)
+            at, h = at[more], h[more]
+            if not len(at):
+                break
+        lone = np.flatnonzero(~single)
+        got.append((lone + 1, lone, np.full(len(lone), -1, np.int32), np.full(len(lone), self.worst)))
+        e, s, i, w = (np.concatenate(x) for x in zip(*got, strict=True))
+        order = np.lexsort((s, e))
+        e, s, i, w = e[order], s[order], i[order], w[order]
+        first = begin[s]
+        many = np.bincount(np.repeat(np.arange(len(words)), size)[s], minlength=len(words))
+        flat = [pa.array((e - first).astype(np.int32)), pa.array((s - first).astype(np.int32)), pa.array(w), pa.array(((s - first) << 32) + i + 1)]
+        return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(many)]), pa.int32()), pa.StructArray.from_arrays(flat, ["e", "s", "w", "c"]))
+
+
 def piece_table(spark: SparkSession, pieces: Pieces) -> DataFrame:
     """The vocabulary as a relation, ``piece, id, w``; its size is that of the model."""
     rows = pa.table({"piece": list(pieces.text), "id": pa.array([i for i, _ in pieces.text.values()], pa.int32()), "w": [w for _, w in pieces.text.values()]})
     return spark.createDataFrame(rows, "piece string, id int, w double")
 
 
-def edges(words: DataFrame, pieces: Pieces, keys: list[str], carry: list[str]) -> DataFrame:
+def edges(words: DataFrame, pieces: Pieces, keys: list[str]) -> DataFrame:
     """Edges of the words' lattices, ``keys, e, s, w, id``, end, start, score and id, and a row without edge for each null word.
 
     Words are exploded to windows, windows to places, places to substrings no longer than the longest piece, and those equi-joined with the
     pieces. A character that is no piece gives an edge with id -1. Rows stay in the partition of their word.
     """
-    longest = max(map(len, pieces.text), default=1)
+    longest = pieces.longest()
     worst = min((w for _, w in pieces.text.values()), default=0.0) - UNKNOWN
-    kept = [*keys, *carry]
-    at = words.select(*kept, "word", F.explode_outer(F.expr(f"if(word <> '', sequence(0, (length(word) - 1) div {WINDOW} * {WINDOW}, {WINDOW}), null)")).alias("at"))
-    part = at.select(*kept, "at", F.expr(f"if(length(word) <= {WINDOW}, word, substr(word, at + 1, {WINDOW + longest - 1}))").alias("part")).withColumn("size", F.length("part"))
-    place = part.select(*kept, "at", "part", "size", F.explode_outer(F.expr(f"sequence(0, least(size, {WINDOW}) - 1)")).alias("p"))
-    run = place.select(*kept, "at", "part", "p", F.explode_outer(F.expr(f"sequence(1, least(size - p, {longest}))")).alias("k"))
-    sub = run.select(*kept, (F.col("at") + F.col("p")).alias("s"), "k", F.expr("substr(part, p + 1, k)").alias("piece"))
+    at = words.select(*keys, "word", F.explode_outer(F.expr(f"if(word <> '', sequence(0, (length(word) - 1) div {WINDOW} * {WINDOW}, {WINDOW}), null)")).alias("at"))
+    part = at.select(*keys, "at", F.expr(f"if(length(word) <= {WINDOW}, word, substr(word, at + 1, {WINDOW + longest - 1}))").alias("part")).withColumn("size", F.length("part"))
+    place = part.select(*keys, "at", "part", "size", F.explode_outer(F.expr(f"sequence(0, least(size, {WINDOW}) - 1)")).alias("p"))
+    run = place.select(*keys, "at", "part", "p", F.explode_outer(F.expr(f"sequence(1, least(size - p, {longest}))")).alias("k"))
+    sub = run.select(*keys, (F.col("at") + F.col("p")).alias("s"), "k", F.expr("substr(part, p + 1, k)").alias("piece"))
     hit = sub.join(F.broadcast(piece_table(words.sparkSession, pieces)), "piece", "left").filter("id IS NOT NULL OR k = 1 OR k IS NULL")
-    return hit.select(*kept, (F.col("s") + F.col("k")).alias("e"), "s", F.coalesce("w", F.lit(worst)).alias("w"), F.coalesce("id", F.lit(-1)).alias("id"))
+    return hit.select(*keys, (F.col("s") + F.col("k")).alias("e"), "s", F.coalesce("w", F.lit(worst)).alias("w"), F.coalesce("id", F.lit(-1)).alias("id"))
 
 
 def _fold(longest: int) -> str:
@@ -200,30 +263,19 @@ def _walk() -> str:
     return f"if(size(best) <= {CHUNK}, {short}, {nested})"
 
 
-def parts_for(spark: SparkSession, size: int) -> int:
-    """Partitions in which rare words of ``size`` bytes of text can be spread out in the memory of a task."""
-    unit = {"k": 10, "m": 20, "g": 30, "t": 40}
-    said = spark.conf.get("spark.executor.memory", "1g").lower().removesuffix("b")
-    memory = int(said[:-1]) << unit[said[-1]] if said[-1] in unit else int(said)
-    return max(1, -(-size * SPREAD // (memory // (2 * int(spark.conf.get("spark.executor.cores", "2"))))))
-
+def lattice(words: DataFrame, pieces: Pieces, key: str = "word", parts: int | None = None) -> DataFrame:
+    """Best segmentation of each ``word``: ``key, path``, its pieces in order (start * 2**32 + id + 1).
 
-def lattice(words: DataFrame, pieces: Pieces, by: str = "word", keys: tuple[str, ...] = ("word",), carry: tuple[str, ...] = (), parts: int | None = None) -> DataFrame:
-    """Best segmentation of each word: ``keys, path``, its pieces in order (start * 2**32 + id + 1), and the columns to carry along.
-
-    Words (a row for each ``keys``) are dealt by ``by``, one of the keys, once, over ``parts`` partitions; :func:`edges` explodes and joins them, edges are grouped by
-    word where they are, and two folds with Spark's ``aggregate`` find the best path. Null and empty words have an empty one.
+    Words (a row for each ``key``, which may be the word) are dealt once, over ``parts`` partitions;
+    :func:`edges` explodes and joins them, edges are grouped by word where they are, and two folds with Spark's
+    ``aggregate`` find the best path. Null and empty words have an empty one.
     """
-    # a hash-based collection would go over to sorting after a few words, once before and once after merging
-    words.sparkSession.conf.set("spark.sql.execution.useObjectHashAggregateExec", "false")
-    own, led = [f"key{n}" for n in range(len(keys))], [f"carry{n}" for n in range(len(carry))]
-    dealt = (words.repartition(parts, by) if parts else words.repartition(by)).select(*[F.col(f"`{c}`").alias(n) for c, n in zip([*keys, *carry], own + led, strict=True)], "word")
-    found = edges(dealt, pieces, own, led)
+    dealt = words.select(F.col(f"`{key}`").alias("key0"), "word")
+    found = edges(dealt.repartition(parts, "key0") if parts else dealt.repartition("key0"), pieces, ["key0"])
     code = F.shiftleft(F.col("s").cast("long"), 32) + F.col("id") + 1
     edge = F.when(F.col("e").isNotNull(), F.struct(F.col("e").cast("int").alias("e"), F.col("s").cast("int").alias("s"), "w", code.alias("c")))
-    met = found.groupBy(*own).agg(F.sort_array(F.collect_list(edge)).alias("edges"), *[F.max(c).alias(c) for c in led])
-    best = met.select(*own, *led, F.expr(_fold(max(map(len, pieces.text), default=1))).alias("best"))
-    return best.select(*[F.col(n).alias(c) for c, n in zip([*keys, *carry], own + led, strict=True)], F.expr(_walk()).alias("path"))
+    met = found.groupBy("key0").agg(F.sort_array(F.collect_list(edge)).alias("edges"))
+    return met.select("key0", F.expr(_fold(pieces.longest())).alias("best")).select(F.col("key0").alias(key), F.expr(_walk()).alias("path"))
 
 
 def _flat(lists: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -231,14 +283,14 @@ def _flat(lists: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return lists.flatten().to_numpy(zero_copy_only=False), np.diff(lists.offsets.to_numpy())
 
 
-def _ids(paths: pa.Array, words: pa.Array, pieces: Pieces) -> pa.Array:
-    """Ids of paths, unknown characters spelled by the ids of their bytes."""
+def _ids(paths: pa.Array, unknown: dict[int, str], pieces: Pieces) -> pa.Array:
+    """Ids of paths, unknown characters spelled by the ids of their bytes; ``unknown`` has the words with such, by number."""
     flat, many = _flat(paths)
     ids, at = (flat & 0xFFFFFFFF) - 1, flat >> 32
     cuts = np.concatenate([[0], np.cumsum(many)])
     if (ids < 0).any():
         owner = np.repeat(np.arange(len(many)), many)
-        spelled = [[i] if i >= 0 else pieces.fallback(words[o].as_py()[s]) for i, s, o in zip(ids.tolist(), at.tolist(), owner.tolist(), strict=True)]
+        spelled = [[i] if i >= 0 else pieces.fallback(unknown[o][s]) for i, s, o in zip(ids.tolist(), at.tolist(), owner.tolist(), strict=True)]
         ids, cuts = np.array([i for x in spelled for i in x], np.int64), np.concatenate([[0], np.cumsum([len(x) for x in spelled])])[cuts]
     return pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), pa.array(ids, pa.int32()))
 
@@ -251,83 +303,91 @@ def _coded(texts: pa.Array, known: pa.Array, newline: bool, stops: list[str]) ->
     return coded, counts, place, np.flatnonzero(place < 0)
 
 
-def _sender(head, newline: bool, stops: list[str]):
-    """Groups of documents, packed, and the words of each that are not in the head, by number."""
+def _sender(head, pieces: Pieces):
+    """Groups of documents: rows of lattices of the words that are not in the head, then a row with the texts and their words by number."""
+    table, (newline, stops) = PieceTable(pieces), _plan(pieces)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, task = head.value[0], TaskContext.get().partitionId()
-        schema = pa.schema([("g", pa.int64()), ("i", pa.int32()), ("word", pa.string()), ("pack", pa.binary())])
-        options = pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", 3))
-        for k, group in enumerate(_grouped(batches)):
-            g = (task << 32) | k
-            sink = pa.BufferOutputStream()
-            with pa.ipc.new_stream(sink, group.schema, options=options) as out:
-                out.write_table(group.combine_chunks())
-            yield pa.RecordBatch.from_arrays([pa.array([g]), pa.array([-1], pa.int32()), pa.array([None], pa.string()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], schema=schema)
-            coded, _, _, rare = _coded(group.column(1).combine_chunks(), known, newline, stops)
-            words = coded.dictionary.take(pa.array(rare))
-            order = pc.sort_indices(words)
-            for at in range(0, len(rare), 50_000):
-                own = order.slice(at, 50_000)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), g)), own.cast(pa.int32()), words.take(own), pa.nulls(len(own), pa.binary())], schema=schema)
+        known = head.value[0]
+        lattices = pa.list_(pa.list_(pa.struct([("e", pa.int32()), ("s", pa.int32()), ("w", pa.float64()), ("c", pa.int64())])))
+        schema = pa.schema([("words", lattices), ("pack", pa.binary())])
+        for group in _grouped(batches):
+            coded, counts, place, rare = _coded(group.column(1).combine_chunks(), known, newline, stops)
+            own = coded.dictionary.take(pa.array(rare))
+            for at in range(0, len(rare), SENT_WORDS):
+                made = table.edges(own.slice(at, SENT_WORDS).to_pylist())
+                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array([0, len(made)], pa.int32()), made).cast(lattices), pa.nulls(1, pa.binary())], schema=schema)
+            place[rare] = np.arange(len(rare)) + len(known)
+            extra = {"counts": counts, "place": place, "index": coded.indices.to_numpy(), "unknown": _unknown(own, pieces)}
+            yield pa.RecordBatch.from_arrays([pa.nulls(1, lattices), pa.array([pickle.dumps((_packed(group.combine_chunks()), extra), protocol=5)], pa.binary())], schema=schema)
 
     return run
 
 
+def _unknown(words: pa.Array, pieces: Pieces) -> dict[int, str]:
+    """Words by number that have a character that is no piece."""
+    return {k: w for k, w in enumerate(words.to_pylist()) if any(c not in pieces.text for c in w)}
+
+
+def _packed(table: pa.Table) -> bytes:
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, table.schema) as out:
+        out.write_table(table)
+    return sink.getvalue().to_pybytes()
+
+
 def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
-    newline, stops = _plan(pieces)
+    """Ids of the documents of each group, from the head and from the paths that come just before its texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lean()
-        known, known_ids = head.value
-        letters = letters_of(pieces) if decoded else None
+        paths: list[pa.Array] = []
         for batch in batches:
-            for pack, own in zip(batch.column(0), batch.column(1), strict=True):
-                docs = pa.ipc.open_stream(pack.as_buffer()).read_all()
-                text = docs.column(1).combine_chunks()
-                coded, counts, place, rare = _coded(text, known, newline, stops)
-                lists = own.values
-                number = lists.field("i").to_numpy(zero_copy_only=False)
-                order = np.argsort(number)
-                if not np.array_equal(number[order], np.arange(len(rare))):
-                    raise ValueError("a group of documents did not get the words it asked for")
-                path = lists.field("path").take(pa.array(order))
-                place[rare] = np.arange(len(rare)) + len(known)
-                own_ids = _ids(path, coded.dictionary.take(pa.array(rare)), pieces)
-                used = np.flatnonzero(place < len(known))
-                table = pa.concat_arrays([known_ids.take(pa.array(place[used])), own_ids])
-                slot = np.empty(len(place), np.int64)
-                slot[np.concatenate([used, rare])] = np.arange(len(place))
-                flat, many = _flat(table)
-                at = np.concatenate([[0], np.cumsum(many)])
-                word = slot[coded.indices.to_numpy()]
-                ends = np.concatenate([[0], np.cumsum(counts)])
-                lo = 0
-                while lo < len(counts):  # a few documents at a time: positions take much more room than texts
-                    hi = max(lo + 1, int(np.searchsorted(ends, ends[lo] + STEP_WORDS, "right")) - 1)
-                    own_words = word[ends[lo] : ends[hi]]
-                    size = at[own_words + 1] - at[own_words]
-                    total = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
-                    out = flat[np.repeat(at[own_words] - total[:-1], size) + np.arange(total[-1])]
-                    made = pa.ListArray.from_arrays(pa.array(total[ends[lo : hi + 1] - ends[lo]], pa.int32()), pa.array(out, pa.int32()))
-                    more = [decode_ids(made, *letters)] if letters else []
-                    yield pa.RecordBatch.from_arrays([docs.column(0).combine_chunks().slice(lo, hi - lo), text.slice(lo, hi - lo), made, *more], names)
-                    lo = hi
+            for k in range(batch.num_rows):
+                if batch.column(1)[k].is_valid:
+                    docs, extra = pickle.loads(batch.column(1)[k].as_buffer())
+                    yield from encoded(pa.ipc.open_stream(docs).read_all(), extra, paths)
+                    paths = []
+                else:
+                    paths.append(batch.column(0)[k].values)
+
         lean()
 
+    def encoded(docs: pa.Table, extra: dict, paths: list[pa.Array]) -> Iterator[pa.RecordBatch]:
+        known, known_ids = head.value
+        letters = letters_of(pieces) if decoded else None
+        text, counts, place = docs.column(1).combine_chunks(), extra["counts"], extra["place"]
+        own = _ids(pa.concat_arrays(paths) if paths else pa.array([], pa.list_(pa.int64())), extra["unknown"], pieces)
+        used, rare = np.flatnonzero(place < len(known)), np.flatnonzero(place >= len(known))
+        if len(rare) != len(own):
+            raise ValueError("a group of documents did not get the words it asked for")
+        flat, many = _flat(pa.concat_arrays([known_ids.take(pa.array(place[used])), own]))
+        slot = np.empty(len(place), np.int64)
+        slot[np.concatenate([used, rare])] = np.arange(len(place))
+        at, ends = np.concatenate([[0], np.cumsum(many)]), np.concatenate([[0], np.cumsum(counts)])
+        word, lo = slot[extra["index"]], 0
+        while lo < len(counts):  # a few documents at a time: positions take much more room than texts
+            hi = max(lo + 1, int(np.searchsorted(ends, ends[lo] + STEP_WORDS, "right")) - 1)
+            own_words = word[ends[lo] : ends[hi]]
+            size = at[own_words + 1] - at[own_words]
+            total = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
+            out = flat[np.repeat(at[own_words] - total[:-1], size) + np.arange(total[-1])]
+            made = pa.ListArray.from_arrays(pa.array(total[ends[lo : hi + 1] - ends[lo]], pa.int32()), pa.array(out, pa.int32()))
+            more = [decode_ids(made, *letters)] if letters else []
+            yield pa.RecordBatch.from_arrays([docs.column(0).combine_chunks().slice(lo, hi - lo), text.slice(lo, hi - lo), made, *more], names)
+            lo = hi
+
     return run
 
 
-def frequent(docs: DataFrame, pieces: Pieces) -> tuple[DataFrame, int]:
-    """Words of the corpus that are worth remembering, ``word, n``: at most ``HEAD_WORDS``, none longer than ``HEAD_CHARS``; and the bytes of all texts.
+def frequent(docs: DataFrame, pieces: Pieces) -> DataFrame:
+    """Words of the corpus that are worth remembering, ``word, n``: at most ``HEAD_WORDS``, none longer than ``HEAD_CHARS``.
 
     Words are counted task by task; how many there are at each level of frequency (a few hundred rows) says down to
     which one the head reaches. Any head gives the same encoding.
     """
     counted = docs.select("text").mapInArrow(_counter(*_plan(pieces)), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
     counted = save(counted.withColumn("level", F.floor(F.log2("n") * STEPS).cast("int")), "counts")
-    size = counted.filter("word IS NULL").agg(F.sum("n")).first()[0] or 0
-    counted = counted.filter("word IS NOT NULL")
     levels = sorted(((r["level"], r["m"]) for r in counted.groupBy("level").agg(F.count("*").alias("m")).collect()), reverse=True)
     least, room = None, HEAD_WORDS
     for level, m in levels:
@@ -335,7 +395,7 @@ def frequent(docs: DataFrame, pieces: Pieces) -> tuple[DataFrame, int]:
             break
         least, room = level, room - m
     head = counted.filter(F.col("level") >= least) if least is not None else counted.limit(0)
-    return head.select("word", "n"), size
+    return head.select("word", "n")
 
 
 def _plan(pieces: Pieces) -> tuple[bool, list[str]]:
@@ -346,28 +406,24 @@ def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
     """Ids of every whole text by the highest sum of piece scores: ``doc_id, text, ids``; with ``decoded``, also
     what :func:`decode` makes of them, in the same pass.
 
-    The distinct words of the head (:func:`frequent`) are segmented once and their ids broadcast. Documents go on in packed groups of some ``GROUP_BYTES``,
-    each with its other distinct words, which are segmented beside it and handed to it: one shuffle moves packed texts and
-    rare words, and no word is too long or too rare. Blanks become the blank sign and one is put before the text, as in the library.
+    The distinct words of the head (:func:`frequent`), most of what texts consist of, go through :func:`lattice` once, and their ids are broadcast.
+    The others are met group by group of documents, some ``GROUP_BYTES`` each: their edges are exploded and joined in
+    Arrow, since Spark would sort some 26 rows for each of them, and the same folds find their paths. So neither texts nor rare words are shuffled,
+    and no word is too long or too rare. Blanks become the blank sign and one is put before the text, as in the library.
 
     Reads ``doc_id, text``; other columns are ignored. Null and empty texts have no ids; a null doc_id
-    is kept, and rows that repeat one are encoded each for itself. Groups are runs of rows as they are read, so ``docs``
-    should come from files, where a task that is run again reads the same rows.
+    is kept, and rows that repeat one are encoded each for itself.
     """
     spark = docs.sparkSession
     session_defaults(spark)
-    common, size = frequent(docs, pieces)
-    best = lattice(common, pieces, parts=-(-HEAD_WORDS // 16_384))
+    best = lattice(frequent(docs, pieces), pieces, parts=-(-HEAD_WORDS // 16_384))
     top = best.select("word", "path").toArrow().combine_chunks()
     words, paths = (c.chunk(0) if c.num_chunks else pa.array([], c.type) for c in top.columns)
-    known = (words, _ids(paths, words, pieces))
-    head = spark.sparkContext.broadcast(known)
-    sent = docs.select("doc_id", "text").mapInArrow(_sender(head, *_plan(pieces)), "g long, i int, word string, pack binary")
-    found = lattice(sent, pieces, "g", ("i", "g"), ("pack",), parts_for(spark, size))
-    own = F.collect_list(F.when(F.col("i") >= 0, F.struct("i", "path")))
-    groups = found.groupBy("g").agg(F.max("pack").alias("pack"), own.alias("own")).select("pack", "own")
+    head = spark.sparkContext.broadcast((words, _ids(paths, _unknown(words, pieces), pieces)))
+    sent = docs.select("doc_id", "text").mapInArrow(_sender(head, pieces), "words array<array<struct<e:int,s:int,w:double,c:bigint>>>, pack binary")
+    folded = sent.select(F.expr(f"transform(transform(words, edges -> {_fold(pieces.longest())}), best -> {_walk()})").alias("paths"), "pack")
     schema = f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>" + ", decoded string" * decoded
-    return groups.mapInArrow(_encode(head, pieces, decoded, ["doc_id", "text", "ids", "decoded"][: 3 + decoded]), schema)
+    return folded.mapInArrow(_encode(head, pieces, decoded, ["doc_id", "text", "ids", "decoded"][: 3 + decoded]), schema)
 
 
 def spell(pieces: Pieces) -> list[bytes]:

@@ -169,7 +169,7 @@ def test_words_of_any_length(spark):
     words = ["".join(rng.choice(list("abcdehinorst"), n)) for n in (1, 63, 64, 65, 127, 128, 129, 1000)]
     words += ["a" * 200_000, "".join(rng.choice(list("etaoin漢x"), 20_000))]
     df = spark.createDataFrame([(i, w) for i, w in enumerate(words)] + [(99, None), (98, "")], "k int, word string")
-    got = {r["k"]: [(p & 0xFFFFFFFF) - 1 for p in r["path"]] for r in K.lattice(df, pieces, "k", ("k",)).collect()}
+    got = {r["k"]: [(p & 0xFFFFFFFF) - 1 for p in r["path"]] for r in K.lattice(df, pieces, "k").collect()}
     assert got[99] == got[98] == []
     for i, w in enumerate(words):
         want = best(w, pieces)
