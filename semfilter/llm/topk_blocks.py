@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -12,108 +13,194 @@ from pyspark.sql import functions as F
 
 from .common import save, session_defaults
 
-#: Vectors in one block of a forward index, blocks in one segment, queries travelling together.
-BLOCK, SEGMENT, QUERIES = 256, 8192, 256
+#: Vectors in one block of a forward index, in one segment, and queries travelling together.
+BLOCK, SEGMENT, QUERIES = 64, 8192, 256
+#: Scores beyond these stand at them.
+LEAST, MOST = -(2**63), 2**63 - 1
+INDEX = "seg int, dim int, ids binary, copies binary, docs binary, most binary, least binary"
 
 
 def quantised(vectors: DataFrame, scale: int = 256) -> DataFrame:
-    """``vec_id`` and ``terms``, floor(scale * x) of each component in double; unusable vectors are left out."""
+    """``vec_id`` and ``terms``, floor(scale * x) of each component in double, kept within a long; unusable vectors are left out."""
     usable = F.col("embedding").isNotNull() & ~F.exists("embedding", lambda x: x.isNull() | F.isnan(x) | (F.abs(x.cast("double")) == float("inf")))
     terms = F.transform("embedding", lambda x: F.floor(x.cast("double") * scale).cast("long"))
     return vectors.filter("vec_id IS NOT NULL").filter(usable).select(F.col("vec_id").cast("long").alias("vec_id"), terms.alias("terms"))
 
 
-def _matmul(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Integer products; through float64 only where every sum is exact there."""
+def _kind(a: np.ndarray, b: np.ndarray) -> type:
+    """Numbers in which every sum of products is exact: floats, longs or, beyond those, Python's own."""
     if not a.size or not b.size:
-        return np.zeros((a.shape[0], b.shape[1]), np.int64)
-    if float(np.abs(a).max()) * float(np.abs(b).max()) * a.shape[1] < 2.0**53:
-        return (a.astype(np.float64) @ b.astype(np.float64)).astype(np.int64)
-    return a @ b
+        return np.int64
+    most = float(np.abs(a.astype(float)).max()) * float(np.abs(b.astype(float)).max()) * a.shape[1]
+    return np.float64 if most < 2.0**53 else np.int64 if most < 2.0**62 else object
+
+
+def bounds(queries: np.ndarray, most: np.ndarray, least: np.ndarray) -> np.ndarray:
+    """Sum over terms of the larger product of each query with each block's largest and least value."""
+    return np.maximum(queries, 0) @ most.T + np.minimum(queries, 0) @ least.T
+
+
+@dataclass(frozen=True)
+class Segment:
+    """A range of documents cut into blocks: forward rows, and the largest and least value of every term in each block."""
+
+    ids: np.ndarray
+    copies: np.ndarray
+    docs: np.ndarray
+    most: np.ndarray
+    least: np.ndarray
+
+    @classmethod
+    def of(cls, ids: np.ndarray, docs: np.ndarray, copies: np.ndarray | None = None) -> Segment:
+        cuts = np.arange(0, len(ids), BLOCK)
+        return cls(ids, np.ones(len(ids), np.int64) if copies is None else copies, docs, np.maximum.reduceat(docs, cuts, axis=0), np.minimum.reduceat(docs, cuts, axis=0))
+
+    def search(self, qids: np.ndarray, queries: np.ndarray, k: int, floors: list | None = None) -> tuple[list, np.ndarray]:
+        """Best k rows for each query, with repeats, as (query, id, score), and how many blocks were scored for each.
+
+        Blocks are taken by falling bound, and a query is done once the next bound is below its kth score; an equal
+        bound is still scored for its ties. ``floors`` has kth scores that are known already (None: not).
+        """
+        kind = _kind(queries, self.docs)
+        docs, asked = self.docs.astype(kind), queries.astype(kind)
+        bound = bounds(asked, self.most.astype(kind), self.least.astype(kind))
+        turn = np.argsort(-bound, axis=1, kind="stable")
+        out, scored = [], np.zeros(len(qids), np.int64)
+        for q, own in enumerate(qids.tolist()):
+            top: list[tuple] = []
+            kth = None if floors is None else floors[q]
+            for b in turn[q].tolist():
+                if kth is not None and bound[q, b] < kth:
+                    break
+                scored[q] += 1
+                at = slice(b * BLOCK, (b + 1) * BLOCK)
+                s = docs[at] @ asked[q]
+                keep = self.ids[at] != own if kth is None else (self.ids[at] != own) & (s >= kth).astype(bool)
+                if keep.any():
+                    found = zip(s[keep].tolist(), self.ids[at][keep].tolist(), self.copies[at][keep].tolist(), strict=True)
+                    top = sorted([*top, *((-int(x), i) for x, i, n in found for _ in range(min(n, k)))])[:k]
+                    if len(top) == k:
+                        kth = -top[-1][0] if kth is None else max(kth, -top[-1][0])
+            out += [(own, i, min(MOST, max(LEAST, -x))) for x, i in top]
+        return out, scored
 
 
 def search_segment(ids: np.ndarray, docs: np.ndarray, qids: np.ndarray, queries: np.ndarray, k: int) -> tuple[list, int]:
-    """Best k of one segment for some queries, and how many blocks were scored.
+    """Best k of one segment for some queries, and how many blocks were scored in all."""
+    found, scored = Segment.of(ids, docs).search(qids, queries, k)
+    return found, int(scored.sum())
 
-    Rows are put in an order that keeps vectors with the same leading term together, and cut into
-    blocks. A query's bound for a block sums, term by term, the larger product with the block's
-    largest and least value. Blocks are taken by falling bound, and a query is done with the
-    segment once the next bound is below its kth score; an equal bound is still scored for its ties.
-    """
-    lead = np.argmax(np.abs(docs), axis=1)
-    order = np.lexsort((docs[np.arange(len(docs)), lead], lead))
-    ids, docs = ids[order], docs[order]
-    cuts = np.arange(0, len(ids), BLOCK)
-    most = np.maximum.reduceat(docs, cuts, axis=0)
-    least = np.minimum.reduceat(docs, cuts, axis=0)
-    bound = _matmul(np.maximum(queries, 0), most.T) + _matmul(np.minimum(queries, 0), least.T)
-    turn = np.argsort(-bound, axis=1, kind="stable")
-    blocks = [(ids[c : c + BLOCK], docs[c : c + BLOCK]) for c in cuts]
-    exact = float(np.abs(docs).max(initial=0)) * float(np.abs(queries).max(initial=0)) * docs.shape[1] < 2.0**53
-    if exact:
-        blocks, queries = [(i, d.astype(np.float64)) for i, d in blocks], queries.astype(np.float64)
-    out, scored = [], 0
-    for q in range(len(qids)):
-        top_s, top_i, kth = np.empty(0, np.int64), np.empty(0, np.int64), None
-        for b in turn[q]:
-            if kth is not None and bound[q, b] < kth:
-                break
-            scored += 1
-            bi, bd = blocks[b]
-            s = (bd @ queries[q]).astype(np.int64)
-            keep = bi != qids[q] if kth is None else (bi != qids[q]) & (s >= kth)
-            if keep.any():
-                top_s, top_i = np.concatenate([top_s, s[keep]]), np.concatenate([top_i, bi[keep]])
-                best = np.lexsort((top_i, -top_s))[:k]
-                top_s, top_i = top_s[best], top_i[best]
-                kth = top_s[-1] if len(top_s) == k else None
-        out += [(qids[q], i, s) for i, s in zip(top_i.tolist(), top_s.tolist(), strict=True)]
-    return out, scored
-
-
-def _search(k: int):
-    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for part in parts:
-            for row in part.itertuples(index=False):
-                ids, qids = np.frombuffer(row.ids, "<i8"), np.frombuffer(row.qids, "<i8")
-                docs, queries = np.frombuffer(row.docs, "<i8").reshape(len(ids), -1), np.frombuffer(row.queries, "<i8").reshape(len(qids), -1)
-                got, _ = search_segment(ids, docs, qids, queries, k)
-                yield pd.DataFrame(got, columns=["query_id", "vec_id", "score"])
 
-    return run
+def _matrix(raw: bytes, dim: int) -> np.ndarray:
+    return np.frombuffer(raw, "<i8").reshape(-1, dim)
+
+
+def _pack(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Rows of a range, in order of their ids, as segments of one length of vectors."""
 
+    def packed(rows: pd.DataFrame, dim: int) -> pd.DataFrame:
+        docs = np.stack(rows["terms"].to_numpy()).astype("<i8").reshape(len(rows), dim)
+        seg = Segment.of(rows["vec_id"].to_numpy("<i8"), docs, rows["copies"].to_numpy("<i8"))
+        blobs = {c: [getattr(seg, c).astype("<i8").tobytes()] for c in ("ids", "copies", "docs", "most", "least")}
+        return pd.DataFrame({"seg": [int(rows["seg"].iloc[0])], "dim": [dim], **blobs})
+
+    held: dict[int, list[pd.DataFrame]] = {}
+    for part in parts:
+        for dim, rows in part.groupby("dim", sort=True):
+            held.setdefault(int(dim), []).append(rows)
+            if sum(map(len, held[int(dim)])) >= SEGMENT:
+                yield packed(pd.concat(held.pop(int(dim))), int(dim))
+    for dim, rows in held.items():
+        yield packed(pd.concat(rows), dim)
+
+
+def _gather(*keys: str):
+    """Queries of one group as one row, with what is known of them."""
 
-def _blobs(key: str, ids: str, rows: str):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("vec_id")
-        return pd.DataFrame({key: [pdf[key].iloc[0]], "dim": [pdf["dim"].iloc[0]], ids: [pdf["vec_id"].to_numpy("<i8").tobytes()], rows: [np.stack(pdf["terms"].to_numpy()).astype("<i8").tobytes()]})
+        own = {k: [int(pdf[k].iloc[0])] for k in keys}
+        known = {"floors": [pdf["kth"].tolist()], "firsts": [pdf["first"].tolist()]}
+        return pd.DataFrame({**own, "qids": [pdf["vec_id"].to_numpy("<i8").tobytes()], "queries": [np.stack(pdf["terms"].to_numpy()).astype("<i8").tobytes()], **known})
+
+    return run
+
+
+def _promise(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """The best bound of each query in each segment."""
+    for part in parts:
+        for row in part.itertuples(index=False):
+            most = bounds(_matrix(row.queries, row.dim).astype(float), _matrix(row.most, row.dim).astype(float), _matrix(row.least, row.dim).astype(float)).max(axis=1)
+            yield pd.DataFrame({"vec_id": np.frombuffer(row.qids, "<i8"), "seg": row.seg, "bound": most})
+
+
+def _search(k: int, first: bool, count: bool = False):
+    """Searches a segment for some queries: for those whose first segment it is, or for the others, from their kth scores on."""
+
+    def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for part in parts:
+            for row in part.itertuples(index=False):
+                qids, queries = np.frombuffer(row.qids, "<i8"), _matrix(row.queries, row.dim)
+                on = np.array([(f == row.seg) == first for f in row.firsts])
+                floors = [None if x is None or np.isnan(float(x)) else int(x) for x, o in zip(row.floors, on, strict=True) if o]
+                seg = Segment(*(np.frombuffer(x, "<i8") for x in (row.ids, row.copies)), *(_matrix(x, row.dim) for x in (row.docs, row.most, row.least)))
+                found, scored = seg.search(qids[on], queries[on], k, floors)
+                if count:
+                    yield pd.DataFrame({"query_id": qids[on], "blocks": len(seg.most), "scored": scored})
+                else:
+                    yield pd.DataFrame(found, columns=["query_id", "vec_id", "score"]).astype("int64")
 
     return run
 
 
+def _rounds(vectors: DataFrame, is_query: str, k: int, scale: int, count: bool = False) -> DataFrame:
+    session_defaults(vectors.sparkSession)
+    terms = quantised(vectors, scale).withColumn("dim", F.size("terms")).filter("dim > 0")
+    rows = save(terms.groupBy("vec_id", "dim", "terms").agg(F.count("*").alias("copies")), "terms")
+    total, n_asked = rows.count(), rows.filter(is_query).count()
+    ranged = rows.repartitionByRange(max(1, -(-total // SEGMENT)), "vec_id", F.xxhash64("terms")).sortWithinPartitions("vec_id", "terms")
+    index = save(ranged.withColumn("seg", F.spark_partition_id()).mapInPandas(_pack, INDEX), "index")
+    last = index.agg(F.max("seg")).first()[0] or 0
+
+    asked = rows.filter(is_query).groupBy("vec_id").agg(F.min("terms").alias("terms")).withColumn("dim", F.size("terms"))
+    asked = asked.withColumn("grp", F.pmod(F.xxhash64(F.lit(7), "vec_id"), F.lit(max(1, -(-n_asked // QUERIES)))).cast("int"))
+    plain = asked.withColumn("kth", F.lit(None).cast("long")).withColumn("first", F.lit(None).cast("int"))
+    shape = "dim int, qids binary, queries binary, floors array<long>, firsts array<int>"
+    everywhere = F.explode(F.sequence(F.lit(0), F.lit(last))).alias("seg")
+
+    groups = plain.groupBy("grp", "dim").applyInPandas(_gather("grp", "dim"), f"grp int, {shape}")
+    promised = groups.select("dim", "qids", "queries", everywhere).join(index.select("seg", "dim", "most", "least"), ["seg", "dim"]).mapInPandas(_promise, "vec_id long, seg int, bound double")
+    firsts = save(promised.groupBy("vec_id").agg(F.max_by("seg", F.struct("bound", -F.col("seg"))).alias("first")), "firsts")
+
+    known = asked.join(firsts, "vec_id").withColumn("kth", F.lit(None).cast("long"))
+    own = known.withColumn("seg", F.col("first")).groupBy("seg", "grp", "dim").applyInPandas(_gather("seg", "dim"), f"seg int, {shape}")
+    met = own.join(index, ["seg", "dim"])
+    answer = "query_id long, blocks long, scored long" if count else "query_id long, vec_id long, score long"
+    near = save(met.mapInPandas(_search(k, True), "query_id long, vec_id long, score long"), "near")
+    kth = near.groupBy("query_id").agg(F.sort_array(F.collect_list("score"), asc=False).alias("s")).select(F.col("query_id").alias("vec_id"), F.get("s", F.lit(k - 1)).alias("kth"))
+    again = known.drop("kth").join(kth, "vec_id", "left").groupBy("grp", "dim").applyInPandas(_gather("grp", "dim"), f"grp int, {shape}")
+    rest = again.select("dim", "qids", "queries", "floors", "firsts", everywhere).join(index, ["seg", "dim"]).mapInPandas(_search(k, False, count), answer)
+    return met.mapInPandas(_search(k, True, True), answer).union(rest) if count else near.union(rest)
+
+
 def top_k(vectors: DataFrame, is_query: str = "vec_id % 50 = 0", k: int = 5, scale: int = 256) -> DataFrame:
     """The k vectors with the highest integer inner product for each query row, ties to the smaller id.
 
-    Segments of about ``SEGMENT`` vectors (by hash of the id) meet queries in blocks of about
-    ``QUERIES``; each meeting returns at most k rows a query, and a ranking over those ends it. Work
-    grows with queries times vectors less what the bounds prune; no pair leaves a task.
+    Vectors in order of their ids are cut into segments, and those into blocks of ``BLOCK`` with their terms' largest and least values.
+    A query's bound for a block sums these by term. It is searched first in the segment that has its best bound, block by block in falling
+    order of bounds until they are below its kth score; that kth score goes with it into all other segments, where only blocks
+    whose bound reaches it are scored and only rows that reach it are returned. Queries meet segments in groups of about ``QUERIES``; no pair leaves a task.
 
-    Vectors that are null or hold null or non-finite components take no part, as query or as
-    candidate; vectors only meet queries of their own length. A query never finds its own id, so
-    repeated rows of an id do not find each other. Fewer candidates than k give fewer rows; an
-    empty table gives none. Returns ``query_id, rank, vec_id, score``.
+    Vectors that are null, empty or hold null or non-finite components take no part, as query or as
+    candidate; vectors only meet queries of their own length. Every row is a candidate, so rows that repeat an id may fill several ranks, but
+    a query never finds its own id; of several rows of an id that asks, the least by value does. Terms and scores beyond a long stand at its limits,
+    order and bounds are exact all the same. Fewer candidates than k give fewer rows; an empty table gives none. Returns ``query_id, rank, vec_id, score``.
     """
-    session_defaults(vectors.sparkSession)
-    terms = save(quantised(vectors, scale).withColumn("dim", F.size("terms")), "terms")
-    total = terms.count()
-    segments = max(1, -(-total // SEGMENT))
-    groups = max(1, -(-terms.filter(is_query).count() // QUERIES))
-    seg = terms.withColumn("seg", F.pmod(F.xxhash64("vec_id"), F.lit(segments)).cast("int"))
-    packed = seg.groupBy("seg", "dim").applyInPandas(_blobs("seg", "ids", "docs"), "seg int, dim int, ids binary, docs binary")
-    asked = terms.filter(is_query).dropDuplicates(["vec_id"]).withColumn("grp", F.pmod(F.xxhash64(F.lit(7), "vec_id"), F.lit(groups)).cast("int"))
-    asked = asked.groupBy("grp", "dim").applyInPandas(_blobs("grp", "qids", "queries"), "grp int, dim int, qids binary, queries binary")
-    spread = asked.withColumn("seg", F.explode(F.sequence(F.lit(0), F.lit(segments - 1))))
-    met = packed.join(spread, ["seg", "dim"]).select("ids", "docs", "qids", "queries")
-    local = met.mapInPandas(_search(k), "query_id long, vec_id long, score long").dropDuplicates(["query_id", "vec_id", "score"])
+    found = _rounds(vectors, is_query, k, scale)
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return local.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+
+
+def pruning(vectors: DataFrame, is_query: str = "vec_id % 50 = 0", k: int = 5, scale: int = 256) -> DataFrame:
+    """How many blocks there are for each query, and how many of them :func:`top_k` scores: ``query_id, blocks, scored``."""
+    return _rounds(vectors, is_query, k, scale, count=True).groupBy("query_id").agg(F.sum("blocks").alias("blocks"), F.sum("scored").alias("scored"))

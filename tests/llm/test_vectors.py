@@ -23,25 +23,64 @@ def usable(e):
     return e is not None and all(x is not None and np.isfinite(x) for x in e)
 
 
-@pytest.mark.parametrize("block", [2, 256])
-def test_top_k_equals_brute_force(spark, monkeypatch, block):
-    monkeypatch.setattr(K, "BLOCK", block)
-    rows = odd_rows()
+def brute_top(rows, k=5):
+    """Every row against every row, in Python's integers: (rank, id, score) by query."""
+    good = [(i, [int(np.floor(256 * x)) for x in np.array(e, np.float32).astype(float).tolist()]) for i, e, *_ in rows if usable(e) and len(e)]
+    asks = {}
+    for i, t in good:
+        if i % 50 == 0:
+            asks[i] = min(asks.get(i, t), t)
+    out = {}
+    for q, t in asks.items():
+        best = sorted((-sum(a * b for a, b in zip(t, u, strict=True)), i) for i, u in good if i != q and len(u) == len(t))[:k]
+        out[q] = [(n + 1, i, -s) for n, (s, i) in enumerate(best)]
+    return {q: v for q, v in out.items() if v}
+
+
+def top(spark, rows, parts=3):
     got = {}
-    for r in K.top_k(frame(spark, rows)).collect():
+    for r in K.top_k(frame(spark, rows).repartition(parts)).collect():
         got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
-    good = {i: np.floor(256 * np.array(e, np.float32).astype(float)).astype(int) for i, e, *_ in rows if usable(e)}
-    for q in (i for i in good if i % 50 == 0):
-        best = sorted((-int(good[q] @ good[d]), d) for d in good if d != q)[:5]
-        assert sorted(got[q]) == [(k + 1, d, -s) for k, (s, d) in enumerate(best)]
-    assert set(got) == {i for i in good if i % 50 == 0}
+    return {q: sorted(v) for q, v in got.items()}
+
+
+@pytest.mark.parametrize(("block", "segment", "queries"), [(2, 16, 2), (64, 8192, 256)])
+def test_top_k_equals_brute_force(spark, monkeypatch, block, segment, queries):
+    monkeypatch.setattr(K, "BLOCK", block)
+    monkeypatch.setattr(K, "SEGMENT", segment)
+    monkeypatch.setattr(K, "QUERIES", queries)
+    rows = [*odd_rows(), (60, [], 0, "x"), (50, [0.25] * 8, 0, "x"), (150, [1.0, 2.0], 0, "x"), (151, [3.0, 1.0], 0, "x")]
+    assert top(spark, rows) == brute_top(rows)
+
+
+def test_repeated_vectors_fill_several_ranks(spark):
+    rows = [(0, [1.0, 0.0], 0, "x"), *[(7, [1.0, 0.0], 0, "x")] * 8, *[(i, [0.5, 0.1 * i], 0, "x") for i in range(1, 6)], *[(50, [0.0, 1.0], 0, "x")] * 3, (50, [0.0, 2.0], 0, "x")]
+    assert top(spark, rows) == brute_top(rows) and [i for _, i, _ in top(spark, rows)[0]] == [7] * 5
+
+
+def test_very_large_components(spark):
+    big = 3.0e12
+    rows = [(0, [big, big, -big], 0, "x"), (1, [big, 1.0, 2.0], 0, "x"), (2, [-big, 1.0, -big], 0, "x"), (3, [big, 1.0, 0.5], 0, "x"), (4, [1.0, 1.0, 1.0], 0, "x")]
+    want = {q: [(n, i, min(K.MOST, max(K.LEAST, s))) for n, i, s in v] for q, v in brute_top(rows).items()}
+    got = top(spark, rows)
+    assert [s for *_, s in got[0]] == [s for *_, s in want[0]]
+
+
+def test_kth_score_prunes_other_segments(spark, monkeypatch):
+    monkeypatch.setattr(K, "BLOCK", 8)
+    monkeypatch.setattr(K, "SEGMENT", 64)
+    rng = np.random.default_rng(9)
+    rows = [(i, (np.eye(8)[i // 100 % 8] + 0.05 * rng.normal(size=8)).tolist(), 0, "x") for i in range(800)]
+    assert top(spark, rows) == brute_top(rows)
+    got = K.pruning(frame(spark, rows)).toPandas()
+    assert len(got) == 16 and (got["scored"] < got["blocks"] / 2).all() and (got["blocks"] >= 100).all()
 
 
 def test_bounds_skip_blocks():
     docs = np.sort(RNG.integers(-300, 300, (4096, 1)), axis=0) * np.ones((1, 4), int)
     found, scored = K.search_segment(np.arange(4096), docs, np.array([-1]), np.array([[1, 1, 1, 1]]), 5)
     assert [s for _, _, s in found] == sorted((docs.sum(axis=1)).tolist(), reverse=True)[:5]
-    assert scored < 4096 / K.BLOCK
+    assert scored < 4096 / K.BLOCK / 2
 
 
 def test_top_k_edges(spark):
