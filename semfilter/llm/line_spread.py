@@ -7,7 +7,7 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import save, same
+from .common import clear, save, same
 
 #: Shares of all lines at or above which a line counts as heavy; at most this many lines can be so.
 HEAVY = 1000
@@ -50,8 +50,13 @@ def boilerplate(lines: DataFrame, min_sites: int = 10, lg_k: int = 12) -> DataFr
     return sure.select("h1", "h2", "n", "first").unionByName(near.join(exact, ["h1", "h2"]).select("h1", "h2", "n", "first"))
 
 
+def counts_of(docs: DataFrame) -> tuple[str, str]:
+    """Names of the two columns that :func:`spread_lines` adds: ``_n_lines`` and ``_n_removed``, longer where the table has such already."""
+    return clear("_n_lines", docs.columns), clear("_n_removed", docs.columns)
+
+
 def spread_lines(docs: DataFrame, min_sites: int = 10, lg_k: int = 12, keep_first: bool = True) -> DataFrame:
-    """Every document with ``_n_lines``, ``_n_removed`` and its text without cross-site boilerplate.
+    """Every document with ``_n_lines``, ``_n_removed`` (see :func:`counts_of`) and its text without cross-site boilerplate.
 
     A site is a ``source`` (null is one of its own); a line is what stands between newlines, compared
     without outer spaces; blank lines are never removed and not counted. A line on ``min_sites`` sites
@@ -67,8 +72,9 @@ def spread_lines(docs: DataFrame, min_sites: int = 10, lg_k: int = 12, keep_firs
     if keep_first:
         hits = hits.filter(~F.struct("doc_id", "th", "pos").eqNullSafe(F.col("first")))
     gone = hits.groupBy("doc_id", "th").agg(F.collect_set("pos").alias("_gone")).select(F.col("doc_id").alias("_id"), F.col("th").alias("_th"), "_gone")
-    keyed = docs.withColumn("_h", F.xxhash64("text"))
-    on = same([F.col("a.doc_id"), F.col("a._h")], [F.col("b._id"), F.col("b._th")])
+    h = clear("h", docs.columns)
+    keyed = docs.withColumn(h, F.xxhash64("text"))
+    on = same([F.col("a.doc_id"), F.col(f"a.`{h}`")], [F.col("b._id"), F.col("b._th")])
     joined = keyed.alias("a").join(gone.alias("b"), on, "left")
     split = F.split(F.col("a.text"), "\n")
     kept = F.array_join(F.filter(split, lambda x, i: ~F.array_contains(F.col("b._gone"), i)), "\n")
@@ -76,4 +82,5 @@ def spread_lines(docs: DataFrame, min_sites: int = 10, lg_k: int = 12, keep_firs
     n_lines = F.coalesce(F.size(F.filter(split, lambda x: F.trim(x) != "")), F.lit(0))
     n_lines = F.when(F.col("a.text").isNull(), 0).otherwise(n_lines)
     columns = [text.alias("text") if c == "text" else F.col(f"a.`{c}`") for c in docs.columns]
-    return joined.select(*columns, n_lines.cast("long").alias("_n_lines"), F.coalesce(F.array_size("b._gone"), F.lit(0)).cast("long").alias("_n_removed"))
+    names = counts_of(docs)
+    return joined.select(*columns, n_lines.cast("long").alias(names[0]), F.coalesce(F.array_size("b._gone"), F.lit(0)).cast("long").alias(names[1]))

@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import same, save
+from .common import clear, same, save
 
 #: Items folded in one node of the reduction tree, as a power of two.
 FAN_BITS = 6
@@ -141,11 +141,11 @@ def mixed_documents(docs: DataFrame, seed: int = 42, **params) -> DataFrame:
     Rows with equal ``doc_id``, source and size share the sum of their copies in turn.
     """
     taken = mix(docs, seed, **params).select(F.col("id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size"), "copies")
-    turn = taken.groupBy("_id", "_source", "_size").agg(F.sort_array(F.collect_list("copies")).alias("_copies"))
-    names = docs.columns
-    keyed = docs.withColumn("_key", F.struct(F.col("doc_id"), F.col("source"), word_count(F.col("text"))))
-    numbered = keyed.withColumn("_turn", F.row_number().over(W.partitionBy("_key").orderBy("text")))
-    on = same([F.col("a._key.doc_id"), F.col("a._key.source"), F.col("a._key.col3")], [F.col("b._id"), F.col("b._source"), F.col("b._size")])
-    joined = numbered.alias("a").join(turn.alias("b"), on)
-    times = F.element_at("b._copies", F.col("a._turn").cast("int"))
-    return joined.withColumn("_n", F.explode(F.array_repeat(F.lit(1), times))).select(*[F.col(f"a.`{n}`") for n in names])
+    turns = taken.groupBy("_id", "_source", "_size").agg(F.sort_array(F.collect_list("copies")).alias("_copies"))
+    size, turn, n = (clear(x, docs.columns) for x in ("size", "turn", "n"))
+    keyed = docs.withColumn(size, word_count(F.col("text")))
+    numbered = keyed.withColumn(turn, F.row_number().over(W.partitionBy("doc_id", "source", size).orderBy("text")))
+    on = same([F.col("a.doc_id"), F.col("a.source"), F.col(f"a.`{size}`")], [F.col("b._id"), F.col("b._source"), F.col("b._size")])
+    times = F.element_at("b._copies", F.col(f"a.`{turn}`").cast("int"))
+    joined = numbered.alias("a").join(turns.alias("b"), on).select(*[F.col(f"a.`{c}`") for c in docs.columns], F.explode(F.array_repeat(F.lit(1), times)).alias(n))
+    return joined.select(*[F.col(f"`{c}`") for c in docs.columns])
