@@ -24,13 +24,14 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     Documents that consisted of such lines only go; ``n_chars`` follows the text.
     """
-    cut = line_spread.spread_lines(docs).filter("_n_lines = 0 OR _n_removed < _n_lines")
-    length = F.when(F.col("_n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
+    n_lines, n_removed = (F.col(f"`{c}`") for c in line_spread.counts_of(docs))
+    cut = line_spread.spread_lines(docs).filter((n_lines == 0) | (n_removed < n_lines))
+    length = F.when(n_removed > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
     return cut.select(*[length.alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns])
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates, the one with the smallest id."""
+    """One document of each group of near-duplicates, the one with the smallest id; unlike texts that share an id all stay."""
     return odd_sketch.one_of_each(docs)
 
 
