@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import features as feat
-from .cascades.methods import METHODS, Bench, Result
+from .cascades.methods import METHODS, Bench, Result, nothing
 from .config import Config
+from .oracle import CallableOracle
 from .sources.tables import save
 
 
@@ -32,19 +33,28 @@ class SemResult:
         return "\n".join(steps)
 
 
-def sem_filter(df: DataFrame, answers: DataFrame, asks: str, alpha: float = 0.9, method: str = "two_phase", cfg: Config | None = None, query_id: str = "Q") -> SemResult:
+def sem_filter(df: DataFrame, oracle, asks: str, alpha: float = 0.9, method: str = "two_phase", cfg: Config | None = None, query_id: str = "Q", scores: DataFrame | None = None) -> SemResult:
     """Labels every document of ``doc_id, text`` with the oracle's likely answer, to corpus accuracy ``alpha``.
 
-    ``answers`` gives ``doc_id, p_star, y`` for any document on request (only requested rows are charged;
-    an external oracle's adapter writes them first). The promise covers the rows of ``df`` as they are.
-    """
-    from dataclasses import replace
+    ``oracle`` is a function of a list of texts that gives each one's probability of yes, or an object whose ``label`` takes
+    ``query_id, doc_id`` and gives ``query_id, doc_id, y, p_star, tokens``. It is asked for the ledger's requests only, each document once at
+    most. ``scores`` (``doc_id, prob``) is what ``prebuilt_cascade`` needs. The measures of a run are unknown (NaN) where only an oracle on request is given.
 
+    One decision for each distinct id: of rows that repeat one the least text counts. Rows with a null id take no part, null
+    text is empty, other columns are ignored, and an empty table gives no decision and no call.
+    """
     cfg = replace(cfg or Config(), alpha=alpha)
-    vectors = save(feat.build(df, cfg.emb_dim))
-    tokens = df.select("doc_id", F.size(F.split(F.coalesce("text", F.lit("")), " ")).cast("long").alias("tokens"))
-    rows = answers.select("doc_id", "p_star", "y", *(["prob"] if "prob" in answers.columns else [F.col("p_star").alias("prob")])).join(tokens, "doc_id").withColumn("query_id", F.lit(query_id))
+    docs = df.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text")).filter("doc_id IS NOT NULL")
+    if not docs.groupBy("doc_id").count().filter("count > 1").isEmpty():
+        docs = docs.groupBy("doc_id").agg(F.min("text").alias("text"))
+    vectors = save(feat.build(docs, cfg.emb_dim))
     n = vectors.count()
-    b = Bench(df.sparkSession, (query_id,), {query_id: asks}, save(rows.select("query_id", "doc_id", "p_star", "y", "tokens", "prob")), vectors, n, cfg.scaled(n))
-    got = METHODS[method](b)
+    if callable(oracle):
+        oracle = CallableOracle(oracle, query_id, docs)
+    prior = None
+    if scores is not None:
+        tokens = docs.select("doc_id", F.size(F.split("text", " ")).cast("long").alias("tokens"))
+        prior = save(scores.select(F.lit(query_id).alias("query_id"), "doc_id", "prob").join(tokens, "doc_id"))
+    b = Bench(df.sparkSession, (query_id,), {query_id: asks}, None, vectors, n, cfg.scaled(max(1, n)), oracle=oracle, prior=prior)
+    got = METHODS[method](b) if n else nothing(b, method)
     return SemResult(got.predictions, got.runs.iloc[0].to_dict(), got)

@@ -29,16 +29,22 @@ PROXY_S = {"hybrid": 15.2, "biencoder": 79.2, "prebuilt": 0.0, "none": 0.0}
 
 @dataclass
 class Bench:
-    """A corpus, its predicates, the oracle's answers (charged only through the ledger) and the vectors."""
+    """A corpus, its predicates, an oracle that labels what the ledger asks for, and the vectors.
+
+    ``answers`` holds all answers where they are known, for measures and for the floor; a live filter has none, and
+    nothing but the ledger's requests reaches its ``oracle``. ``prior`` has the scores of a pre-trained scorer, ``query_id, doc_id, prob, tokens``.
+    """
 
     spark: SparkSession
     queries: tuple[str, ...]
     asks: dict[str, str]
-    answers: DataFrame
+    answers: DataFrame | None
     features: DataFrame
     n: int
     cfg: Config
     name: str = "documents"
+    oracle: object | None = None
+    prior: DataFrame | None = None
 
     @classmethod
     def documents(cls, spark: SparkSession, sf_dir: str, queries: tuple[str, ...], cfg: Config | None = None, name: str = "documents") -> Bench:
@@ -73,7 +79,21 @@ class Bench:
         return cls(spark, tuple(asks), asks, answers, save(e.drop("label")), n, cfg.scaled(n), "embeddings")
 
     def pairs(self) -> DataFrame:
-        return self.answers.select(*KEYS)
+        """Every (query, document), from the ids alone."""
+        return self.features.select(F.explode(F.array(*map(F.lit, self.queries))).alias("query_id"), "doc_id")
+
+    def ledger(self) -> Ledger:
+        return Ledger(self.answers if self.oracle is None else self.oracle, self.spark)
+
+    def only(self, queries: tuple[str, ...]) -> Bench:
+        """The same for some of the queries."""
+        few = F.col("query_id").isin(list(queries))
+        return replace(self, queries=queries, answers=None if self.answers is None else self.answers.filter(few), prior=None if self.prior is None else self.prior.filter(few))
+
+    def known(self) -> DataFrame:
+        if self.answers is None:
+            raise ValueError("this method needs every answer of the oracle beforehand")
+        return self.answers
 
 
 _KEPT: dict = {}
@@ -97,36 +117,37 @@ class Result:
 def _finish(b: Bench, method: str, pred: DataFrame, ledger: DataFrame, proxy: dict[str, float] | float = 0.0, extra: dict | None = None, wall: float = 0.0, trace: list | None = None, calls: dict | None = None) -> Result:
     """Accounts for a run: end-to-end cost is proxy seconds plus calls times their latency."""
     pred = save(pred.select(*KEYS, "yhat", "origin"))
-    acc = metrics.accuracy(pred, b.answers).toPandas().set_index("query_id")
+    acc = None if b.answers is None else metrics.accuracy(pred, b.answers).toPandas().set_index("query_id")
     paid = metrics.oracle_calls(ledger).toPandas().set_index("query_id").reindex(list(b.queries)).fillna(0)
     rows = []
     for q in b.queries:
         p = proxy[q] if isinstance(proxy, dict) else proxy
         oracle_s = float(paid.loc[q, "oracle_tokens"]) * ORACLE_MS / 1000
-        a = float(acc.loc[q, "accuracy"])
+        a, f1 = (float("nan"), float("nan")) if acc is None else (float(acc.loc[q, "accuracy"]), float(acc.loc[q, "f1"]))
+        own = (extra or {}).get(q, {})
         rows.append({
-            "method": method, "corpus": b.name, "query_id": q, "alpha": b.cfg.alpha, "accuracy": a, "f1": float(acc.loc[q, "f1"]),
+            "method": method, "corpus": b.name, "query_id": q, "alpha": b.cfg.alpha, "accuracy": a, "f1": f1,
             **{f"n_{k}": int(paid.loc[q, f"n_{k}"]) for k in metrics.PURPOSES}, "n_oracle": int(calls[q] if calls else paid.loc[q, "n_oracle"]),
             "proxy_s": p, "oracle_s": oracle_s, "e2e_s": p + oracle_s, "sla_hit": int(a >= b.cfg.alpha - 1e-12), "sla_gap": max(0.0, b.cfg.alpha - a),
-            "phase2": bool((extra or {}).get(q, {}).get("phase2", False)), "tau": float((extra or {}).get(q, {}).get("tau", float("nan"))), "wall_s": wall,
+            "phase2": bool(own.get("phase2", False)), "tau": float(own.get("tau", float("nan"))), "train_s": float(own.get("train_s", 0.0)), "score_s": float(own.get("score_s", 0.0)), "wall_s": wall,
         })
     return Result(method, pred, ledger, pd.DataFrame(rows), trace or [])
 
 
 def run_exhaustive(b: Bench) -> Result:
     """The oracle on every document."""
-    led = Ledger(b.answers)
+    led = b.ledger()
     got = led.request(b.pairs(), "cascade")
     return _finish(b, "exhaustive", got.select(*KEYS, F.col("y").alias("yhat"), F.lit("oracle").alias("origin")), led.rows)
 
 
 def run_floor(b: Bench) -> Result:
     """The floor as a pseudo-method: the surest answers are given, the rest is called; not deployable."""
-    fl = {r["query_id"]: int(r["floor_calls"]) for r in bayes.bayes_floor(b.answers, [b.cfg.alpha]).collect()}
+    fl = {r["query_id"]: int(r["floor_calls"]) for r in bayes.bayes_floor(b.known(), [b.cfg.alpha]).collect()}
     by = W.partitionBy("query_id").orderBy(F.desc(F.round(bayes.eta(F.col("p_star")), 9)), "doc_id")
     floors = b.spark.createDataFrame([(q, v) for q, v in fl.items()], "query_id string, k long")
     marked = b.answers.join(F.broadcast(floors), "query_id").withColumn("call", F.row_number().over(by) <= F.col("k"))
-    led = Ledger(b.answers)
+    led = b.ledger()
     led.request(marked.filter("call"), "cascade")
     pred = marked.select(*KEYS, F.when(F.col("call"), F.col("y")).otherwise((F.col("p_star") >= 0.5).cast("int")).alias("yhat"), F.when(F.col("call"), "oracle").otherwise("auto").alias("origin"))
     return _finish(b, "bayes_floor", pred, led.rows)
@@ -170,37 +191,50 @@ def deploy(b: Bench, scores: DataFrame, choices: dict, led: Ledger) -> DataFrame
 
 
 def prebuilt_scores(b: Bench) -> DataFrame:
-    return b.answers.select(*KEYS, "prob", F.round(F.abs(F.col("prob") - 0.5) * 2, 9).alias("conf"), (F.col("prob") >= 0.5).cast("int").alias("yhat"))
+    if b.prior is None and b.answers is None:
+        raise ValueError("a prebuilt scorer's scores are needed")
+    return (b.answers if b.prior is None else b.prior).select(*KEYS, "prob", F.round(F.abs(F.col("prob") - 0.5) * 2, 9).alias("conf"), (F.col("prob") >= 0.5).cast("int").alias("yhat"))
 
 
 def run_prebuilt(b: Bench, method: str = "uniform_margin") -> Result:
     """A pre-trained scorer on every document, a small calibration set, a margin, and the oracle below it."""
-    began, led = time.time(), Ledger(b.answers)
+    began, led = time.time(), b.ledger()
     cal = led.request(split_sample(b.pairs(), b.cfg.train_frac, b.cfg.cal_frac).filter("part = 'cal'"), "cal")
     scores = prebuilt_scores(b)
     choices = calibrate(b, scores, cal, led.rows, method)
     pred = deploy(b, scores, choices, led)
-    tokens = {r[0]: r[1] for r in b.answers.groupBy("query_id").sum("tokens").collect()}
-    extra = {q: {"tau": c[0] if isinstance(c, tuple) else c.tau} for q, c in choices.items()}
-    return _finish(b, "prebuilt_cascade", pred, led.rows, {q: tokens[q] * PREBUILT_MS / 1000 for q in b.queries}, extra, time.time() - began)
+    tokens = {r[0]: r[1] for r in (b.answers if b.prior is None else b.prior).groupBy("query_id").sum("tokens").collect()}
+    extra = {q: {"tau": _tau(c)} for q, c in choices.items()}
+    return _finish(b, "prebuilt_cascade", pred, led.rows, {q: tokens.get(q, 0) * PREBUILT_MS / 1000 for q in b.queries}, extra, time.time() - began)
 
 
 def run_trained(b: Bench, kind: str = "hybrid", cal_method: str = "blend", name: str | None = None, flags: dict | None = None, old: dict | None = None) -> Result:
     """A cascade over a proxy trained for each query on uniform 7 % and calibrated on uniform 5 %."""
-    began, led = time.time(), Ledger(b.answers)
+    began, led = time.time(), b.ledger()
     parts = split_sample(b.pairs(), b.cfg.train_frac, b.cfg.cal_frac)
     t = led.request(_capped(parts.filter("part = 'train'"), b.cfg.train_cap), "train")
     c = led.request(_capped(parts.filter("part = 'cal'"), b.cfg.cal_cap), "cal")
     models = px.train_all(_with_vectors(b, t, c), kind, b.asks, b.cfg, old, **(flags or {}))
-    scores = save(px.score(b.features, models))
+    scores, score_s = _scored(b, models)
     choices = calibrate(b, scores, _held_out(b, c), led.rows, cal_method)
     pred = deploy(b, scores, choices, led)
-    extra = {q: {"tau": x.tau if not isinstance(x, tuple) else x[0], "phase2": True} for q, x in choices.items()}
+    extra = {q: {"tau": _tau(x), "phase2": True, "train_s": models[q].seconds, "score_s": score_s} for q, x in choices.items()}
     out = _finish(b, name or ("biencoder_cascade" if kind.startswith("bi") else "hybrid_cascade"), pred, led.rows, PROXY_S["biencoder" if kind.startswith("bi") else "hybrid"], extra, time.time() - began)
     out.trace = [models, choices]
     return out
 
 
+def _tau(choice) -> float:
+    return choice[0] if isinstance(choice, tuple) else choice.tau
+
+
+def _scored(b: Bench, models: dict) -> tuple[DataFrame, float]:
+    """Scores of all documents, written, and the seconds that took for each query."""
+    began = time.time()
+    scores = save(px.score(b.features, models))
+    return scores, (time.time() - began) / max(1, len(models))
+
+
 def _held_out(b: Bench, c: DataFrame) -> DataFrame:
     """With ``split_cal``, only the half of C that the constraint did not see calibrates."""
     return c.filter(uniform(F.col("doc_id"), ":half") >= 0.5) if b.cfg.split_cal else c
@@ -240,8 +274,7 @@ def vote(b: Bench, led: Ledger, budget: float) -> Vote:
     size, limit = b.cfg.vote_size(b.n), budget * b.n
     centres = clustering.fit(b.features, b.cfg.k_initial, b.cfg.seed, b.n)
     base = clustering.assign(b.features, centres)
-    queries = b.spark.createDataFrame([(q,) for q in b.queries], "query_id string")
-    now = save(base.crossJoin(F.broadcast(queries)).select("query_id", "doc_id", "cluster_id"))
+    now = save(base.select(F.explode(F.array(*map(F.lit, b.queries))).alias("query_id"), "doc_id", "cluster_id"))
     everything, majority, trace, spent = now, {}, [], dict.fromkeys(b.queries, 0)
     active = {(r[0], r[1]): int(r[2]) for r in now.groupBy("query_id", "cluster_id").count().collect()}
     left: set = set()
@@ -308,7 +341,7 @@ def propagate(b: Bench, v: Vote, led: Ledger) -> DataFrame:
 
 def run_cluster_vote(b: Bench) -> Result:
     """Voting alone: no budget, and what is left open goes to the oracle."""
-    began, led = time.time(), Ledger(b.answers)
+    began, led = time.time(), b.ledger()
     v = vote(b, led, 1.0)
     if v.open_:
         rest = v.clusters.join(F.broadcast(b.spark.createDataFrame(sorted(v.open_), "query_id string, cluster_id string")), ["query_id", "cluster_id"])
@@ -323,14 +356,14 @@ def run_two_phase(b: Bench, cal_method: str = "blend", cal_source: str = "strati
     head's score, since phase 1's labels are not a uniform sample. ``cal_source='phase1'`` reuses them all
     the same, as a negative control.
     """
-    began, led = time.time(), Ledger(b.answers)
+    began, led = time.time(), b.ledger()
     v = vote(b, led, b.cfg.phase1_frac)
     opened = {q for q, _ in v.open_}
     voted = propagate(b, v, led).filter(~F.col("query_id").isin(sorted(opened)))
     extra = {q: {"phase2": q in opened} for q in b.queries}
     pred, trace = voted, [v.rounds]
     if opened:
-        sub = replace(b, queries=tuple(sorted(opened)), answers=b.answers.filter(F.col("query_id").isin(sorted(opened))))
+        sub = b.only(tuple(sorted(opened)))
         t = led.reuse(["vote"], "train").filter(F.col("query_id").isin(sorted(opened)))
         first = px.train_all(_with_vectors(sub, t, None), "hybrid", b.asks, b.cfg)
         if cal_source == "phase1":
@@ -339,11 +372,11 @@ def run_two_phase(b: Bench, cal_method: str = "blend", cal_source: str = "strati
             pool = px.score(b.features, first).join(led.rows.select(*KEYS), KEYS, "left_anti")
             c = led.request(_capped(stratified_sample(pool, b.cfg.cal_frac, b.cfg.strata), b.cfg.cal_cap), "cal")
         models = px.train_all(_with_vectors(sub, t, c), "hybrid", b.asks, b.cfg, first)
-        scores = save(px.score(b.features, models))
+        scores, score_s = _scored(sub, models)
         choices = calibrate(sub, scores, _held_out(b, c), led.rows, cal_method)
         pred = pred.unionByName(deploy(sub, scores, choices, led))
         for q, x in choices.items():
-            extra[q]["tau"] = x.tau
+            extra[q] |= {"tau": _tau(x), "train_s": first[q].seconds + models[q].seconds, "score_s": score_s}
         trace += [models, choices]
     proxy = {q: PROXY_S["hybrid"] if q in opened else 0.0 for q in b.queries}
     return _finish(b, "two_phase", pred, led.rows, proxy, extra, time.time() - began, trace)
@@ -351,7 +384,7 @@ def run_two_phase(b: Bench, cal_method: str = "blend", cal_source: str = "strati
 
 def run_router(b: Bench, by: str = "calls", pilot_frac: float = 0.02, reuse: bool = False, crossover: float = 0.02) -> Result:
     """Picks a method for each query from a pilot sample: by dry-run cost (labels thrown away), or by Bayes error."""
-    began, led = time.time(), Ledger(b.answers)
+    began, led = time.time(), b.ledger()
     pilot = led.request(b.pairs().filter(uniform(F.col("doc_id"), ":", F.col("query_id"), ":pilot") < pilot_frac), "pilot")
     if by == "ber":
         low = {r["query_id"]: float(r["ber"]) < crossover for r in bayes.pilot_ber(pilot).collect()}
@@ -365,7 +398,7 @@ def run_router(b: Bench, by: str = "calls", pilot_frac: float = 0.02, reuse: boo
     done: list[Result] = []
     for own, run in ((easy, run_cluster_vote), (hard, run_trained)):
         if own:
-            done.append(run(replace(b, queries=own, answers=b.answers.filter(F.col("query_id").isin(list(own))))))
+            done.append(run(b.only(own)))
     pred, ledger = done[0].predictions, done[0].ledger
     for r in done[1:]:
         pred, ledger = pred.unionByName(r.predictions), ledger.unionByName(r.ledger)
@@ -374,6 +407,12 @@ def run_router(b: Bench, by: str = "calls", pilot_frac: float = 0.02, reuse: boo
     return _finish(b, "ber_router" if by == "ber" else "router", pred, ledger.unionByName(paid), proxy, {q: {"phase2": q in hard} for q in b.queries}, time.time() - began)
 
 
+def nothing(b: Bench, method: str) -> Result:
+    """What any method gives for no documents: no decision, no call."""
+    none = b.spark.createDataFrame([], "query_id string, doc_id long, yhat int, origin string")
+    return _finish(replace(b, answers=None), method, none, b.ledger().rows)
+
+
 METHODS: dict[str, Callable[[Bench], Result]] = {
     "exhaustive": run_exhaustive,
     "cluster_vote": run_cluster_vote,

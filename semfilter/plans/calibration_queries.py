@@ -15,7 +15,7 @@ from ..calibrate import bounds
 from ..calibrate import threshold as th
 from ..cascades import methods as ms
 from ..config import Config
-from ..oracle import Ledger
+from ..oracle import Ledger, StoredOracle
 from ..sampling import split_sample
 from .method_queries import ALPHAS, HARD, LEDGER, RUNS, _floor_sql, _split_sql, bench, runs, truth
 from .registry import key
@@ -292,7 +292,8 @@ for _name in ("exhaustive", "cluster_vote", "prebuilt_cascade", "hybrid_cascade"
         from ..sources.tables import table
 
         b = bench(spark, sf, ("Q02",))
-        got = sem_filter(table(spark, sf, "documents").select("doc_id", "text"), b.answers.drop("tokens", "query_id"), "written in English", 0.9, name, Config(), "Q02")
+        scores = b.answers.select("doc_id", "prob") if name == "prebuilt_cascade" else None
+        got = sem_filter(table(spark, sf, "documents").select("doc_id", "text"), StoredOracle(b.answers), "written in English", 0.9, name, Config(), "Q02", scores)
         return got.predictions.groupBy("yhat", "origin").count()
 
 

@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import pickle
+import time
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
@@ -25,6 +26,7 @@ class Proxy:
     kind: str
     q: np.ndarray
     parts: dict
+    seconds: float = 0.0  # that training took
 
     def backbones(self, emb: np.ndarray, toks: list) -> tuple[np.ndarray, np.ndarray]:
         return self.parts["joint"].prob(self.q, emb, toks), self.parts["late"].prob(self.q, emb, toks)
@@ -92,13 +94,13 @@ def train_all(labelled: DataFrame, kind: str, asks: dict[str, str], cfg: Config,
     """
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        q = pdf["query_id"].iloc[0]
+        q, began = pdf["query_id"].iloc[0], time.time()
         t, c = pdf[pdf["part"] == "train"], pdf[pdf["part"] == "cal"]
         model = fit_proxy(kind, asks[q], t, c, cfg, old=(old or {}).get(q), **flags)
-        return pd.DataFrame({"query_id": [q], "weights": [pickle.dumps((model.kind, model.q, {k: _state(v) for k, v in model.parts.items()}))]})
+        return pd.DataFrame({"query_id": [q], "weights": [pickle.dumps((model.kind, model.q, {k: _state(v) for k, v in model.parts.items()}))], "seconds": [time.time() - began]})
 
-    got = labelled.groupBy("query_id").applyInPandas(run, "query_id string, weights binary").toPandas()
-    return {q: _load(bytes(w), cfg, asks[q]) for q, w in got.itertuples(index=False)}
+    got = labelled.groupBy("query_id").applyInPandas(run, "query_id string, weights binary, seconds double").toPandas()
+    return {q: replace(_load(bytes(w), cfg, asks[q]), seconds=s) for q, w, s in got.itertuples(index=False)}
 
 
 def _state(part):

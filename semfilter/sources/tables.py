@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import uuid
 
@@ -23,12 +24,29 @@ def views(spark: SparkSession, sf_dir: str, *names: str) -> None:
 
 
 def scratch(spark: SparkSession) -> str:
-    """A fresh folder below the checkpoint folder that every executor shares."""
+    """A fresh folder below the checkpoint folder that every executor shares; it goes when the program ends. Only a local master may do without that setting."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="semfilter-")
         spark.sparkContext.setCheckpointDir(base)
-    return f"{base.rstrip('/')}/semfilter-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
+    root = f"{base.rstrip('/')}/semfilter-{spark.sparkContext.applicationId}"
+    if root not in _roots:
+        _roots.add(root)
+        atexit.register(_remove, spark, root)
+    return f"{root}/{uuid.uuid4().hex}"
+
+
+_roots: set[str] = set()
+
+
+def _remove(spark: SparkSession, root: str) -> None:
+    try:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(root)
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    except Exception:  # the JVM may be gone already; the folder belongs to the cluster's clean-up then
+        pass
 
 
 def save(df: DataFrame) -> DataFrame:

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from .calibrate import bounds
 from .cascades.methods import METHODS, Bench
 from .config import Config
+from .oracle import StoredOracle
 from .plans.method_queries import answers, truth
 from .plans.registry import key
 from .proxy import nets
@@ -128,7 +129,7 @@ def sem_explain(spark, sf):
     from .api import sem_filter
 
     b = Bench.documents(spark, sf, ("Q01",))
-    got = sem_filter(table(spark, sf, "documents").select("doc_id", "text"), b.answers.drop("tokens", "query_id"), "written in German", 0.9, "prebuilt_cascade", Config(), "Q01")
+    got = sem_filter(table(spark, sf, "documents").select("doc_id", "text"), StoredOracle(b.answers), "written in German", 0.9, "prebuilt_cascade", Config(), "Q01", b.answers.select("doc_id", "prob"))
     return spark.createDataFrame([(i, s) for i, s in enumerate(got.explain().split("\n"))], "step int, what string")
 
 

@@ -1,5 +1,7 @@
 """Invariants of the methods on the small corpus."""
 
+import os
+import uuid
 from dataclasses import replace
 
 import pytest
@@ -9,7 +11,7 @@ from semfilter import clustering, sampling
 from semfilter.api import sem_filter
 from semfilter.cascades import methods as ms
 from semfilter.config import Config
-from semfilter.oracle import CallableOracle, Ledger
+from semfilter.oracle import CallableOracle, Ledger, StoredOracle
 
 
 @pytest.fixture(scope="module")
@@ -88,12 +90,73 @@ def test_samples_do_not_depend_on_partitions(bench):
 
 def test_filter_operator(spark, sf01, bench):
     docs = spark.read.parquet(f"{sf01}/documents.parquet")
-    got = sem_filter(docs.select("doc_id", "text"), bench.answers.filter("query_id = 'Q01'").drop("tokens", "query_id"), "written in German", 0.9, "two_phase", Config(), "Q01")
+    got = sem_filter(docs.select("doc_id", "text"), StoredOracle(bench.answers), "written in German", 0.9, "two_phase", Config(), "Q01")
     kept = got.accepted(docs)
     assert kept.columns == docs.columns and kept.filter("lang = 'de'").count() >= 0.9 * docs.filter("lang = 'de'").count()
     assert "threshold" in got.explain()
 
 
+def counted(folder):
+    """An oracle that leaves a line for every text that it is asked about."""
+
+    def ask(texts):
+        with open(f"{folder}/{uuid.uuid4().hex}", "w") as f:
+            f.write("\n".join(str(hash(t)) for t in texts))
+        return [0.95 if " the " in t else 0.05 for t in texts]
+
+    return ask
+
+
+def calls(folder):
+    return sum(len(open(f"{folder}/{f}").read().split("\n")) for f in os.listdir(folder))
+
+
+@pytest.mark.parametrize("method", ["exhaustive", "cluster_vote", "biencoder_cascade", "hybrid_cascade", "two_phase", "prebuilt_cascade"])
+def test_oracle_is_asked_for_the_ledger_only(spark, sf01, tmp_path, method):
+    docs = spark.read.parquet(f"{sf01}/documents.parquet").select("doc_id", "text", "lang")
+    scores = docs.selectExpr("doc_id", "if(instr(text, ' the ') > 0, 0.99D, 0.01D) AS prob") if method == "prebuilt_cascade" else None
+    got = sem_filter(docs, counted(tmp_path), "uses the article", 0.9, method, Config(epochs_joint=5, epochs_late=2, epochs_head=10), scores=scores)
+    asked, n = calls(tmp_path), docs.count()
+    assert asked == got.detail.ledger.count() == got.run["n_oracle"] and (asked == n if method == "exhaustive" else 0 < asked < n)
+    assert got.predictions.count() == n and got.predictions.filter("yhat IS NULL").count() == 0
+
+
+@pytest.mark.parametrize("method", ["exhaustive", "cluster_vote", "hybrid_cascade", "two_phase", "prebuilt_cascade"])
+def test_filter_on_odd_tables(spark, tmp_path, method):
+    schema = "doc_id long, text string, yhat int, query_id string"
+    rows = [(None, "a", 1, "x"), (1, None, 1, "x"), (1, "b the b", 1, "x"), (1, "b the b", 1, "x"), *((i, f"word the {i}", 1, "x") for i in range(2, 30)), (30, "", None, None)]
+    cfg = Config(epochs_joint=2, epochs_late=1, epochs_head=3)
+    for part in (rows[:0], rows[:1], rows):
+        df = spark.createDataFrame(part, schema)
+        scores = df.filter("doc_id IS NOT NULL").selectExpr("doc_id", "0.6D AS prob").distinct() if method == "prebuilt_cascade" else None
+        got = sem_filter(df, counted(tmp_path), "x", 0.9, method, cfg, scores=scores)
+        ids = sorted(r["doc_id"] for r in got.predictions.collect())
+        assert ids == sorted({r[0] for r in part if r[0] is not None})
+        assert got.accepted(df).columns == df.columns
+
+
+def test_two_phase_with_a_band(bench):
+    holds(bench, ms.run_two_phase(bench, "smoothed_band"))
+
+
+def test_paid_batches_survive_a_failure(spark, tmp_path):
+    docs = spark.createDataFrame([(i, f"text {i}") for i in range(20)], "doc_id long, text string").coalesce(1)
+    inner, flag = counted(tmp_path), tmp_path.parent / f"fail-{uuid.uuid4().hex}"
+    flag.write_text("")
+
+    def ask(texts):
+        if os.path.exists(flag) and "text 15" in texts:
+            raise TimeoutError
+        return inner(texts)
+
+    oracle = CallableOracle(ask, "E", batch=4, retries=0)
+    with pytest.raises(Exception, match="TimeoutError"):
+        oracle.label(docs)
+    paid = calls(tmp_path)
+    os.remove(flag)
+    assert oracle.label(docs).count() == 20 and 0 < paid < 20 and calls(tmp_path) == 20
+
+
 def test_external_oracle_retries(spark):
     docs = spark.createDataFrame([(i, "yes" if i % 2 else None) for i in range(10)], "doc_id long, text string")
     state = {"left": 1}
