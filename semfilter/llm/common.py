@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of one Arrow batch on its way to a Python worker; rows of text may be long.
-BATCH_BYTES = 16 << 20
+BATCH_BYTES = 4 << 20
 
 _roots: dict[str, SparkSession] = {}
 

@@ -308,7 +308,7 @@ def _sender(head, pieces: Pieces):
     table, (newline, stops) = PieceTable(pieces), _plan(pieces)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = head.value[0]
+        known = head.value
         lattices = pa.list_(pa.list_(pa.struct([("e", pa.int32()), ("s", pa.int32()), ("w", pa.float64()), ("c", pa.int64())])))
         schema = pa.schema([("words", lattices), ("pack", pa.binary())])
         for group in _grouped(batches):
@@ -341,27 +341,26 @@ def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lean()
+        letters = letters_of(pieces) if decoded else None
         paths: list[pa.Array] = []
         for batch in batches:
             for k in range(batch.num_rows):
                 if batch.column(1)[k].is_valid:
                     docs, extra = pickle.loads(batch.column(1)[k].as_buffer())
-                    yield from encoded(pa.ipc.open_stream(docs).read_all(), extra, paths)
+                    yield from encoded(pa.ipc.open_stream(docs).read_all(), extra, paths, letters)
                     paths = []
+                    lean()
                 else:
                     paths.append(batch.column(0)[k].values)
 
-        lean()
-
-    def encoded(docs: pa.Table, extra: dict, paths: list[pa.Array]) -> Iterator[pa.RecordBatch]:
-        known, known_ids = head.value
-        letters = letters_of(pieces) if decoded else None
+    def encoded(docs: pa.Table, extra: dict, paths: list[pa.Array], letters: tuple | None) -> Iterator[pa.RecordBatch]:
+        known = head.value
         text, counts, place = docs.column(1).combine_chunks(), extra["counts"], extra["place"]
         own = _ids(pa.concat_arrays(paths) if paths else pa.array([], pa.list_(pa.int64())), extra["unknown"], pieces)
         used, rare = np.flatnonzero(place < len(known)), np.flatnonzero(place >= len(known))
         if len(rare) != len(own):
             raise ValueError("a group of documents did not get the words it asked for")
-        flat, many = _flat(pa.concat_arrays([known_ids.take(pa.array(place[used])), own]))
+        flat, many = _flat(pa.concat_arrays([known.take(pa.array(place[used])), own]))
         slot = np.empty(len(place), np.int64)
         slot[np.concatenate([used, rare])] = np.arange(len(place))
         at, ends = np.concatenate([[0], np.cumsum(many)]), np.concatenate([[0], np.cumsum(counts)])
@@ -419,11 +418,11 @@ def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
     best = lattice(frequent(docs, pieces), pieces, parts=-(-HEAD_WORDS // 16_384))
     top = best.select("word", "path").toArrow().combine_chunks()
     words, paths = (c.chunk(0) if c.num_chunks else pa.array([], c.type) for c in top.columns)
-    head = spark.sparkContext.broadcast((words, _ids(paths, _unknown(words, pieces), pieces)))
-    sent = docs.select("doc_id", "text").mapInArrow(_sender(head, pieces), "words array<array<struct<e:int,s:int,w:double,c:bigint>>>, pack binary")
+    heads, ids = spark.sparkContext.broadcast(words), spark.sparkContext.broadcast(_ids(paths, _unknown(words, pieces), pieces))
+    sent = docs.select("doc_id", "text").mapInArrow(_sender(heads, pieces), "words array<array<struct<e:int,s:int,w:double,c:bigint>>>, pack binary")
     folded = sent.select(F.expr(f"transform(transform(words, edges -> {_fold(pieces.longest())}), best -> {_walk()})").alias("paths"), "pack")
     schema = f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>" + ", decoded string" * decoded
-    return folded.mapInArrow(_encode(head, pieces, decoded, ["doc_id", "text", "ids", "decoded"][: 3 + decoded]), schema)
+    return folded.mapInArrow(_encode(ids, pieces, decoded, ["doc_id", "text", "ids", "decoded"][: 3 + decoded]), schema)
 
 
 def spell(pieces: Pieces) -> list[bytes]:
