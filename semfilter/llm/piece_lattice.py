@@ -20,8 +20,8 @@ BLANK = "▁"
 HEAD_WORDS, HEAD_CHARS = 1 << 19, 64
 #: Bytes of text that are counted and looked up together; distinct words that one task counts before it gives them on.
 GROUP_BYTES, HELD_WORDS = 2 << 20, 300_000
-#: Words whose ids are written together, and whose lattices are sent together.
-STEP_WORDS, SENT_WORDS = 100_000, 4096
+#: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 300 KB.
+STEP_WORDS, SENT_WORDS, SENT_PLACES = 100_000, 256, 40_000
 #: Steps to a power of two by which words are told apart by frequency.
 STEPS = 16
 #: Characters of a word that are exploded from one row, and edges or places that are folded together.
@@ -304,7 +304,8 @@ def _coded(texts: pa.Array, known: pa.Array, newline: bool, stops: list[str]) ->
 
 
 def _sender(head, pieces: Pieces):
-    """Groups of documents: rows of lattices of the words that are not in the head, then a row with the texts and their words by number."""
+    """Groups of documents: rows of lattices of the words that are not in the head, then a row that tells where each distinct word's ids are,
+    then rows of texts with their words by number. Rows are kept small, a text apart from others being one row at least."""
     table, (newline, stops) = PieceTable(pieces), _plan(pieces)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -318,8 +319,14 @@ def _sender(head, pieces: Pieces):
                 made = table.edges(own.slice(at, SENT_WORDS).to_pylist())
                 yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array([0, len(made)], pa.int32()), made).cast(lattices), pa.nulls(1, pa.binary())], schema=schema)
             place[rare] = np.arange(len(rare)) + len(known)
-            extra = {"counts": counts, "place": place, "index": coded.indices.to_numpy(), "unknown": _unknown(own, pieces)}
-            yield pa.RecordBatch.from_arrays([pa.nulls(1, lattices), pa.array([pickle.dumps((_packed(group.combine_chunks()), extra), protocol=5)], pa.binary())], schema=schema)
+            index, ends, docs, lo = coded.indices.to_numpy(), np.concatenate([[0], np.cumsum(counts)]), group.combine_chunks(), 0
+            packs = [(place.astype(np.int32), _unknown(own, pieces))]
+            while lo < len(counts):
+                hi = max(lo + 1, int(np.searchsorted(ends, ends[lo] + SENT_PLACES, "right")) - 1)
+                packs.append((_packed(docs.slice(lo, hi - lo)), counts[lo:hi], index[ends[lo] : ends[hi]]))
+                lo = hi
+            for pack in packs:
+                yield pa.RecordBatch.from_arrays([pa.nulls(1, lattices), pa.array([pickle.dumps(pack, protocol=5)], pa.binary())], schema=schema)
 
     return run
 
@@ -343,37 +350,43 @@ def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
         lean()
         letters = letters_of(pieces) if decoded else None
         paths: list[pa.Array] = []
+        group: tuple = ()
         for batch in batches:
-            for k in range(batch.num_rows):
-                if batch.column(1)[k].is_valid:
-                    docs, extra = pickle.loads(batch.column(1)[k].as_buffer())
-                    yield from encoded(pa.ipc.open_stream(docs).read_all(), extra, paths, letters)
-                    paths = []
+            for words, pack in zip(batch.column(0), batch.column(1), strict=True):
+                if not pack.is_valid:
+                    paths.append(words.values)
+                    continue
+                sent = pickle.loads(pack.as_buffer())
+                if len(sent) == 2:
+                    group, paths = gathered(*sent, paths), []
                     lean()
                 else:
-                    paths.append(batch.column(0)[k].values)
+                    yield from encoded(pa.ipc.open_stream(sent[0]).read_all(), *sent[1:], *group, letters)
 
-    def encoded(docs: pa.Table, extra: dict, paths: list[pa.Array], letters: tuple | None) -> Iterator[pa.RecordBatch]:
+    def gathered(place: np.ndarray, unknown: dict[int, str], paths: list[pa.Array]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the distinct words of a group one after another, and where those of each begin and end."""
         known = head.value
-        text, counts, place = docs.column(1).combine_chunks(), extra["counts"], extra["place"]
-        own = _ids(pa.concat_arrays(paths) if paths else pa.array([], pa.list_(pa.int64())), extra["unknown"], pieces)
+        own = _ids(pa.concat_arrays(paths) if paths else pa.array([], pa.list_(pa.int64())), unknown, pieces)
         used, rare = np.flatnonzero(place < len(known)), np.flatnonzero(place >= len(known))
         if len(rare) != len(own):
             raise ValueError("a group of documents did not get the words it asked for")
         flat, many = _flat(pa.concat_arrays([known.take(pa.array(place[used])), own]))
-        slot = np.empty(len(place), np.int64)
-        slot[np.concatenate([used, rare])] = np.arange(len(place))
-        at, ends = np.concatenate([[0], np.cumsum(many)]), np.concatenate([[0], np.cumsum(counts)])
-        word, lo = slot[extra["index"]], 0
+        ends = np.cumsum(many)
+        spans = np.empty((len(place), 2), np.int64)
+        spans[np.concatenate([used, rare])] = np.stack([ends - many, ends], axis=1)
+        return flat, spans
+
+    def encoded(docs: pa.Table, counts: np.ndarray, index: np.ndarray, flat: np.ndarray, spans: np.ndarray, letters: tuple | None) -> Iterator[pa.RecordBatch]:
+        doc, text, ends, lo = docs.column(0).combine_chunks(), docs.column(1).combine_chunks(), np.concatenate([[0], np.cumsum(counts)]), 0
         while lo < len(counts):  # a few documents at a time: positions take much more room than texts
             hi = max(lo + 1, int(np.searchsorted(ends, ends[lo] + STEP_WORDS, "right")) - 1)
-            own_words = word[ends[lo] : ends[hi]]
-            size = at[own_words + 1] - at[own_words]
-            total = np.concatenate([[0], np.cumsum(size, dtype=np.int64)])
-            out = flat[np.repeat(at[own_words] - total[:-1], size) + np.arange(total[-1])]
+            begin, end = spans[index[ends[lo] : ends[hi]]].T
+            size = end - begin
+            total = np.concatenate([[0], np.cumsum(size)])
+            out = flat[np.repeat(begin - total[:-1], size) + np.arange(total[-1])]
             made = pa.ListArray.from_arrays(pa.array(total[ends[lo : hi + 1] - ends[lo]], pa.int32()), pa.array(out, pa.int32()))
             more = [decode_ids(made, *letters)] if letters else []
-            yield pa.RecordBatch.from_arrays([docs.column(0).combine_chunks().slice(lo, hi - lo), text.slice(lo, hi - lo), made, *more], names)
+            yield pa.RecordBatch.from_arrays([doc.slice(lo, hi - lo), text.slice(lo, hi - lo), made, *more], names)
             lo = hi
 
     return run
