@@ -40,6 +40,19 @@ def lean() -> None:
         pass
 
 
+def tidy(run):
+    """A step over Arrow batches whose worker gives memory back after each of them, and before and after all."""
+
+    def lean_run(batches):
+        lean()
+        for out in run(batches):
+            yield out
+            lean()
+        lean()
+
+    return lean_run
+
+
 def scratch_dir(spark: SparkSession) -> str:
     """A folder of this application below ``spark.checkpoint.dir``, which every executor shares.
 

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import session_defaults
+from .common import session_defaults, tidy
 
 #: Buckets that byte trigrams are hashed to, and the count added to each.
 BUCKETS, SMOOTHING = 1 << 16, 0.5
@@ -20,7 +20,7 @@ ROUNDS, SET_ROUNDS = 12, 4
 #: Nats per free proportion and log word.
 PENALTY = 2.0
 #: Words times languages handled at a time; words remembered by one worker.
-CELLS, CACHE_WORDS = 1 << 21, 200_000
+CELLS, CACHE_WORDS = 1 << 20, 150_000
 
 _WORDS = re.compile(r"[^\W\d_]+")
 
@@ -74,7 +74,7 @@ def fit(docs: DataFrame, where: str = "crc32(cast(doc_id as string)) % 5 <> 0")
     """
     session_defaults(docs.sparkSession)
     use = docs.filter(where).filter("lang IS NOT NULL AND text IS NOT NULL").select(F.col("lang").cast("string").alias("lang"), "text")
-    counts = use.mapInArrow(_count, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
+    counts = use.mapInArrow(tidy(_count), "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
     got = counts.toPandas()
     names = tuple(sorted(got["lang"].unique()))
     table = np.full((len(names), BUCKETS), SMOOTHING)
@@ -199,7 +199,7 @@ def identify(docs: DataFrame, model: LanguageModel, *carry: str) -> DataFrame:
     session_defaults(docs.sparkSession)
     kinds = dict(docs.dtypes)
     schema = ", ".join([f"doc_id {kinds['doc_id']}", *(f"`{c}` {kinds[c]}" for c in carry), "lang_pred string", "score double", "mixture map<string,double>"])
-    return docs.select("doc_id", "text", *carry).mapInArrow(_identify(docs.sparkSession.sparkContext.broadcast((model.names, model.logp))), schema)
+    return docs.select("doc_id", "text", *carry).mapInArrow(tidy(_identify(docs.sparkSession.sparkContext.broadcast((model.names, model.logp)))), schema)
 
 
 def known_language(docs: DataFrame) -> DataFrame:

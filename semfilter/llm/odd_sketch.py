@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import clear, components, save, session_defaults
+from .common import clear, components, save, session_defaults, tidy
 
 #: MinHash samples, and how they are banded: a pair of similarity 0.75 misses all bands with chance (1 - 0.75**4)**32, 5e-6.
 SAMPLES, BANDS = 128, 32
@@ -25,7 +25,7 @@ BLOCK, BLOCK_SHINGLES = 1024, 1 << 20
 #: Cells of a table of pairs held at a time.
 CELLS = 1 << 18
 #: Words remembered with their hashes by one worker.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 150_000
 
 _rng = np.random.default_rng(20_240)
 _XOR = _rng.integers(0, 2**32, SAMPLES, dtype=np.uint32)
@@ -308,7 +308,7 @@ def grouped(docs: DataFrame, percent: int = 75, same_id: bool = False) -> Classe
     """
     session_defaults(docs.sparkSession)
     words = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
-    signed = save(words.mapInArrow(_signer, "id long, n long, same binary, bands array<long>, sketch array<long>"), "signed")
+    signed = save(words.mapInArrow(tidy(_signer), "id long, n long, same binary, bands array<long>, sketch array<long>"), "signed")
     named = signed.filter("id IS NOT NULL")
     repeated = save(named.groupBy("id").agg(F.count("*").alias("rows")).filter("rows > 1").select("id"), "repeated")
     repeated = None if repeated.isEmpty() else repeated
@@ -326,7 +326,7 @@ def grouped(docs: DataFrame, percent: int = 75, same_id: bool = False) -> Classe
     texts = words.join(F.broadcast(wanted) if few else wanted, "id")
 
     def built(rows: DataFrame) -> DataFrame:
-        return rows.select("node", "text", "same").mapInArrow(_setter, "node long, shingles binary")
+        return rows.select("node", "text", "same").mapInArrow(tidy(_setter), "node long, shingles binary")
 
     if repeated is None:
         sets = save(built(texts), "sets")
@@ -339,7 +339,7 @@ def grouped(docs: DataFrame, percent: int = 75, same_id: bool = False) -> Classe
     odd = " + ".join(f"bit_count(sa[{p}] ^ sb[{p}])" for p in range(SKETCH_BITS // 64))
     sized = star.join(x, "a").join(y, "b").filter(f"100 * least(na, nb) >= {percent} * greatest(na, nb)").filter(F.expr(odd) <= most).select("a", "b")
     u, v = (sets.select(F.col("node").alias(k), F.col("shingles").alias("s" + k)) for k in "ab")
-    links = save(sized.join(u, "a").join(v, "b").select("a", "b", "sa", "sb").mapInArrow(_confirm(percent), "a long, b long"), "links")
+    links = save(sized.join(u, "a").join(v, "b").select("a", "b", "sa", "sb").mapInArrow(tidy(_confirm(percent)), "a long, b long"), "links")
 
     # the least neighbour, then its least neighbour: sound labels, mostly whole components already
     near = links.union(links.select("b", "a")).groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("m"))
@@ -354,9 +354,9 @@ def grouped(docs: DataFrame, percent: int = 75, same_id: bool = False) -> Classe
     met = met.withColumn("side", F.when(F.col("i") == F.col("j"), 2).otherwise((F.col("blk") == F.col("j")).cast("int")))
     shape = "key long, i int, j int, node long, comp long, n long, side int, sketch array<long>"
     cells = met.join(facts.drop("n"), "node").select("key", "i", "j", "node", "comp", "n", "side", "sketch")
-    left = save(cells.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(_prune(most, percent), shape), "left")
+    left = save(cells.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(tidy(_prune(most, percent)), shape), "left")
     full = left.join(sets, "node").select("key", "i", "j", "node", "comp", "n", "side", "sketch", "shingles")
-    more = save(full.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(_open(most, percent), "a long, b long"), "links")
+    more = save(full.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(tidy(_open(most, percent)), "a long, b long"), "links")
 
     if same_id and repeated is not None:
         homes = named.filter("n > 0").join(repeated, "id").join(classes.select("same", "node"), "same").select("id", "node")
@@ -412,6 +412,6 @@ def one_of_each(docs: DataFrame, percent: int = 75) -> DataFrame:
     twice = docs.join(g.repeated.select(F.col("id").alias(own)), F.col("doc_id").cast("long") == F.col(own), "left_semi")
     signed = twice.select(F.col("doc_id").cast("long").alias("id"), "text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     kind = signed.schema["row"].dataType.simpleString()
-    signed = signed.mapInArrow(_digest, f"id long, same binary, row {kind}").dropDuplicates(["id", "same"])
+    signed = signed.mapInArrow(tidy(_digest), f"id long, same binary, row {kind}").dropDuplicates(["id", "same"])
     kept = signed.alias("d").join(keep.join(g.repeated, "id").distinct().alias("k"), (F.col("d.id") == F.col("k.id")) & F.col("d.same").eqNullSafe(F.col("k.same")), "left_semi")
     return out.unionByName(kept.select("row.*"))

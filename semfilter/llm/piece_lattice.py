@@ -327,10 +327,18 @@ def _sender(head, pieces: Pieces):
                 lo = hi
             for pack in packs:
                 yield pa.RecordBatch.from_arrays([pa.nulls(1, lattices), pa.array([pickle.dumps(pack, protocol=5)], pa.binary())], schema=schema)
+        forget(head)
 
     return run
 
 
+def forget(shared) -> None:
+    """Drops a worker's copy of what was broadcast, and what else is free; its next task reads it again."""
+    if hasattr(shared, "_value"):
+        del shared._value
+    lean()
+
+
 def _unknown(words: pa.Array, pieces: Pieces) -> dict[int, str]:
     """Words by number that have a character that is no piece."""
     return {k: w for k, w in enumerate(words.to_pylist()) if any(c not in pieces.text for c in w)}
@@ -362,6 +370,7 @@ def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
                     lean()
                 else:
                     yield from encoded(pa.ipc.open_stream(sent[0]).read_all(), *sent[1:], *group, letters)
+        forget(head)
 
     def gathered(place: np.ndarray, unknown: dict[int, str], paths: list[pa.Array]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of the distinct words of a group one after another, and where those of each begin and end."""
