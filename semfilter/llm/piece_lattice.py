@@ -17,7 +17,7 @@ from .common import lean, save, session_defaults
 #: The sign that stands for a blank.
 BLANK = "▁"
 #: Most frequent words whose ids are broadcast, and the longest that may be so (some 40 bytes a word, by both bounds).
-HEAD_WORDS, HEAD_CHARS = 1 << 19, 64
+HEAD_WORDS, HEAD_CHARS = 1 << 18, 64
 #: Bytes of text that are counted and looked up together; distinct words that one task counts before it gives them on.
 GROUP_BYTES, HELD_WORDS = 2 << 20, 300_000
 #: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 300 KB.
