@@ -19,9 +19,9 @@ BLANK = "▁"
 #: Most frequent words whose ids are broadcast, and the longest that may be so (some 40 bytes a word, by both bounds).
 HEAD_WORDS, HEAD_CHARS = 1 << 18, 64
 #: Bytes of text that are counted and looked up together; distinct words that one task counts before it gives them on.
-GROUP_BYTES, HELD_WORDS = 2 << 20, 300_000
+GROUP_BYTES, HELD_WORDS = 1 << 20, 300_000
 #: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 300 KB.
-STEP_WORDS, SENT_WORDS, SENT_PLACES = 100_000, 256, 40_000
+STEP_WORDS, SENT_WORDS, SENT_PLACES = 50_000, 256, 40_000
 #: Steps to a power of two by which words are told apart by frequency.
 STEPS = 16
 #: Characters of a word that are exploded from one row, and edges or places that are folded together.
