@@ -78,7 +78,7 @@ fn("fn_sigmoid", "documents", "doc_id", "round(1 / (1 + exp(-(n_chars - 2000) /
 fn("fn_logit", "documents", "doc_id", "round(ln((n_chars + 1) / 40000 / (1 - (n_chars + 1) / 40000)), 6)", "round(ln((n_chars + 1) / 40000 / (1 - (n_chars + 1) / 40000)), 6)::DOUBLE")
 fn("fn_pow_sqrt", "documents", "doc_id", "round(pow(n_chars, 0.25) + sqrt(n_chars), 6)", "round(pow(n_chars, 0.25) + sqrt(n_chars), 6)::DOUBLE")
 fn("fn_abs_sign", "documents", "doc_id", "CAST(abs(n_chars - 2000) * sign(n_chars - 2000) AS BIGINT)")
-fn("fn_round_floor_ceil", "lineitem", "l_orderkey", "CAST(floor(l_extendedprice) + ceil(l_tax) + round(l_discount) AS BIGINT)", where="l_orderkey < 300")
+fn("fn_round_floor_ceil", "lineitem", "l_orderkey", "CAST(floor(l_extendedprice) + ceil(l_tax) + round(l_discount) AS BIGINT)")
 fn("fn_least_greatest", "documents", "doc_id", "least(greatest(n_chars, 100), 5000)")
 fn("fn_clip", "documents", "doc_id", "round(least(greatest(n_chars / 5000, 0.1D), 0.9D), 6)", "round(least(greatest(n_chars / 5000, 0.1), 0.9), 6)::DOUBLE")
 

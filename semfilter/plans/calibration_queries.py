@@ -15,9 +15,10 @@ from ..calibrate import bounds
 from ..calibrate import threshold as th
 from ..cascades import methods as ms
 from ..config import Config
-from ..oracle import Ledger, StoredOracle
+from ..oracle import Ledger, StoredOracle, uniform
 from ..sampling import split_sample
-from .method_queries import ALPHAS, HARD, LEDGER, RUNS, _floor_sql, _split_sql, bench, runs, truth
+from ..sources import catalogue as cat
+from .method_queries import ALPHAS, HARD, LEDGER, RUNS, _floor_sql, _split_sql, bench, runs, truth, u
 from .registry import key
 
 #: A fixed threshold at which single steps of the calibration are shown.
@@ -233,46 +234,43 @@ def method_floor(spark, sf):
     return spark.createDataFrame(ms.run_floor(bench(spark, sf, HARD)).runs[["query_id", "n_oracle"]])
 
 
-SMALL = ("Q01", "Q07", "Q19")
-
-
 @key("method_cluster_vote")
 def method_cluster_vote(spark, sf):
-    return shown(spark, ms.run_cluster_vote(bench(spark, sf, ("Q01", "Q19"))))
+    return shown(spark, ms.run_cluster_vote(bench(spark, sf, cat.ALL)))
 
 
 @key("method_biencoder")
 def method_biencoder(spark, sf):
-    return shown(spark, ms.run_trained(bench(spark, sf, SMALL), "biencoder", "smoothed_histogram"))
+    return shown(spark, ms.run_trained(bench(spark, sf, cat.ALL), "biencoder", "smoothed_histogram"))
 
 
 @key("method_hybrid")
 def method_hybrid(spark, sf):
-    return shown(spark, ms.run_trained(bench(spark, sf, SMALL)))
+    return shown(spark, ms.run_trained(bench(spark, sf, cat.ALL)))
 
 
 @key("method_two_phase")
 def method_two_phase(spark, sf):
-    return shown(spark, ms.run_two_phase(bench(spark, sf, SMALL)))
+    return shown(spark, ms.run_two_phase(bench(spark, sf, cat.ALL)))
 
 
 @key("method_router")
 def method_router(spark, sf):
-    return shown(spark, ms.run_router(bench(spark, sf, ("Q01", "Q19"))))
+    return shown(spark, ms.run_router(bench(spark, sf, cat.ALL)))
 
 
 @key("method_ber_router")
 def method_ber_router(spark, sf):
-    return shown(spark, ms.run_router(bench(spark, sf, ("Q01", "Q19")), "ber", reuse=True))
+    return shown(spark, ms.run_router(bench(spark, sf, cat.ALL), "ber", reuse=True))
 
 
 @key("two_phase_exit")
 def two_phase_exit(spark, sf):
-    r = shown(spark, ms.run_two_phase(bench(spark, sf, ("Q01", "Q07"))))
+    r = shown(spark, ms.run_two_phase(bench(spark, sf, cat.ALL)))
     return r.select("query_id", "phase2", "n_vote", "n_train", "n_cal", "n_cascade")
 
 
-_VOTED = f"SELECT query_id, count(*) AS n, sum(y)::BIGINT AS yes FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY doc_id) AS r FROM {truth()} t) WHERE r <= 40 GROUP BY 1"
+_VOTED = f"SELECT query_id, count(*) AS n, sum(y)::BIGINT AS yes FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY {u('doc_id', chr(39) + ':vote' + chr(39))}, doc_id) AS r FROM {truth()} t) WHERE r <= 40 GROUP BY 1"
 
 
 @key("two_phase_train_set", _VOTED)
@@ -280,7 +278,7 @@ def two_phase_train_set(spark, sf):
     """T of the second phase: every bought label of the first one, none of the propagated."""
     b = bench(spark, sf)
     led = Ledger(b.answers)
-    led.request(b.pairs().withColumn("r", F.row_number().over(W.partitionBy("query_id").orderBy("doc_id"))).filter("r <= 40"), "vote")
+    led.request(b.pairs().withColumn("r", F.row_number().over(W.partitionBy("query_id").orderBy(uniform(F.col("doc_id"), ":vote"), "doc_id"))).filter("r <= 40"), "vote")
     return led.reuse(["vote"], "train").groupBy("query_id").agg(F.count("*").alias("n"), F.sum("y").cast("long").alias("yes"))
 
 
@@ -305,9 +303,9 @@ def rq1_rollup(spark, sf):
 
 @key("rq1_table")
 def rq1_table(spark, sf):
-    b = bench(spark, sf, SMALL)
+    b = bench(spark, sf, cat.ALL)
     frames = [f(b).runs for name, f in ms.METHODS.items() if name != "cluster_vote"]
-    frames.append(ms.run_cluster_vote(bench(spark, sf, SMALL)).runs)
+    frames.append(ms.run_cluster_vote(bench(spark, sf, cat.ALL)).runs)
     return metrics.summary(spark.createDataFrame(pd.concat(frames)[list(_RUN_COLS)]), "corpus", "method")
 
 
@@ -335,8 +333,8 @@ def rq2_sweep_sql(spark, sf):
 @key("rq2_sweep")
 def rq2_sweep(spark, sf):
     out = []
-    for a in (0.8, 0.9, 0.95):
-        b = bench(spark, sf, ("Q19",), alpha=a)
+    for a in ALPHAS:
+        b = bench(spark, sf, cat.ALL, alpha=a)
         out += [ms.run_trained(b).runs, ms.run_prebuilt(b, "blend").runs, ms.run_floor(b).runs]
     return metrics.summary(spark.createDataFrame(pd.concat(out)[list(_RUN_COLS)]), "method", "alpha")
 

@@ -83,21 +83,25 @@ def soft_from_logprob(spark, sf):
     return a.select("doc_id", F.round(prob_from_logprobs(F.col("yes"), F.col("no")), 6).alias("p_star"))
 
 
+_TRAIN, _CAL = f"{u('doc_id', chr(39) + ':train' + chr(39))} < 0.3", f"{u('doc_id', chr(39) + ':cal' + chr(39))} < 0.2"
+
+
 @key("ledger_dedup", f"""SELECT purpose, count(*) AS n, CAST(sum(y) AS BIGINT) AS yes FROM (
-    SELECT y, CASE WHEN doc_id % 3 = 0 THEN 'train' ELSE 'cal' END AS purpose FROM {truth(('Q04',))} t WHERE doc_id % 3 = 0 OR doc_id % 5 = 0) GROUP BY purpose""")
+    SELECT y, CASE WHEN {_TRAIN} THEN 'train' ELSE 'cal' END AS purpose FROM {truth(('Q04',))} t WHERE {_TRAIN} OR {_CAL}) GROUP BY purpose""")
 def ledger_dedup(spark, sf):
+    """A training sample asked for twice and a calibration sample that overlaps it: each label is paid once."""
     a = save(answers(spark, sf, ("Q04",)))
-    led = Ledger(a)
-    led.request(a.filter("doc_id % 3 = 0").unionByName(a.filter("doc_id % 3 = 0")), "train")
-    led.request(a.filter("doc_id % 3 = 0 OR doc_id % 5 = 0"), "cal")
+    led, train = Ledger(a), a.filter(uniform(F.col("doc_id"), ":train") < 0.3)
+    led.request(train.unionByName(train), "train")
+    led.request(a.filter((uniform(F.col("doc_id"), ":train") < 0.3) | (uniform(F.col("doc_id"), ":cal") < 0.2)), "cal")
     return led.rows.groupBy("purpose").agg(F.count("*").alias("n"), F.sum("y").cast("long").alias("yes"))
 
 
-@key("ledger_reuse", f"SELECT 'train' AS purpose, count(*) AS n, CAST(sum(y) AS BIGINT) AS yes FROM {truth(('Q04',))} t WHERE doc_id % 3 = 0")
+@key("ledger_reuse", f"SELECT 'train' AS purpose, count(*) AS n, CAST(sum(y) AS BIGINT) AS yes FROM {truth(('Q04',))} t WHERE {_TRAIN}")
 def ledger_reuse(spark, sf):
     a = save(answers(spark, sf, ("Q04",)))
     led = Ledger(a)
-    led.request(a.filter("doc_id % 3 = 0"), "vote")
+    led.request(a.filter(uniform(F.col("doc_id"), ":train") < 0.3), "vote")
     return led.reuse(["vote"], "train").groupBy("purpose").agg(F.count("*").alias("n"), F.sum("y").cast("long").alias("yes"))
 
 
@@ -568,14 +572,42 @@ def diag_separability(spark, sf):
     return s.groupBy("query_id").agg(F.round((F.sum(F.when(F.col("y") == 1, F.col("r"))) - n1 * (n1 + 1) / 2) / (n1 * (F.count("*") - n1)), 6).alias("auc"), F.round(F.avg(F.when(F.col("y") == 1, F.col("prob"))) - F.avg(F.when(F.col("y") == 0, F.col("prob"))), 6).alias("gap"))
 
 
+def _moments(batches):
+    """Count, sums and products of a partition's vectors, as one row an entry."""
+    total = None
+    for batch in batches:
+        if len(batch):
+            x = np.stack(batch["emb"].to_numpy()).astype(float)
+            x = np.concatenate([np.ones((len(x), 1)), x], axis=1)
+            total = x.T @ x if total is None else total + x.T @ x
+    if total is not None:
+        yield pd.DataFrame({"k": np.arange(total.size), "v": total.ravel()})
+
+
+def pca2(vectors: DataFrame, dim: int) -> DataFrame:
+    """Every vector on the two main axes of all of them, ``doc_id, x, y``; the largest weight of an axis is positive.
+
+    Only ``(dim + 1)^2`` sums reach the driver, however many vectors there are; an empty table gives no rows.
+    """
+    rows = vectors.select("emb").mapInPandas(_moments, "k long, v double").groupBy("k").agg(F.sum("v").alias("v")).orderBy("k").toPandas()
+    if rows.empty:
+        return vectors.select("doc_id", F.lit(0.0).alias("x"), F.lit(0.0).alias("y"))
+    m = rows["v"].to_numpy().reshape(dim + 1, dim + 1) / rows["v"][0]
+    mean = m[0, 1:]
+    axes = np.linalg.eigh(m[1:, 1:] - np.outer(mean, mean))[1][:, ::-1][:, :2].T
+    axes = axes * np.sign(axes[np.arange(2), np.abs(axes).argmax(axis=1)])[:, None]
+
+    def along(axis) -> F.Column:
+        dot = F.aggregate(F.zip_with("emb", F.lit(axis.tolist()), lambda a, b: a.cast("double") * b), F.lit(0.0), lambda a, b: a + b)
+        return F.round(dot - float(axis @ mean), 6)
+
+    return vectors.select("doc_id", along(axes[0]).alias("x"), along(axes[1]).alias("y"))
+
+
 @key("diag_pca2")
 def diag_pca2(spark, sf):
     b = bench(spark, sf, ("Q01",))
-    rows = b.features.filter(uniform(F.col("doc_id"), ":pca") < min(1.0, 3000 / b.n)).select("doc_id", "emb").orderBy("doc_id").limit(3000).toPandas()
-    x = np.stack(rows["emb"].to_numpy()).astype(float)
-    _, _, v = np.linalg.svd(x - x.mean(axis=0), full_matrices=False)
-    xy = (x - x.mean(axis=0)) @ v[:2].T
-    return spark.createDataFrame(pd.DataFrame({"doc_id": rows["doc_id"], "x": xy[:, 0].round(6), "y": xy[:, 1].round(6)}))
+    return pca2(b.features, b.cfg.emb_dim)
 
 
 # ---- Bayes error -------------------------------------------------------------------------------
@@ -589,9 +621,9 @@ def ber_query(spark, sf):
     return bayes.query_ber(answers(spark, sf, cat.ALL)).select("query_id", F.round("ber", 6).alias("ber"))
 
 
-@key("ber_pilot", f"SELECT query_id, count(*) AS n, round(avg(e), 6)::DOUBLE AS ber, round(stddev_samp(e) / sqrt(count(*)), 6)::DOUBLE AS std_error FROM (SELECT query_id, least(p_star, 1 - p_star) AS e FROM {truth()} t WHERE doc_id % 7 = 0) GROUP BY 1")
+@key("ber_pilot", f"SELECT query_id, count(*) AS n, round(avg(e), 6)::DOUBLE AS ber, round(stddev_samp(e) / sqrt(count(*)), 6)::DOUBLE AS std_error FROM (SELECT query_id, least(p_star, 1 - p_star) AS e FROM {truth()} t WHERE {u('doc_id', chr(39) + ':pilot' + chr(39))} < 0.15) GROUP BY 1")
 def ber_pilot(spark, sf):
-    return bayes.pilot_ber(answers(spark, sf).filter("doc_id % 7 = 0")).select("query_id", "n", F.round("ber", 6).alias("ber"), F.round("std_error", 6).alias("std_error"))
+    return bayes.pilot_ber(answers(spark, sf).filter(uniform(F.col("doc_id"), ":pilot") < 0.15)).select("query_id", "n", F.round("ber", 6).alias("ber"), F.round("std_error", 6).alias("std_error"))
 
 
 def _floor_sql(alphas, queries=HARD) -> str:
