@@ -121,3 +121,14 @@ def test_voting_is_cheap_where_classes_follow_clusters(spark, sf01):
     b = replace(b, cfg=replace(b.cfg, max_rounds=4))
     r = ms.run_two_phase(b).runs.set_index("query_id")
     assert r.loc["Q01", "n_oracle"] < r.loc["Q18", "n_oracle"] and not r.loc["Q01", "phase2"] and r.loc["Q18", "phase2"]
+
+
+def test_main_axes_equal_those_of_all_vectors_at_once(spark):
+    from semfilter.plans.method_queries import pca2
+
+    x = np.random.default_rng(3).normal(size=(300, 6)) * [5, 3, 1, 1, 1, 1]
+    rows = spark.createDataFrame([(i, v) for i, v in enumerate(x.tolist())], "doc_id long, emb array<double>").repartition(5)
+    got = pca2(rows, 6).orderBy("doc_id").toPandas()[["x", "y"]].to_numpy()
+    want = (x - x.mean(axis=0)) @ np.linalg.svd(x - x.mean(axis=0), full_matrices=False)[2][:2].T
+    assert np.allclose(np.abs(got), np.abs(want), atol=1e-5)
+    assert pca2(rows.limit(0), 6).count() == 0
