@@ -1,10 +1,38 @@
 """What would not hold on large tables: frames on the driver, and queries that read no table."""
 
+import pandas as pd
+import pytest
+
+from semfilter import metrics
 from semfilter.plans import catalog
+from semfilter.proxy import nets
 
 QUERIES = catalog.queries()
 
 
+def forbid_frames(spark, monkeypatch):
+    def no(*_):
+        raise AssertionError("a frame came to the driver")
+
+    monkeypatch.setattr(type(spark.range(1)), "toPandas", no)
+
+
 def test_hashed_vectors_of_all_documents(spark, sf):
     got = QUERIES["feat_hashed_vector"](spark, sf).collect()
     assert len(got) == 200 and all(r["norm2"] == 1 and r["n_toks"] > 0 for r in got)
+
+
+@pytest.mark.parametrize("name", ["loss_coverage"])
+def test_losses_bring_no_documents_to_the_driver(spark, sf, monkeypatch, name):
+    forbid_frames(spark, monkeypatch)
+    assert QUERIES[name](spark, sf).count() == 4
+
+
+def test_loss_sums_are_those_of_the_scorers(spark):
+    rows = [("a", 0.9, 0.8, 1), ("a", 0.2, 0.4, 1), ("a", 0.0, 0.1, 0), ("b", 0.5, None, 1)]
+    got = {r["query_id"]: r for r in metrics.loss_sums(spark.createDataFrame(rows, "query_id string, prob double, p_star double, y int")).collect()}
+    p, t, y = (pd.DataFrame(rows[:3])[k].to_numpy(float) for k in (1, 2, 3))
+    a, b = got["a"], got["b"]
+    assert a["soft"] / a["n_soft"] == pytest.approx(nets.bce(p, t)) and a["hard"] / a["n"] == pytest.approx(nets.bce(p, y))
+    assert 1 - a["conf"] / a["n"] == pytest.approx(nets.coverage_loss(p)) and nets.soft_risk_of(a["wrong"], a["conf"]) == pytest.approx(nets.soft_risk(p, y))
+    assert (b["n"], b["n_soft"], b["soft"], b["conf"]) == (1, 0, None, 0)
