@@ -22,7 +22,7 @@ def test_hashed_vectors_of_all_documents(spark, sf):
     assert len(got) == 200 and all(r["norm2"] == 1 and r["n_toks"] > 0 for r in got)
 
 
-@pytest.mark.parametrize("name", ["loss_coverage", "loss_hard", "loss_sla_penalty", "loss_soft", "risk_soft"])
+@pytest.mark.parametrize("name", ["loss_coverage", "loss_hard", "loss_sla_penalty", "loss_soft", "risk_soft", "loss_total"])
 def test_losses_bring_no_documents_to_the_driver(spark, sf, monkeypatch, name):
     forbid_frames(spark, monkeypatch)
     assert QUERIES[name](spark, sf).count() == 4
