@@ -1,13 +1,19 @@
 """What would not hold on large tables: frames on the driver, and queries that read no table."""
 
+import tracemalloc
+
+import duckdb
+import numpy as np
 import pandas as pd
 import pytest
 
 from semfilter import metrics
-from semfilter.plans import catalog
+from semfilter.config import Config
+from semfilter.plans import calibration_queries, catalog
 from semfilter.proxy import nets
+from semfilter.proxy import train as px
 
-QUERIES = catalog.queries()
+QUERIES, TWINS = catalog.queries(), catalog.twins()
 
 
 def forbid_frames(spark, monkeypatch):
@@ -36,3 +42,14 @@ def test_loss_sums_are_those_of_the_scorers(spark):
     assert a["soft"] / a["n_soft"] == pytest.approx(nets.bce(p, t)) and a["hard"] / a["n"] == pytest.approx(nets.bce(p, y))
     assert 1 - a["conf"] / a["n"] == pytest.approx(nets.coverage_loss(p)) and nets.soft_risk_of(a["wrong"], a["conf"]) == pytest.approx(nets.soft_risk(p, y))
     assert (b["n"], b["n_soft"], b["soft"], b["conf"]) == (1, 0, None, 0)
+
+
+def test_global_top_is_by_the_rounded_value(spark, tmp_path):
+    rows = ", ".join(f"({i}, 'a b', 'en', 'src1', {10**6 * (i + 1)})" for i in range(30))
+    con = duckdb.connect()
+    con.execute(f"COPY (SELECT i::BIGINT AS doc_id, t AS text, l AS lang, s AS source, n::BIGINT AS n_chars FROM (VALUES {rows}) v(i, t, l, s, n)) TO '{tmp_path}/documents.parquet'")
+    con.execute(f"COPY (SELECT 0::BIGINT AS item_id, 'none' AS text) TO '{tmp_path}/benchmark.parquet'")
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet'")
+    want = con.execute(TWINS["topk_global"]).fetchall()
+    got = [tuple(r) for r in QUERIES["topk_global"](spark, str(tmp_path)).collect()]
+    assert got == want and len({p for _, p in want}) < len(want)
