@@ -44,6 +44,25 @@ def test_loss_sums_are_those_of_the_scorers(spark):
     assert (b["n"], b["n_soft"], b["soft"], b["conf"]) == (1, 0, None, 0)
 
 
+def test_pairs_of_a_margin_loss_are_not_made():
+    rng = np.random.default_rng(0)
+    for pos, neg in ((rng.normal(size=7), rng.normal(size=11)), (np.zeros(3), np.full(2, -0.4)), (np.array([0.1]), np.array([0.9]))):
+        gap = 0.4 - pos[:, None] + neg[None, :]
+        loss, of_pos, of_neg = nets.pair_hinge(pos, neg, 0.4)
+        assert loss == pytest.approx(np.maximum(gap, 0).mean())
+        assert of_pos.tolist() == (gap > 0).mean(axis=1).tolist() and of_neg.tolist() == (gap > 0).mean(axis=0).tolist()
+
+
+def test_contrastive_training_takes_room_for_its_documents_only():
+    n, rng = 8000, np.random.default_rng(0)
+    emb, y, q = rng.normal(size=(n, 4)), np.arange(n) % 2, rng.normal(size=4)
+    tracemalloc.start()
+    nets.BiEncoder(4).contrast(q, emb, y, 1, 1e-3, 2)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 60 << 20  # the pairs alone took 16 million doubles
+
+
 def test_global_top_is_by_the_rounded_value(spark, tmp_path):
     rows = ", ".join(f"({i}, 'a b', 'en', 'src1', {10**6 * (i + 1)})" for i in range(30))
     con = duckdb.connect()
