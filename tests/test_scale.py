@@ -72,3 +72,17 @@ def test_global_top_is_by_the_rounded_value(spark, tmp_path):
     want = con.execute(TWINS["topk_global"]).fetchall()
     got = [tuple(r) for r in QUERIES["topk_global"](spark, str(tmp_path)).collect()]
     assert got == want and len({p for _, p in want}) < len(want)
+
+
+def test_contrastive_training_of_a_joint_scorer_goes_by_parts(monkeypatch):
+    rng = np.random.default_rng(0)
+    emb, y, q, seen = rng.normal(size=(50, 4)), (np.arange(50) % 3 == 0).astype(int), rng.normal(size=4), []
+    whole = nets.JointScorer(4, 3)
+    nets.fit_contrastive(whole, q, emb, [[]] * 50, y, 3, Config())
+    monkeypatch.setattr(nets, "ROWS", 16)
+    before = nets.joint_input
+    monkeypatch.setattr(nets, "joint_input", lambda a, d: seen.append(len(d)) or before(a, d))
+    parts = nets.JointScorer(4, 3)
+    nets.fit_contrastive(parts, q, emb, [[]] * 50, y, 3, Config())
+    assert max(seen) == 16 and all(np.allclose(a, b) for a, b in zip(whole.params, parts.params, strict=True))
+    assert len(parts.prob(q, emb[:0])) == 0
