@@ -86,3 +86,11 @@ def test_contrastive_training_of_a_joint_scorer_goes_by_parts(monkeypatch):
     nets.fit_contrastive(parts, q, emb, [[]] * 50, y, 3, Config())
     assert max(seen) == 16 and all(np.allclose(a, b) for a, b in zip(whole.params, parts.params, strict=True))
     assert len(parts.prob(q, emb[:0])) == 0
+
+
+def test_ablation_trains_the_backbones_of_equal_cells_once(spark, sf, monkeypatch):
+    lent, train_all = [], px.train_all
+    monkeypatch.setattr(px, "train_all", lambda labelled, kind, asks, cfg, old=None, **flags: lent.append(old is not None) or train_all(labelled, kind, asks, cfg, old, **flags))
+    got = {r["method"]: r for r in calibration_queries.ablation(spark, sf, ("full", "no_dual"), ("Q19",)).collect()}
+    assert sorted(lent) == [False, True]
+    assert got["no_dual"] == calibration_queries.ablation(spark, sf, ("no_dual",), ("Q19",)).first()
