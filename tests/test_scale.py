@@ -6,6 +6,7 @@ import duckdb
 import numpy as np
 import pandas as pd
 import pytest
+from pyspark.errors import AnalysisException
 
 from semfilter import metrics
 from semfilter.config import Config
@@ -94,3 +95,9 @@ def test_ablation_trains_the_backbones_of_equal_cells_once(spark, sf, monkeypatc
     got = {r["method"]: r for r in calibration_queries.ablation(spark, sf, ("full", "no_dual"), ("Q19",)).collect()}
     assert sorted(lent) == [False, True]
     assert got["no_dual"] == calibration_queries.ablation(spark, sf, ("no_dual",), ("Q19",)).first()
+
+
+@pytest.mark.parametrize("name", ["acc_mean_min"])
+def test_made_up_inputs_gave_way_to_tables(spark, name):
+    with pytest.raises(AnalysisException):
+        QUERIES[name](spark, "/no/such/folder").collect()
