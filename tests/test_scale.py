@@ -97,7 +97,7 @@ def test_ablation_trains_the_backbones_of_equal_cells_once(spark, sf, monkeypatc
     assert got["no_dual"] == calibration_queries.ablation(spark, sf, ("no_dual",), ("Q19",)).first()
 
 
-@pytest.mark.parametrize("name", ["acc_mean_min", "agg_bool", "agg_filter_clause", "agg_min_max_by", "agg_pivot", "agg_unpivot", "ber_buckets", "biencoder_forward", "binom_upper", "cal_sensitivity", "compass_auc"])
+@pytest.mark.parametrize("name", ["acc_mean_min", "agg_bool", "agg_filter_clause", "agg_min_max_by", "agg_pivot", "agg_unpivot", "ber_buckets", "biencoder_forward", "binom_upper", "cal_sensitivity", "compass_auc", "compass_crossover"])
 def test_made_up_inputs_gave_way_to_tables(spark, name):
     with pytest.raises(AnalysisException):
         QUERIES[name](spark, "/no/such/folder").collect()
