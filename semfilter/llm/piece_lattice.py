@@ -20,8 +20,8 @@ BLANK = "▁"
 HEAD_WORDS, HEAD_CHARS = 1 << 18, 64
 #: Bytes of text that are counted and looked up together; distinct words that one task counts before it gives them on.
 GROUP_BYTES, HELD_WORDS = 1 << 20, 300_000
-#: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 300 KB.
-STEP_WORDS, SENT_WORDS, SENT_PLACES = 50_000, 256, 40_000
+#: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 150 KB, as the JVM keeps arrays of 512 KB apart.
+STEP_WORDS, SENT_WORDS, SENT_PLACES = 25_000, 128, 20_000
 #: Steps to a power of two by which words are told apart by frequency.
 STEPS = 16
 #: Characters of a word that are exploded from one row, and edges or places that are folded together.
@@ -96,15 +96,24 @@ def words_of(texts: pa.Array, newline: bool, stops: list[str]) -> tuple[pa.Array
     return flat.filter(keep), np.diff(seen[offsets])
 
 
+def _cut(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    """A batch in pieces of about ``GROUP_BYTES`` of text (its last column), a longer text alone; Spark's batches are several times as large."""
+    ends, lo = np.cumsum(pc.fill_null(pc.binary_length(batch.column(batch.num_columns - 1)), 0).to_numpy(zero_copy_only=False).astype(np.int64)), 0
+    while lo < batch.num_rows:
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + GROUP_BYTES, "right")))
+        yield batch.slice(lo, hi - lo)
+        lo = hi
+
+
 def _grouped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
     lean()
     held: list[pa.RecordBatch] = []
-    for b in batches:
-        if b.num_rows:
+    for batch in batches:
+        for b in _cut(batch):
+            if held and sum(x.nbytes for x in held) + b.nbytes > GROUP_BYTES:
+                yield pa.Table.from_batches(held)
+                held = []
             held.append(b)
-        if sum(x.nbytes for x in held) >= GROUP_BYTES:
-            yield pa.Table.from_batches(held)
-            held = []
     if held:
         yield pa.Table.from_batches(held)
     held = []

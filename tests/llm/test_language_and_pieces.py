@@ -178,3 +178,13 @@ def test_words_of_any_length(spark):
     out = K.encode(texts, pieces, decoded=True).collect()
     assert len(out) == 4 and all(r["decoded"] == r["text"] for r in out)
     assert next(r["ids"] for r in out if r["text"] == words[-1]) == best(K.BLANK + words[-1], pieces)
+
+
+def test_groups_stay_near_their_size_however_large_a_batch():
+    import pyarrow as pa
+
+    texts = ["x" * 50_000] * 100 + [None, "", "y" * 3_000_000, "z"]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array(texts)], ["doc_id", "text"])
+    groups = list(K._grouped(iter([batch, batch.slice(0, 0), batch.slice(100, 2)])))
+    assert [r for g in groups for r in g.column("text").to_pylist()] == [*texts, None, ""]
+    assert all(g.num_rows == 1 or g.nbytes <= K.GROUP_BYTES + 4096 for g in groups) and len(groups) < 12
