@@ -13,11 +13,16 @@ from pyspark.sql import functions as F
 
 from .common import save, session_defaults
 
-#: Vectors in one block of a forward index, in one segment, and queries travelling together.
-BLOCK, SEGMENT, QUERIES = 64, 8192, 256
-#: Scores beyond these stand at them.
+#: Vectors in one block of a forward index, in one segment (and components, for long vectors), and queries travelling together.
+BLOCK, SEGMENT, CELLS, QUERIES = 64, 32_768, 1 << 21, 4096
+#: Segments of smaller tables hold so many vectors, up to so many segments; segments that one task meets, where there are many.
+LITTLE, SPREAD, TILE = 2048, 16, 4
+#: Queries scored together, best blocks each of them takes first, and blocks after which kth scores are renewed.
+TOGETHER, AHEAD, RENEW = 1024, 4, 16
+#: Scores beyond these stand at them; the least one also says that no kth score is known.
 LEAST, MOST = -(2**63), 2**63 - 1
-INDEX = "seg int, dim int, ids binary, copies binary, docs binary, most binary, least binary"
+INDEX = "seg int, dim int, kind string, ids binary, copies binary, docs binary, most binary, least binary"
+ASKED = "dim int, asked string, qids binary, queries binary, floors binary, firsts binary"
 
 
 def quantised(vectors: DataFrame, scale: int = 256) -> DataFrame:
@@ -32,7 +37,7 @@ def _kind(a: np.ndarray, b: np.ndarray) -> type:
     if not a.size or not b.size:
         return np.int64
     most = float(np.abs(a.astype(float)).max()) * float(np.abs(b.astype(float)).max()) * a.shape[1]
-    return np.float64 if most < 2.0**53 else np.int64 if most < 2.0**62 else object
+    return np.float32 if most < 2.0**24 else np.float64 if most < 2.0**53 else np.int64 if most < 2.0**62 else object
 
 
 def bounds(queries: np.ndarray, most: np.ndarray, least: np.ndarray) -> np.ndarray:
@@ -55,20 +60,82 @@ class Segment:
         cuts = np.arange(0, len(ids), BLOCK)
         return cls(ids, np.ones(len(ids), np.int64) if copies is None else copies, docs, np.maximum.reduceat(docs, cuts, axis=0), np.minimum.reduceat(docs, cuts, axis=0))
 
-    def search(self, qids: np.ndarray, queries: np.ndarray, k: int, floors: list | None = None) -> tuple[list, np.ndarray]:
-        """Best k rows for each query, with repeats, as (query, id, score), and how many blocks were scored for each.
+    def search(self, qids: np.ndarray, queries: np.ndarray, k: int, floors: np.ndarray | None = None) -> tuple[tuple, np.ndarray]:
+        """Best k rows for each query, with repeats, as arrays of query, id and score, and how many blocks were scored for each.
 
-        Blocks are taken by falling bound, and a query is done once the next bound is below its kth score; an equal
-        bound is still scored for its ties. ``floors`` has kth scores that are known already (None: not).
+        Unless their kth scores are known, queries take their blocks of the best bounds first; then all others whose bound reaches a query's
+        kth score are scored, together for such queries; an equal bound is still scored for its ties. ``floors`` has kth scores that are known already (``LEAST``: not).
         """
         kind = _kind(queries, self.docs)
-        docs, asked = self.docs.astype(kind), queries.astype(kind)
-        bound = bounds(asked, self.most.astype(kind), self.least.astype(kind))
+        docs, most, least = (x.astype(kind) for x in (self.docs, self.most, self.least))
+        floors = np.full(len(qids), LEAST) if floors is None else floors
+        got, scored = [], np.zeros(len(qids), np.int64)
+        for lo in range(0, len(qids), TOGETHER):
+            part = slice(lo, lo + TOGETHER)
+            asked = queries[part].astype(kind)
+            one = self._by_query if kind is object else self._together
+            found, scored[part] = one(qids[part], asked, docs, bounds(asked, most, least), k, floors[part])
+            got.append(found)
+        return tuple(np.concatenate([g[i] for g in got]) if got else np.zeros(0, np.int64) for i in range(3)), scored
+
+    def _together(self, qids: np.ndarray, asked: np.ndarray, docs: np.ndarray, bound: np.ndarray, k: int, floors: np.ndarray) -> tuple[tuple, np.ndarray]:
+        kth, many = floors.copy(), np.zeros(len(qids), np.int64)
+        top, fresh = [np.zeros(0, np.int64)] * 3, []
+
+        def renew() -> None:
+            nonlocal top, fresh
+            if not fresh:
+                return
+            q, s, i = (np.concatenate(x) for x in zip(top, *fresh, strict=True))
+            order = np.lexsort((i, -s, q))
+            q, s, i = q[order], s[order], i[order]
+            rank = np.arange(len(q)) - np.searchsorted(q, q)
+            top, fresh = [x[rank < k] for x in (q, s, i)], []
+            last = rank == k - 1
+            kth[q[last]] = np.maximum(kth[q[last]], s[last])
+
+        def score(b: int, on: np.ndarray) -> None:
+            at = slice(b * BLOCK, (b + 1) * BLOCK)
+            many[on] += 1
+            s = (asked if len(on) == len(asked) else asked[on]) @ docs[at].T
+            q, r = np.divmod(np.flatnonzero((s >= kth[on].astype(s.dtype)[:, None]).ravel()), s.shape[1])
+            ids = self.ids[at][r]
+            other = ids != qids[on[q]]
+            q, r, ids = q[other], r[other], ids[other]
+            if len(q):
+                n = np.minimum(self.copies[at][r], k)
+                fresh.append([np.repeat(x, n) for x in (on[q], s[q, r].astype(np.int64), ids)])
+
+        def reached(b: int) -> np.ndarray:
+            return bound[:, b] >= kth.astype(bound.dtype)
+
+        blocks, ahead = bound.shape[1], min(AHEAD, bound.shape[1]) if (floors == LEAST).any() else 0
+        turn = np.argsort(-bound, axis=1, kind="stable")[:, :ahead] if ahead else None
+        done = np.zeros(bound.shape, bool)
+        for j in range(ahead):
+            for b in np.unique(turn[:, j]).tolist():
+                on = np.flatnonzero((turn[:, j] == b) & reached(b))
+                if len(on):
+                    score(b, on)
+            done[np.arange(len(qids)), turn[:, j]] = True
+            renew()
+        for n, b in enumerate(np.argsort(-bound.max(axis=0), kind="stable").tolist() if blocks > ahead else [], 1):
+            on = np.flatnonzero(~done[:, b] & reached(b))
+            if len(on):
+                score(b, on)
+            if n % RENEW == 0:
+                renew()
+        renew()
+        q, s, i = top
+        return (qids[q], i, s), many
+
+    def _by_query(self, qids: np.ndarray, asked: np.ndarray, docs: np.ndarray, bound: np.ndarray, k: int, floors: np.ndarray) -> tuple[tuple, np.ndarray]:
+        """The same for sums beyond a long, in Python's integers."""
         turn = np.argsort(-bound, axis=1, kind="stable")
         out, scored = [], np.zeros(len(qids), np.int64)
         for q, own in enumerate(qids.tolist()):
             top: list[tuple] = []
-            kth = None if floors is None else floors[q]
+            kth = None if floors[q] == LEAST else int(floors[q])
             for b in turn[q].tolist():
                 if kth is not None and bound[q, b] < kth:
                     break
@@ -82,17 +149,24 @@ class Segment:
                     if len(top) == k:
                         kth = -top[-1][0] if kth is None else max(kth, -top[-1][0])
             out += [(own, i, min(MOST, max(LEAST, -x))) for x, i in top]
-        return out, scored
+        return tuple(np.array([o[i] for o in out], np.int64) for i in range(3)), scored
 
 
 def search_segment(ids: np.ndarray, docs: np.ndarray, qids: np.ndarray, queries: np.ndarray, k: int) -> tuple[list, int]:
     """Best k of one segment for some queries, and how many blocks were scored in all."""
     found, scored = Segment.of(ids, docs).search(qids, queries, k)
-    return found, int(scored.sum())
+    return list(zip(*(x.tolist() for x in found), strict=True)), int(scored.sum())
 
 
-def _matrix(raw: bytes, dim: int) -> np.ndarray:
-    return np.frombuffer(raw, "<i8").reshape(-1, dim)
+def _narrow(*arrays: np.ndarray) -> tuple[str, list[bytes]]:
+    """The shortest integers that hold all of the arrays, and the arrays so written."""
+    ends = [int(e) for a in arrays if a.size for e in (a.min(), a.max())]
+    kind = next(x for x in ("<i2", "<i4", "<i8") if all(np.iinfo(x).min <= e <= np.iinfo(x).max for e in ends))
+    return kind, [a.astype(kind).tobytes() for a in arrays]
+
+
+def _matrix(raw: bytes, dim: int, kind: str) -> np.ndarray:
+    return np.frombuffer(raw, kind).reshape(-1, dim)
 
 
 def _pack(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -101,14 +175,15 @@ def _pack(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     def packed(rows: pd.DataFrame, dim: int) -> pd.DataFrame:
         docs = np.stack(rows["terms"].to_numpy()).astype("<i8").reshape(len(rows), dim)
         seg = Segment.of(rows["vec_id"].to_numpy("<i8"), docs, rows["copies"].to_numpy("<i8"))
-        blobs = {c: [getattr(seg, c).astype("<i8").tobytes()] for c in ("ids", "copies", "docs", "most", "least")}
-        return pd.DataFrame({"seg": [int(rows["seg"].iloc[0])], "dim": [dim], **blobs})
+        kind, blobs = _narrow(seg.docs, seg.most, seg.least)
+        own = {c: [getattr(seg, c).astype("<i8").tobytes()] for c in ("ids", "copies")}
+        return pd.DataFrame({"seg": [int(rows["seg"].iloc[0])], "dim": [dim], "kind": [kind], **own, **{c: [x] for c, x in zip(("docs", "most", "least"), blobs, strict=True)}})
 
     held: dict[int, list[pd.DataFrame]] = {}
     for part in parts:
         for dim, rows in part.groupby("dim", sort=True):
             held.setdefault(int(dim), []).append(rows)
-            if sum(map(len, held[int(dim)])) >= SEGMENT:
+            if sum(map(len, held[int(dim)])) >= min(SEGMENT, max(BLOCK, CELLS // int(dim))):
                 yield packed(pd.concat(held.pop(int(dim))), int(dim))
     for dim, rows in held.items():
         yield packed(pd.concat(rows), dim)
@@ -120,18 +195,28 @@ def _gather(*keys: str):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("vec_id")
         own = {k: [int(pdf[k].iloc[0])] for k in keys}
-        known = {"floors": [pdf["kth"].tolist()], "firsts": [pdf["first"].tolist()]}
-        return pd.DataFrame({**own, "qids": [pdf["vec_id"].to_numpy("<i8").tobytes()], "queries": [np.stack(pdf["terms"].to_numpy()).astype("<i8").tobytes()], **known})
+        kind, (queries,) = _narrow(np.stack(pdf["terms"].to_numpy()))
+        known = {name: [pdf[c].to_numpy("<i8").tobytes()] for name, c in (("qids", "vec_id"), ("floors", "kth"), ("firsts", "first"))}
+        return pd.DataFrame({**own, "asked": [kind], "queries": [queries], **known})
 
     return run
 
 
 def _promise(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """The best bound of each query in each segment."""
+    """The best bound of each query in the segments that a task meets, and the first segment that has it."""
+    best: dict[tuple, tuple] = {}
     for part in parts:
         for row in part.itertuples(index=False):
-            most = bounds(_matrix(row.queries, row.dim).astype(float), _matrix(row.most, row.dim).astype(float), _matrix(row.least, row.dim).astype(float)).max(axis=1)
-            yield pd.DataFrame({"vec_id": np.frombuffer(row.qids, "<i8"), "seg": row.seg, "bound": most})
+            queries, most, least = _matrix(row.queries, row.dim, row.asked), _matrix(row.most, row.dim, row.kind), _matrix(row.least, row.dim, row.kind)
+            bound = np.concatenate([bounds(queries[lo : lo + TOGETHER].astype(float), most.astype(float), least.astype(float)).max(axis=1) for lo in range(0, len(queries), TOGETHER)])
+            seg, key = np.full(len(bound), row.seg, np.int64), (row.dim, row.qids)
+            if key in best:
+                had, where = best[key]
+                better = (bound > had) | ((bound == had) & (seg < where))
+                bound, seg = np.where(better, bound, had), np.where(better, seg, where)
+            best[key] = bound, seg
+    for (_, qids), (bound, seg) in best.items():
+        yield pd.DataFrame({"vec_id": np.frombuffer(qids, "<i8"), "seg": seg.astype(np.int32), "bound": bound})
 
 
 def _search(k: int, first: bool, count: bool = False):
@@ -140,46 +225,54 @@ def _search(k: int, first: bool, count: bool = False):
     def run(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for part in parts:
             for row in part.itertuples(index=False):
-                qids, queries = np.frombuffer(row.qids, "<i8"), _matrix(row.queries, row.dim)
-                on = np.array([(f == row.seg) == first for f in row.firsts])
-                floors = [None if x is None or np.isnan(float(x)) else int(x) for x, o in zip(row.floors, on, strict=True) if o]
-                seg = Segment(*(np.frombuffer(x, "<i8") for x in (row.ids, row.copies)), *(_matrix(x, row.dim) for x in (row.docs, row.most, row.least)))
-                found, scored = seg.search(qids[on], queries[on], k, floors)
+                qids, floors, firsts = (np.frombuffer(x, "<i8") for x in (row.qids, row.floors, row.firsts))
+                on = (firsts == row.seg) == first
+                seg = Segment(*(np.frombuffer(x, "<i8") for x in (row.ids, row.copies)), *(_matrix(x, row.dim, row.kind) for x in (row.docs, row.most, row.least)))
+                found, scored = seg.search(qids[on], _matrix(row.queries, row.dim, row.asked)[on], k, floors[on])
                 if count:
                     yield pd.DataFrame({"query_id": qids[on], "blocks": len(seg.most), "scored": scored})
                 else:
-                    yield pd.DataFrame(found, columns=["query_id", "vec_id", "score"]).astype("int64")
+                    yield pd.DataFrame(dict(zip(("query_id", "vec_id", "score"), found, strict=True)))
 
     return run
 
 
+def _parts(total: int) -> int:
+    """Ranges that documents are cut into."""
+    return max(1, -(-total // SEGMENT), min(SPREAD, -(-total // LITTLE)))
+
+
 def _rounds(vectors: DataFrame, is_query: str, k: int, scale: int, count: bool = False) -> DataFrame:
     session_defaults(vectors.sparkSession)
     terms = quantised(vectors, scale).withColumn("dim", F.size("terms")).filter("dim > 0")
     rows = save(terms.groupBy("vec_id", "dim", "terms").agg(F.count("*").alias("copies")), "terms")
     total, n_asked = rows.count(), rows.filter(is_query).count()
-    ranged = rows.repartitionByRange(max(1, -(-total // SEGMENT)), "vec_id", F.xxhash64("terms")).sortWithinPartitions("vec_id", "terms")
+    ranged = rows.repartitionByRange(_parts(total), "vec_id", F.xxhash64("terms")).sortWithinPartitions("vec_id", "terms")
     index = save(ranged.withColumn("seg", F.spark_partition_id()).mapInPandas(_pack, INDEX), "index")
     last = index.agg(F.max("seg")).first()[0] or 0
+    wide = max(1, min(TILE, last // 64))
+    index = index.withColumn("tile", F.expr(f"seg div {wide}").cast("int"))
 
     asked = rows.filter(is_query).groupBy("vec_id").agg(F.min("terms").alias("terms")).withColumn("dim", F.size("terms"))
-    asked = asked.withColumn("grp", F.pmod(F.xxhash64(F.lit(7), "vec_id"), F.lit(max(1, -(-n_asked // QUERIES)))).cast("int"))
-    plain = asked.withColumn("kth", F.lit(None).cast("long")).withColumn("first", F.lit(None).cast("int"))
-    shape = "dim int, qids binary, queries binary, floors array<long>, firsts array<int>"
-    everywhere = F.explode(F.sequence(F.lit(0), F.lit(last))).alias("seg")
+    asked = asked.withColumn("grp", F.pmod(F.xxhash64(F.lit(7), "vec_id"), F.lit(max(1, -(-n_asked // QUERIES)))).cast("int")).withColumn("kth", F.lit(LEAST))
+    everywhere = F.explode(F.sequence(F.lit(0), F.lit(last // wide))).alias("tile")
 
-    groups = plain.groupBy("grp", "dim").applyInPandas(_gather("grp", "dim"), f"grp int, {shape}")
-    promised = groups.select("dim", "qids", "queries", everywhere).join(index.select("seg", "dim", "most", "least"), ["seg", "dim"]).mapInPandas(_promise, "vec_id long, seg int, bound double")
+    # every join is a merge: what is joined grows with the table, so none of it may be gathered on the driver for a broadcast
+    groups = asked.withColumn("first", F.lit(-1)).groupBy("grp", "dim").applyInPandas(_gather("grp", "dim"), f"grp int, {ASKED}")
+    blocks = index.select("tile", "seg", "dim", "kind", "most", "least")
+    promised = groups.drop("grp").select("*", everywhere).join(blocks.hint("merge"), ["tile", "dim"]).mapInPandas(_promise, "vec_id long, seg int, bound double")
     firsts = save(promised.groupBy("vec_id").agg(F.max_by("seg", F.struct("bound", -F.col("seg"))).alias("first")), "firsts")
 
-    known = asked.join(firsts, "vec_id").withColumn("kth", F.lit(None).cast("long"))
-    own = known.withColumn("seg", F.col("first")).groupBy("seg", "grp", "dim").applyInPandas(_gather("seg", "dim"), f"seg int, {shape}")
-    met = own.join(index, ["seg", "dim"])
+    known = asked.join(firsts.hint("merge"), "vec_id")
+    shares = firsts.groupBy("first").agg(F.ceil(F.count("*") / QUERIES).alias("shares"))
+    shared = known.join(shares.hint("merge"), "first").withColumn("share", F.expr("pmod(xxhash64(7, vec_id), shares)").cast("int"))
+    own = shared.withColumn("seg", F.col("first")).groupBy("seg", "share", "dim").applyInPandas(_gather("seg", "dim", "share"), f"seg int, share int, {ASKED}")
+    met = own.join(index.hint("merge"), ["seg", "dim"]).repartition("seg", "share")
     answer = "query_id long, blocks long, scored long" if count else "query_id long, vec_id long, score long"
     near = save(met.mapInPandas(_search(k, True), "query_id long, vec_id long, score long"), "near")
     kth = near.groupBy("query_id").agg(F.sort_array(F.collect_list("score"), asc=False).alias("s")).select(F.col("query_id").alias("vec_id"), F.get("s", F.lit(k - 1)).alias("kth"))
-    again = known.drop("kth").join(kth, "vec_id", "left").groupBy("grp", "dim").applyInPandas(_gather("grp", "dim"), f"grp int, {shape}")
-    rest = again.select("dim", "qids", "queries", "floors", "firsts", everywhere).join(index, ["seg", "dim"]).mapInPandas(_search(k, False, count), answer)
+    again = known.drop("kth").join(kth.hint("merge"), "vec_id", "left").withColumn("kth", F.coalesce("kth", F.lit(LEAST))).groupBy("grp", "dim").applyInPandas(_gather("grp", "dim"), f"grp int, {ASKED}")
+    rest = again.drop("grp").select("*", everywhere).join(index.hint("merge"), ["tile", "dim"]).mapInPandas(_search(k, False, count), answer)
     return met.mapInPandas(_search(k, True, True), answer).union(rest) if count else near.union(rest)
 
 

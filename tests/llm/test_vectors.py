@@ -76,6 +76,43 @@ def test_kth_score_prunes_other_segments(spark, monkeypatch):
     assert len(got) == 16 and (got["scored"] < got["blocks"] / 2).all() and (got["blocks"] >= 100).all()
 
 
+def test_nothing_is_gathered_for_a_broadcast_and_queries_meet_few_rows(spark, monkeypatch):
+    """What reaches the driver must not grow with the table, nor queries be written once for each segment."""
+    monkeypatch.setattr(K, "SEGMENT", 16)
+    monkeypatch.setattr(K, "SPREAD", 1, raising=False)
+    rng = np.random.default_rng(5)
+    rows = [(i, rng.normal(size=4).tolist(), 0, "x") for i in range(5000)]
+    plans, dealt, save = [], [], K.save
+
+    def seen(df, tag):
+        plans.append(df._jdf.queryExecution().executedPlan().toString())
+        got = save(df, tag)
+        if tag == "index":
+            dealt.append(got.count())
+        return got
+
+    monkeypatch.setattr(K, "save", seen)
+    out = K.top_k(frame(spark, rows))
+    got = {}
+    for r in out.collect():
+        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
+    assert {q: sorted(v) for q, v in got.items()} == brute_top(rows) and dealt[0] > 64
+    plans.append(out._jdf.queryExecution().executedPlan().toString())
+    assert not any("BroadcastExchange" in p for p in plans) and any("SortMergeJoin" in p for p in plans)
+
+
+@pytest.mark.parametrize("most", [100, 1 << 20, 1 << 28, 1 << 40])
+def test_sums_are_exact_in_every_kind_of_number(most):
+    rng = np.random.default_rng(most % 97)
+    docs, asked, ids = rng.integers(-most, most, (700, 4)), rng.integers(-most, most, (9, 4)), np.arange(700)
+    kinds = {100: np.float32, 1 << 20: np.float64, 1 << 28: np.int64, 1 << 40: object}
+    assert K._kind(asked, docs) is kinds[most]
+    found, _ = K.search_segment(ids, docs, np.arange(9), asked, 5)
+    for q in range(9):
+        best = sorted((-sum(int(a) * int(b) for a, b in zip(asked[q], docs[i], strict=True)), i) for i in range(700) if i != q)[:5]
+        assert [(i, s) for o, i, s in found if o == q] == [(i, min(K.MOST, max(K.LEAST, -s))) for s, i in best]
+
+
 def test_bounds_skip_blocks():
     docs = np.sort(RNG.integers(-300, 300, (4096, 1)), axis=0) * np.ones((1, 4), int)
     found, scored = K.search_segment(np.arange(4096), docs, np.array([-1]), np.array([[1, 1, 1, 1]]), 5)
