@@ -22,6 +22,8 @@ HEAD_WORDS, HEAD_CHARS = 1 << 18, 64
 GROUP_BYTES, HELD_WORDS = 1 << 20, 300_000
 #: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 150 KB, as the JVM keeps arrays of 512 KB apart.
 STEP_WORDS, SENT_WORDS, SENT_PLACES = 25_000, 128, 20_000
+#: Rows of lattices that are made at once, unless their words have more characters than this: edges take much more room.
+MADE_ROWS, MADE_CHARS = 8, 16_384
 #: Steps to a power of two by which words are told apart by frequency.
 STEPS = 16
 #: Characters of a word that are exploded from one row, and edges or places that are folded together.
@@ -201,7 +203,7 @@ class PieceTable:
         lone = np.flatnonzero(~single)
         got.append((lone + 1, lone, np.full(len(lone), -1, np.int32), np.full(len(lone), self.worst)))
         e, s, i, w = (np.concatenate(x) for x in zip(*got, strict=True))
-        order = np.lexsort((s, e))
+        order = np.argsort(e * (len(code) + 1) + s)  # no two edges have both ends in common
         e, s, i, w = e[order], s[order], i[order], w[order]
         first = begin[s]
         many = np.bincount(np.repeat(np.arange(len(words)), size)[s], minlength=len(words))
@@ -304,11 +306,16 @@ def _ids(paths: pa.Array, unknown: dict[int, str], pieces: Pieces) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), pa.array(ids, pa.int32()))
 
 
-def _coded(texts: pa.Array, known: pa.Array, newline: bool, stops: list[str]) -> tuple[pa.DictionaryArray, np.ndarray, np.ndarray, np.ndarray]:
+def _strings(words: pa.Array) -> list[str]:
+    """Words as Python's strings; ``to_pylist`` makes a scalar of each first."""
+    return words.to_numpy(zero_copy_only=False).tolist()
+
+
+def _coded(texts: pa.Array, known: dict[str, int], newline: bool, stops: list[str]) -> tuple[pa.DictionaryArray, np.ndarray, np.ndarray, np.ndarray]:
     """Words of texts by number, words a text, and for each distinct word its place among the known ones or, below 0, none; and the unknown ones."""
     words, counts = words_of(texts, newline, stops)
     coded = words.dictionary_encode()
-    place = pc.fill_null(pc.index_in(coded.dictionary, known), -1).to_numpy().astype(np.int64)
+    place = np.fromiter((known.get(w, -1) for w in _strings(coded.dictionary)), np.int64, len(coded.dictionary))
     return coded, counts, place, np.flatnonzero(place < 0)
 
 
@@ -318,15 +325,20 @@ def _sender(head, pieces: Pieces):
     table, (newline, stops) = PieceTable(pieces), _plan(pieces)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = head.value
+        known = {w: k for k, w in enumerate(_strings(head.value))}  # once a task; Arrow would hash the whole head again for every group
         lattices = pa.list_(pa.list_(pa.struct([("e", pa.int32()), ("s", pa.int32()), ("w", pa.float64()), ("c", pa.int64())])))
         schema = pa.schema([("words", lattices), ("pack", pa.binary())])
         for group in _grouped(batches):
             coded, counts, place, rare = _coded(group.column(1).combine_chunks(), known, newline, stops)
             own = coded.dictionary.take(pa.array(rare))
-            for at in range(0, len(rare), SENT_WORDS):
-                made = table.edges(own.slice(at, SENT_WORDS).to_pylist())
-                yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array([0, len(made)], pa.int32()), made).cast(lattices), pa.nulls(1, pa.binary())], schema=schema)
+            lo = 0
+            while lo < len(rare):
+                some = _strings(own.slice(lo, SENT_WORDS * MADE_ROWS))
+                many = table.edges(some if sum(map(len, some)) <= MADE_CHARS else some[:SENT_WORDS])
+                lo += len(many)
+                for at in range(0, len(many), SENT_WORDS):
+                    made = many.slice(at, SENT_WORDS)
+                    yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array([0, len(made)], pa.int32()), made).cast(lattices), pa.nulls(1, pa.binary())], schema=schema)
             place[rare] = np.arange(len(rare)) + len(known)
             index, ends, docs, lo = coded.indices.to_numpy(), np.concatenate([[0], np.cumsum(counts)]), group.combine_chunks(), 0
             packs = [(place.astype(np.int32), _unknown(own, pieces))]
@@ -350,7 +362,8 @@ def forget(shared) -> None:
 
 def _unknown(words: pa.Array, pieces: Pieces) -> dict[int, str]:
     """Words by number that have a character that is no piece."""
-    return {k: w for k, w in enumerate(words.to_pylist()) if any(c not in pieces.text for c in w)}
+    single = {p for p in pieces.text if len(p) == 1}
+    return {k: w for k, w in enumerate(_strings(words)) if not single.issuperset(w)}
 
 
 def _packed(table: pa.Table) -> bytes:

@@ -188,3 +188,35 @@ def test_groups_stay_near_their_size_however_large_a_batch():
     groups = list(K._grouped(iter([batch, batch.slice(0, 0), batch.slice(100, 2)])))
     assert [r for g in groups for r in g.column("text").to_pylist()] == [*texts, None, ""]
     assert all(g.num_rows == 1 or g.nbytes <= K.GROUP_BYTES + 4096 for g in groups) and len(groups) < 12
+
+
+def test_head_is_hashed_once_a_task(monkeypatch):
+    """Groups of documents look their words up in one table; none of them hashes the whole head again."""
+    import pickle
+    from types import SimpleNamespace
+
+    import pyarrow as pa
+
+    def again(*_, **__):
+        raise AssertionError("the head was hashed for a group")
+
+    pieces = K.Pieces.load(MODEL)
+    monkeypatch.setattr(K, "GROUP_BYTES", 64)
+    monkeypatch.setattr(K.pc, "index_in", again)
+    head = pa.array([K.BLANK + "the", K.BLANK + "cat"])
+    batch = pa.RecordBatch.from_arrays([pa.array(range(20)), pa.array(["the cat qzx" + "j" * (i % 3) for i in range(20)])], ["doc_id", "text"])
+    rows = [r for b in K._sender(SimpleNamespace(value=head, _value=head), pieces)(iter([batch])) for r in b.to_pylist()]
+    packs = [p for p in (pickle.loads(r["pack"]) for r in rows if r["pack"]) if len(p) == 2]
+    assert len(packs) > 3 and all({0, 1} < set(p[0].tolist()) and max(p[0]) >= 2 for p in packs)
+
+
+def test_lattices_of_many_words_are_those_of_each(spark):
+    pieces = K.Pieces.load(MODEL)
+    rng = np.random.default_rng(7)
+    words = [K.BLANK + "".join(rng.choice(list("etaoinsh漢"), rng.integers(1, 30))) for _ in range(300)] + ["a" * 3000]
+    table = K.PieceTable(pieces)
+    got = table.edges(words).to_pylist()
+    assert got == [table.edges([w]).to_pylist()[0] for w in words]
+    assert all([(x["e"], x["s"]) for x in g] == sorted({(x["e"], x["s"]) for x in g}) for g in got)
+    df = spark.createDataFrame([(i, w.replace(K.BLANK, "")) for i, w in enumerate(words)] + [(999, " ".join(w.replace(K.BLANK, "") for w in words))], "doc_id long, text string")
+    assert {r["doc_id"]: r["ids"] for r in K.encode(df, pieces).collect() if r["doc_id"] < 301} == {i: best(K.BLANK + w.replace(K.BLANK, ""), pieces) for i, w in enumerate(words)}
