@@ -22,6 +22,8 @@ HEAD_WORDS, HEAD_CHARS = 1 << 18, 64
 GROUP_BYTES, HELD_WORDS = 1 << 20, 300_000
 #: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 150 KB, as the JVM keeps arrays of 512 KB apart.
 STEP_WORDS, SENT_WORDS, SENT_PLACES = 25_000, 128, 20_000
+#: Longest word outside the head whose lattice is sent place by place, and characters of such words in a row; longer words are sent edge by edge.
+SHORT_CHARS, SENT_CHARS = 64, 3_000
 #: Rows of lattices that are made at once, unless their words have more characters than this: edges take much more room.
 MADE_ROWS, MADE_CHARS = 8, 16_384
 #: Steps to a power of two by which words are told apart by frequency.
@@ -175,15 +177,15 @@ class PieceTable:
         at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
         return at, keys[at] == h
 
-    def edges(self, words: list[str]) -> pa.Array:
-        """Edges of each word's lattice by end, then start, as :func:`lattice` makes them of one word.
+    def found(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Characters of each word, and end, start, id and score of all edges, places being counted over all words; longer edges come later.
 
         Every place begins substrings of growing length, exploded a length at a time while some piece begins
-        so; those found in the table of that length (an equi-join on the hash) are edges, grouped by word.
+        so; those found in the table of that length (an equi-join on the hash) are edges.
         """
         code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
         size = np.fromiter(map(len, words), np.int64, len(words))
-        begin, end = np.repeat(np.cumsum(size) - size, size), np.repeat(np.cumsum(size), size)
+        end = np.repeat(np.cumsum(size), size)
         at, h = np.arange(len(code)), np.zeros(len(code), np.uint64)
         single, got = np.zeros(len(code), bool), []
         for length in range(1, max(self.starts, default=0) + 1):
@@ -201,15 +203,36 @@ class PieceTable:
             if not len(at):
                 break
         lone = np.flatnonzero(~single)
-        got.append((lone + 1, lone, np.full(len(lone), -1, np.int32), np.full(len(lone), self.worst)))
+        got.insert(0, (lone + 1, lone, np.full(len(lone), -1, np.int32), np.full(len(lone), self.worst)))
         e, s, i, w = (np.concatenate(x) for x in zip(*got, strict=True))
-        order = np.argsort(e * (len(code) + 1) + s)  # no two edges have both ends in common
+        return size, e, s, i, w
+
+    def edges(self, words: list[str]) -> pa.Array:
+        """Edges of each word's lattice by end, then start, as :func:`lattice` makes them of one word: those found, grouped by word."""
+        size, e, s, i, w = self.found(words)
+        begin = np.repeat(np.cumsum(size) - size, size)
+        order = np.argsort(e * (len(begin) + 1) + s)  # no two edges have both ends in common
         e, s, i, w = e[order], s[order], i[order], w[order]
         first = begin[s]
         many = np.bincount(np.repeat(np.arange(len(words)), size)[s], minlength=len(words))
         flat = [pa.array((e - first).astype(np.int32)), pa.array((s - first).astype(np.int32)), pa.array(w), pa.array(((s - first) << 32) + i + 1)]
         return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(many)]), pa.int32()), pa.StructArray.from_arrays(flat, ["e", "s", "w", "c"]))
 
+    def places(self, words: list[str]) -> tuple[pa.Array, tuple]:
+        """The same edges grouped by word and the place where they end: scores by length, the longest first, -inf for a length
+        without a piece. Beside them what :func:`_back` needs: characters of words, lengths of places, scores and ids."""
+        size, e, s, i, w = self.found(words)
+        longest = np.zeros(int(size.sum()), np.int64)
+        longest[e - 1] = e - s  # the last one written stays
+        ends = np.cumsum(longest)
+        at = ends[e - 1] - (e - s)
+        scores, ids = np.full(int(longest.sum()), -np.inf), np.full(int(longest.sum()), -1, np.int32)
+        scores[at], ids[at] = w, i
+        lists = pa.array(scores)
+        for many in (longest, size):
+            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(many)]), pa.int32()), lists)
+        return lists, (size, longest, scores, ids)
+
 
 def piece_table(spark: SparkSession, pieces: Pieces) -> DataFrame:
     """The vocabulary as a relation, ``piece, id, w``; its size is that of the model."""
@@ -258,6 +281,37 @@ def _fold(longest: int) -> str:
     return f"if(size(edges) <= {CHUNK}, {short}, {nested})"
 
 
+def _scores() -> str:
+    """The same recurrence over a word's places, as :meth:`PieceTable.places` groups edges: the highest score up to each place, the
+    first one's 0 included. It keeps one array and makes no struct, which costs Spark more than all else in a step of :func:`_fold`."""
+    return "aggregate(places, array(0D), (b, ws) -> array_append(b, array_max(transform(ws, (w, k) -> b[k + size(b) - size(ws)] + w))))"
+
+
+def _back(top: np.ndarray, size: np.ndarray, longest: np.ndarray, scores: np.ndarray, ids: np.ndarray) -> pa.Array:
+    """Best paths of words from their places' highest scores: the longest edge that attains a place's score leads there, and
+    the words' last places lead back; codes as :func:`lattice` gives them."""
+    word = np.repeat(np.arange(len(size)), size)
+    place, end = np.repeat(np.arange(len(word)), longest), np.cumsum(longest)
+    length = end[place] - np.arange(len(place))
+    here = place + word[place] + 1  # a word has one score more than places
+    hits = np.flatnonzero(top[here - length] + scores == top[here])
+    hits = hits[np.diff(place[hits], prepend=-1) > 0]
+    if len(hits) != len(word):
+        raise ValueError("scores of a word do not belong to its lattice")
+    reach, first = length[hits], np.cumsum(size) - size
+    used, at, low = np.zeros(len(word), bool), first + size - 1, first
+    while len(at):
+        used[at] = True
+        at = at - reach[at]
+        on = at >= low
+        at, low = at[on], low[on]
+    kept = np.flatnonzero(used)
+    start = kept + 1 - reach[kept] - first[word[kept]]
+    many = np.bincount(word[kept], minlength=len(size))
+    codes = (start << 32) + ids[hits[kept]] + 1
+    return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(many)]), pa.int32()), pa.array(codes, pa.int64()))
+
+
 def _chunks(array: str) -> str:
     return f"transform(sequence(0, (size({array}) - 1) div {CHUNK}), c -> slice({array}, c * {CHUNK} + 1, {CHUNK}))"
 
@@ -320,25 +374,37 @@ def _coded(texts: pa.Array, known: dict[str, int], newline: bool, stops: list[st
 
 
 def _sender(head, pieces: Pieces):
-    """Groups of documents: rows of lattices of the words that are not in the head, then a row that tells where each distinct word's ids are,
+    """Groups of documents: rows of lattices of the words that are not in the head, short ones first, then a row that tells where each distinct word's ids are,
     then rows of texts with their words by number. Rows are kept small, a text apart from others being one row at least."""
     table, (newline, stops) = PieceTable(pieces), _plan(pieces)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known = {w: k for k, w in enumerate(_strings(head.value))}  # once a task; Arrow would hash the whole head again for every group
         lattices = pa.list_(pa.list_(pa.struct([("e", pa.int32()), ("s", pa.int32()), ("w", pa.float64()), ("c", pa.int64())])))
-        schema = pa.schema([("words", lattices), ("pack", pa.binary())])
+        by_place = pa.list_(pa.list_(pa.list_(pa.float64())))
+        schema = pa.schema([("words", lattices), ("places", by_place), ("pack", pa.binary())])
+
+        def row(words: pa.Array | None = None, places: pa.Array | None = None, pack: tuple | None = None) -> pa.RecordBatch:
+            lists = [pa.nulls(1, t) if x is None else pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x).cast(t) for x, t in ((words, lattices), (places, by_place))]
+            return pa.RecordBatch.from_arrays([*lists, pa.array([pack and pickle.dumps(pack, protocol=5)], pa.binary())], schema=schema)
+
         for group in _grouped(batches):
             coded, counts, place, rare = _coded(group.column(1).combine_chunks(), known, newline, stops)
+            size = pc.utf8_length(coded.dictionary).to_numpy(zero_copy_only=False)[rare]
+            rare, size = (np.concatenate([x[size <= SHORT_CHARS], x[size > SHORT_CHARS]]) for x in (rare, size))
             own = coded.dictionary.take(pa.array(rare))
-            lo = 0
+            ends, short, lo = np.cumsum(size, dtype=np.int64), int(np.count_nonzero(size <= SHORT_CHARS)), 0
+            while lo < short:
+                hi = min(short, max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + SENT_CHARS, "right"))))
+                places, sent = table.places(_strings(own.slice(lo, hi - lo)))
+                yield row(places=places, pack=sent)
+                lo = hi
             while lo < len(rare):
                 some = _strings(own.slice(lo, SENT_WORDS * MADE_ROWS))
                 many = table.edges(some if sum(map(len, some)) <= MADE_CHARS else some[:SENT_WORDS])
                 lo += len(many)
                 for at in range(0, len(many), SENT_WORDS):
-                    made = many.slice(at, SENT_WORDS)
-                    yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array([0, len(made)], pa.int32()), made).cast(lattices), pa.nulls(1, pa.binary())], schema=schema)
+                    yield row(words=many.slice(at, SENT_WORDS))
             place[rare] = np.arange(len(rare)) + len(known)
             index, ends, docs, lo = coded.indices.to_numpy(), np.concatenate([[0], np.cumsum(counts)]), group.combine_chunks(), 0
             packs = [(place.astype(np.int32), _unknown(own, pieces))]
@@ -347,7 +413,7 @@ def _sender(head, pieces: Pieces):
                 packs.append((_packed(docs.slice(lo, hi - lo)), counts[lo:hi], index[ends[lo] : ends[hi]]))
                 lo = hi
             for pack in packs:
-                yield pa.RecordBatch.from_arrays([pa.nulls(1, lattices), pa.array([pickle.dumps(pack, protocol=5)], pa.binary())], schema=schema)
+                yield row(pack=pack)
         forget(head)
 
     return run
@@ -382,12 +448,14 @@ def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
         paths: list[pa.Array] = []
         group: tuple = ()
         for batch in batches:
-            for words, pack in zip(batch.column(0), batch.column(1), strict=True):
+            for words, top, pack in zip(*batch.columns, strict=True):
                 if not pack.is_valid:
                     paths.append(words.values)
                     continue
                 sent = pickle.loads(pack.as_buffer())
-                if len(sent) == 2:
+                if top.is_valid:
+                    paths.append(_back(_flat(top.values)[0], *sent))
+                elif len(sent) == 2:
                     group, paths = gathered(*sent, paths), []
                     lean()
                 else:
@@ -399,6 +467,7 @@ def _encode(head, pieces: Pieces, decoded: bool, names: list[str]):
         known = head.value
         own = _ids(pa.concat_arrays(paths) if paths else pa.array([], pa.list_(pa.int64())), unknown, pieces)
         used, rare = np.flatnonzero(place < len(known)), np.flatnonzero(place >= len(known))
+        rare = rare[np.argsort(place[rare])]  # short words were sent first
         if len(rare) != len(own):
             raise ValueError("a group of documents did not get the words it asked for")
         flat, many = _flat(pa.concat_arrays([known.take(pa.array(place[used])), own]))
@@ -451,8 +520,8 @@ def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
 
     The distinct words of the head (:func:`frequent`), most of what texts consist of, go through :func:`lattice` once, and their ids are broadcast.
     The others are met group by group of documents, some ``GROUP_BYTES`` each: their edges are exploded and joined in
-    Arrow, since Spark would sort some 26 rows for each of them, and the same folds find their paths. So neither texts nor rare words are shuffled,
-    and no word is too long or too rare. Blanks become the blank sign and one is put before the text, as in the library.
+    Arrow, since Spark would sort some 26 rows for each of them, and folds find their paths: over places those of words of up to ``SHORT_CHARS``, over
+    edges, as in the head, those of longer ones. So neither texts nor rare words are shuffled, and no word is too long or too rare. Blanks become the blank sign and one is put before the text, as in the library.
 
     Reads ``doc_id, text``; other columns are ignored. Null and empty texts have no ids; a null doc_id
     is kept, and rows that repeat one are encoded each for itself.
@@ -463,8 +532,9 @@ def encode(docs: DataFrame, pieces: Pieces, decoded: bool = False) -> DataFrame:
     top = best.select("word", "path").toArrow().combine_chunks()
     words, paths = (c.chunk(0) if c.num_chunks else pa.array([], c.type) for c in top.columns)
     heads, ids = spark.sparkContext.broadcast(words), spark.sparkContext.broadcast(_ids(paths, _unknown(words, pieces), pieces))
-    sent = docs.select("doc_id", "text").mapInArrow(_sender(heads, pieces), "words array<array<struct<e:int,s:int,w:double,c:bigint>>>, pack binary")
-    folded = sent.select(F.expr(f"transform(transform(words, edges -> {_fold(pieces.longest())}), best -> {_walk()})").alias("paths"), "pack")
+    sent = docs.select("doc_id", "text").mapInArrow(_sender(heads, pieces), "words array<array<struct<e:int,s:int,w:double,c:bigint>>>, places array<array<array<double>>>, pack binary")
+    paths = F.expr(f"transform(transform(words, edges -> {_fold(pieces.longest())}), best -> {_walk()})").alias("paths")
+    folded = sent.select(paths, F.expr(f"transform(places, places -> {_scores()})").alias("top"), "pack")
     schema = f"doc_id {dict(docs.dtypes)['doc_id']}, text string, ids array<int>" + ", decoded string" * decoded
     return folded.mapInArrow(_encode(ids, pieces, decoded, ["doc_id", "text", "ids", "decoded"][: 3 + decoded]), schema)
 

@@ -220,3 +220,46 @@ def test_lattices_of_many_words_are_those_of_each(spark):
     assert all([(x["e"], x["s"]) for x in g] == sorted({(x["e"], x["s"]) for x in g}) for g in got)
     df = spark.createDataFrame([(i, w.replace(K.BLANK, "")) for i, w in enumerate(words)] + [(999, " ".join(w.replace(K.BLANK, "") for w in words))], "doc_id long, text string")
     assert {r["doc_id"]: r["ids"] for r in K.encode(df, pieces).collect() if r["doc_id"] < 301} == {i: best(K.BLANK + w.replace(K.BLANK, ""), pieces) for i, w in enumerate(words)}
+
+
+def test_short_words_are_folded_by_place(spark, monkeypatch):
+    """Short words outside the head go through a fold without structs, long ones through that over edges; both give the best path."""
+    import pickle
+    from types import SimpleNamespace
+
+    import pyarrow as pa
+
+    pieces = K.Pieces.load(MODEL)
+    rng = np.random.default_rng(11)
+    words = ["".join(rng.choice(list("etaoinsh漢é\U0001f600"), rng.integers(1, 40))) for _ in range(400)] + ["e" * 63, "e" * 64, "t" * 300, "漢", "the"]
+    want = {i: best(K.BLANK + w, pieces) for i, w in enumerate(words)}
+    df = spark.createDataFrame([*enumerate(words), (9999, " ".join(words))], "doc_id long, text string").coalesce(1)
+    monkeypatch.setattr(K, "HEAD_WORDS", 2)
+    monkeypatch.setattr(K, "SENT_CHARS", 100)
+    for chars in (64, 12):
+        monkeypatch.setattr(K, "SHORT_CHARS", chars)
+        got = {r["doc_id"]: r["ids"] for r in K.encode(df, pieces).collect()}
+        assert got.pop(9999) == [i for d in want.values() for i in d] and got == want
+    monkeypatch.setattr(K, "SHORT_CHARS", 64)
+    batch = pa.RecordBatch.from_arrays([pa.array([0]), pa.array([" ".join(words)])], ["doc_id", "text"])
+    head = pa.array([], pa.string())
+    rows = [r for b in K._sender(SimpleNamespace(value=head, _value=head), pieces)(iter([batch])) for r in b.to_pylist()]
+    by_edge = [len(w) for r in rows if r["words"] for w in r["words"]]
+    assert len(by_edge) == 2 and sum(len(r["places"]) for r in rows if r["places"]) == len({*words}) - 2
+    assert all(sum(map(len, r["places"])) <= 100 or len(r["places"]) == 1 for r in rows if r["places"])
+    assert all(len(pickle.loads(r["pack"])) == 4 for r in rows if r["places"])
+
+
+def test_the_longest_of_equal_edges_leads_back():
+    """Among equal scores the edge that starts first wins, also where the fold gives scores only."""
+    pieces = K.Pieces({"a": (5, -1.0), "aa": (6, -2.0), "aaa": (7, -3.0), "b": (8, -1.5)}, None, 0, frozenset())
+    words = ["aaaa", "aab", "xb", "b", "aaaaaaa"]
+    _, sent = K.PieceTable(pieces).places(words)
+    top = []
+    for w in words:
+        score = [0.0]
+        for e in range(1, len(w) + 1):
+            score.append(max(score[s] + (pieces.text[w[s:e]][1] if w[s:e] in pieces.text else -13.0) for s in range(e) if w[s:e] in pieces.text or e - s == 1))
+        top += score
+    got = [[(c & 0xFFFFFFFF) - 1 for c in p] for p in K._back(np.array(top), *sent).to_pylist()]
+    assert got == [[5, 7], [6, 8], [-1, 8], [8], [5, 7, 7]] == [[i or -1 for i in best(w, pieces)] for w in words]
