@@ -18,8 +18,8 @@ from .common import lean, save, session_defaults
 BLANK = "▁"
 #: Most frequent words whose ids are broadcast, and the longest that may be so (some 40 bytes a word, by both bounds).
 HEAD_WORDS, HEAD_CHARS = 1 << 18, 64
-#: Bytes of text that are counted and looked up together; distinct words that one task counts before it gives them on.
-GROUP_BYTES, HELD_WORDS = 1 << 20, 300_000
+#: Bytes of text that are counted and looked up together; distinct words that one task counts before it gives them on, and how many it gives on at once.
+GROUP_BYTES, HELD_WORDS, COUNTED_WORDS = 1 << 20, 300_000, 50_000
 #: Words whose ids are written together, words whose lattices are sent together, and words of texts sent together: rows of some 150 KB, as the JVM keeps arrays of 512 KB apart.
 STEP_WORDS, SENT_WORDS, SENT_PLACES = 25_000, 128, 20_000
 #: Longest word outside the head whose lattice is sent place by place, and characters of such words in a row; longer words are sent edge by edge.
@@ -128,24 +128,27 @@ def _counter(newline: bool, stops: list[str]):
     """Words that a task sees more than once, with their number: only such words can be worth remembering."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: pa.Table | None = None
+        held: dict[str, int] = {}  # Arrow's own grouping runs in a pool of memory that a worker never gives back
         for group in _grouped(batches):
             found = pc.value_counts(words_of(group.column(0).combine_chunks(), newline, stops)[0])
-            fresh = pa.table({"word": found.field(0), "n": found.field(1)})
-            held = fresh if held is None else pa.concat_tables([held, fresh]).group_by("word").aggregate([("n", "sum")]).rename_columns(["word", "n"])
-            if held.num_rows > HELD_WORDS:
+            found = found.filter(pc.less_equal(pc.utf8_length(found.field(0)), HEAD_CHARS))
+            for word, n in zip(_strings(found.field(0)), found.field(1).to_numpy().tolist(), strict=True):
+                held[word] = held.get(word, 0) + n
+            if len(held) > HELD_WORDS:
                 yield from _counted(held)
-                held = None
-        if held is not None:
-            yield from _counted(held)
+                held = {}
+        yield from _counted(held)
+        held = {}
         lean()
 
     return run
 
 
-def _counted(held: pa.Table) -> Iterator[pa.RecordBatch]:
-    often = held.filter(pc.and_(pc.greater(held.column("n"), 1), pc.less_equal(pc.utf8_length(held.column("word")), HEAD_CHARS)))
-    yield from often.sort_by("word").combine_chunks().to_batches(max_chunksize=50_000)  # neighbours share beginnings, which compress
+def _counted(held: dict[str, int]) -> Iterator[pa.RecordBatch]:
+    often = sorted(w for w, n in held.items() if n > 1)  # neighbours share beginnings, which compress
+    for lo in range(0, len(often), COUNTED_WORDS):
+        some = often[lo : lo + COUNTED_WORDS]
+        yield pa.RecordBatch.from_arrays([pa.array(some, pa.string()), pa.array([held[w] for w in some], pa.int64())], ["word", "n"])
 
 
 class PieceTable:
@@ -414,6 +417,7 @@ def _sender(head, pieces: Pieces):
                 lo = hi
             for pack in packs:
                 yield row(pack=pack)
+        known.clear()
         forget(head)
 
     return run

@@ -263,3 +263,25 @@ def test_the_longest_of_equal_edges_leads_back():
         top += score
     got = [[(c & 0xFFFFFFFF) - 1 for c in p] for p in K._back(np.array(top), *sent).to_pylist()]
     assert got == [[5, 7], [6, 8], [-1, 8], [8], [5, 7, 7]] == [[i or -1 for i in best(w, pieces)] for w in words]
+
+
+def test_words_are_counted_in_memory_that_is_given_back(monkeypatch):
+    """The counter leaves Arrow's grouping alone: it runs in a pool of memory that a worker keeps for as long as it lives."""
+    import pyarrow as pa
+
+    def grouping(*_):
+        raise AssertionError("Arrow groups words")
+
+    monkeypatch.setattr(pa.TableGroupBy, "aggregate", grouping)
+    monkeypatch.setattr(K, "GROUP_BYTES", 2_000)
+    monkeypatch.setattr(K, "COUNTED_WORDS", 100, raising=False)
+    texts = [" ".join([*(f"w{k}" for k in range(t, t + 300)), f"once{t}", "long" * 50, "é"]) for t in range(0, 600, 100)]
+    batches = [pa.RecordBatch.from_arrays([pa.array([*texts, None])], ["text"])] * 2
+    got = [r for b in K._counter(False, [])(iter(batches)) for r in b.to_pylist()]
+    want = {}
+    for w in (K.BLANK + w for t in texts * 2 for w in t.split() if len(w) < 64):
+        want[w] = want.get(w, 0) + 1
+    assert {r["word"]: r["n"] for r in got} == want and [r["word"] for r in got] == sorted(want)
+    monkeypatch.setattr(K, "HELD_WORDS", 500)  # given on in parts: words seen once in a part are not worth remembering
+    got = [r for b in K._counter(False, [])(iter(batches)) for r in b.to_pylist()]
+    assert {r["word"] for r in got} <= {*want} and all(1 < r["n"] <= want[r["word"]] for r in got)
