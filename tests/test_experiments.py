@@ -3,7 +3,9 @@
 import pytest
 
 from semfilter.cascades import methods as ms
-from semfilter.plans import calibration_queries, catalog
+from semfilter.plans import calibration_queries as plans
+from semfilter.plans import catalog
+from semfilter.sources import catalogue as cat
 from semfilter.sources.tables import corpus
 
 QUERIES = catalog.queries()
@@ -26,3 +28,21 @@ def test_efficiency_table_without_rows(spark, sf, tmp_path, monkeypatch, empty):
     got = QUERIES["rq1_table"](spark, str(tmp_path))
     assert sorted(r["corpus"] for r in got.collect()) == sorted({"documents", "pages", "conversations"} - set(empty))
     assert "n_queries" in got.columns
+
+
+def test_proxy_ablation_has_all_queries_whose_second_phase_fires(spark, sf, monkeypatch):
+    monkeypatch.setattr(plans, "CELLS", {k: plans.CELLS[k] for k in ("full", "hard_labels")})
+    runs = ms.run_two_phase(ms.Bench.documents(spark, sf, cat.ALL)).runs.round(6)
+    done, want = (runs[runs["phase2"] == f].set_index("query_id") for f in (False, True))
+    kept = ["n_vote", "n_cal", "n_cascade", "accuracy"]
+    got = plans.ablation(spark, sf, tuple(plans.CELLS), cat.ALL, fired=True).toPandas().set_index("query_id")
+    full, hard = (got[got["method"] == m] for m in plans.CELLS)
+    assert 1 < len(want) < 20 and full[kept].to_dict() == want[kept].to_dict() and hard[kept[:2]].to_dict() == want[kept[:2]].to_dict()
+    assert {r["method"]: r["n_queries"] for r in QUERIES["rq6a_proxy"](spark, sf).collect()} == dict.fromkeys(plans.CELLS, len(want))
+    assert plans.ablation(spark, sf, ("full",), tuple(done.index), fired=True).count() == 0
+
+
+def test_proxy_ablation_without_documents(spark, sf, tmp_path):
+    spark.read.parquet(f"{sf}/documents.parquet").limit(0).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.read.parquet(f"{sf}/benchmark.parquet").write.parquet(f"{tmp_path}/benchmark.parquet")
+    assert QUERIES["rq6a_proxy"](spark, str(tmp_path)).collect() == []
