@@ -1,10 +1,14 @@
 """Experiments run over every predicate of every corpus."""
 
+import pickle
+
 import pytest
 
+from semfilter import features
 from semfilter.cascades import methods as ms
 from semfilter.plans import calibration_queries as plans
 from semfilter.plans import catalog
+from semfilter.proxy import nets
 from semfilter.sources import catalogue as cat
 from semfilter.sources.tables import corpus
 
@@ -46,3 +50,12 @@ def test_proxy_ablation_without_documents(spark, sf, tmp_path):
     spark.read.parquet(f"{sf}/documents.parquet").limit(0).write.parquet(f"{tmp_path}/documents.parquet")
     spark.read.parquet(f"{sf}/benchmark.parquet").write.parquet(f"{tmp_path}/benchmark.parquet")
     assert QUERIES["rq6a_proxy"](spark, str(tmp_path)).collect() == []
+
+
+def test_late_scorers_travel_without_their_token_vectors():
+    made, whole = nets.LateScorer.seeded([3, 5], 64, 16, 42), nets.LateScorer([3, 5], features.token_table(64, 42).astype(float), 16, 42)
+    sent = pickle.dumps(made)
+    assert len(sent) < 1 << 15 < len(pickle.dumps(whole))
+    toks = [[1, 5], [], [4095]]
+    for m in (made, pickle.loads(sent), pickle.loads(pickle.dumps(whole))):
+        assert m.prob(None, None, toks).tolist() == whole.prob(None, None, toks).tolist()
